@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from provspark.llm import media, warc
+from provspark.llm import media, tokens, warc
 
 QUERIES = {
+    "op2_tokens": tokens.op2_tokens,
+    "op4_token_counts": tokens.op4_token_counts,
     "op9_warc": warc.op9_warc,
     "op10_media": media.op10_media,
 }
