@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from provspark.llm import media, tokens, warc
+from provspark.llm import media, neardup, tokens, warc
 
 QUERIES = {
+    "op1_near_duplicates": neardup.op1_near_duplicates,
     "op2_tokens": tokens.op2_tokens,
     "op4_token_counts": tokens.op4_token_counts,
     "op9_warc": warc.op9_warc,
@@ -12,5 +13,6 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op1_near_duplicates": neardup.OP1_SQL,
     "op9_warc": warc.OP9_SQL,
 }
