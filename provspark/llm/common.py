@@ -91,6 +91,15 @@ def map_arrow(
     return df.mapInArrow(run, schema)
 
 
+def as_mask(x) -> pa.Array:
+    return x if isinstance(x, pa.Array) else pa.array(x, pa.bool_())
+
+
+def filter_arrow(df: DataFrame, text: str, keep: Callable[[pa.RecordBatch], np.ndarray]) -> DataFrame:
+    """The rows, all columns as they are, for which ``keep`` says so; no join and no shuffle."""
+    return map_arrow(df, df.schema, text, lambda part: part.filter(as_mask(keep(part))))
+
+
 def ragged_take(values: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     """Concatenate values[s : s + n] for each (s, n)."""
     total = int(lengths.sum())

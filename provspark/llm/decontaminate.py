@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from provspark.llm.common import map_arrow, read_table
+from provspark.llm.common import filter_arrow, map_arrow, read_table
 from provspark.llm.tokens import filled
 
 EDIT_SHARE = 0.08
@@ -146,29 +146,48 @@ def benchmark_matches(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_
     kind, item_kind = docs.schema[id_col].dataType.simpleString(), benchmark.schema[item_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     out = None
-    for block in blocks_of(benchmark, item_col, item_text, pass_bytes):
-        items = docs.sparkSession.sparkContext.broadcast(sorted(((r["item"], r["text"]) for r in block.collect()), key=str))
-        number = items._jbroadcast.id()
+    for matcher in shared_matchers(benchmark, item_col, item_text, share, pass_bytes):
 
-        def per_slice(batch, items=items, number=number):
-            if number not in _MATCHERS:
-                _MATCHERS.clear()
-                _MATCHERS[number] = Matcher(items.value, share)
-            find = _MATCHERS[number].matches
+        def per_slice(batch, matcher=matcher):
+            find = matcher().matches
             at, found = [], []
             for i, text in enumerate(filled(batch.column("text")).to_pylist()):
                 got = find(text)
                 at += [i] * len(got)
                 found += got
             cols = list(zip(*found)) if found else [[]] * 4
-            item_type = pa.int64() if item_kind == "bigint" else None
-            return pa.RecordBatch.from_arrays([batch.column("id").take(pa.array(at, pa.int64())), pa.array(cols[0], item_type) if found or item_type else pa.nulls(0, pa.string()), *(pa.array(c, pa.int64()) for c in cols[1:])], names=["id", "item_id", "distance", "span_start", "span_end"])
+            item_type = pa.int64() if item_kind == "bigint" else pa.int32() if item_kind == "int" else pa.string()
+            return pa.RecordBatch.from_arrays([batch.column("id").take(pa.array(at, pa.int64())), pa.array(cols[0], item_type), *(pa.array(c, pa.int64()) for c in cols[1:])], names=["id", "item_id", "distance", "span_start", "span_end"])
 
         part = map_arrow(rows, f"id {kind}, item_id {item_kind}, distance long, span_start long, span_end long", "text", per_slice)
         out = part if out is None else out.unionByName(part)
     return out
 
 
+def shared_matchers(benchmark: DataFrame, item_col: str, item_text: str, share: float, pass_bytes: int) -> list:
+    """For each pass a function that gives a worker's matcher of that pass's items."""
+    out = []
+    for block in blocks_of(benchmark, item_col, item_text, pass_bytes):
+        items = benchmark.sparkSession.sparkContext.broadcast(sorted(((r["item"], r["text"]) for r in block.collect()), key=str))
+        number = items._jbroadcast.id()
+
+        def get(items=items, number=number) -> Matcher:
+            if number not in _MATCHERS:
+                _MATCHERS.clear()
+                _MATCHERS[number] = Matcher(items.value, share)
+            return _MATCHERS[number]
+
+        out.append(get)
+    return out
+
+
+def without_matches(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", share: float = EDIT_SHARE, pass_bytes: int = PASS_BYTES) -> DataFrame:
+    """The rows in which no item is found, all columns as they are; a pass over what is left for each block of items."""
+    for matcher in shared_matchers(benchmark, item_col, item_text, share, pass_bytes):
+        docs = filter_arrow(docs, text_col, lambda batch, matcher=matcher: [not matcher().matches(t) for t in filled(batch.column(text_col)).to_pylist()])
+    return docs
+
+
 _MATCHERS: dict[int, Matcher] = {}
 
 

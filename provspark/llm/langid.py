@@ -21,7 +21,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from provspark.llm.common import map_arrow, read_table, write_read
+from provspark.llm.common import filter_arrow, map_arrow, read_table, write_read
 from provspark.llm.tokens import filled
 
 #: The classifier is fitted on at most about so many labelled texts of each language, taken by hash.
@@ -31,6 +31,8 @@ WORDS_KEPT, GRAMS_KEPT = 20_000, 5_000
 LONGEST_GRAM = 4
 MOST_LANGUAGES = 500
 UNDETERMINED = "und"
+#: Texts below this score are rejected by with_language.
+LEAST_SCORE = 0.5
 MEMO_WORDS = 400_000
 
 
@@ -182,24 +184,45 @@ class Scorer:
 _SCORERS: dict[int, Scorer] = {}
 
 
-def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows (id, lang_pred, score).  The model is broadcast; its size is bounded by its parameters."""
-    spark = docs.sparkSession
+def shared_scorer(spark: SparkSession, model: Model):
+    """A function that gives a worker's scorer.  The model is broadcast; its size is bounded by its parameters."""
     shared = spark.sparkContext.broadcast(model)
-    number = shared._jbroadcast.id() if shared._jbroadcast is not None else 0
-    kind = docs.schema[id_col].dataType.simpleString()
+    number = shared._jbroadcast.id()
 
-    def per_slice(batch):
-        scorer = _SCORERS.get(number)
-        if scorer is None:
+    def get() -> Scorer:
+        if number not in _SCORERS:
             _SCORERS.clear()
-            scorer = _SCORERS.setdefault(number, Scorer(shared.value))
-        lang, score = scorer.predict(filled(batch.column("text")))
+            _SCORERS[number] = Scorer(shared.value)
+        return _SCORERS[number]
+
+    return get
+
+
+def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Rows (id, lang_pred, score)."""
+    kind, scorer = docs.schema[id_col].dataType.simpleString(), shared_scorer(docs.sparkSession, model)
+
+    def per_slice(batch):
+        lang, score = scorer().predict(filled(batch.column("text")))
         return pa.RecordBatch.from_arrays([batch.column("id"), pa.array(lang, pa.string()), pa.array(score, pa.float64())], names=["id", "lang_pred", "score"])
 
     return map_arrow(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")), f"id {kind}, lang_pred string, score double", "text", per_slice)
 
 
+def with_language(docs: DataFrame, model: Model, text_col: str = "text", least_score: float = LEAST_SCORE) -> DataFrame:
+    """The rows whose text is in a learned language with at least this score; with nothing learned, those with a letter."""
+    scorer = shared_scorer(docs.sparkSession, model)
+
+    def keep(batch):
+        texts = filled(batch.column(text_col))
+        if not scorer().model.languages:
+            return pc.match_substring_regex(texts, r"\p{L}")
+        lang, score = scorer().predict(texts)
+        return (np.array(lang) != UNDETERMINED) & (score >= least_score)
+
+    return filter_arrow(docs, text_col, keep)
+
+
 def remainder(id_col: str = "doc_id") -> F.Column:
     return F.crc32(F.col(id_col).cast("string").cast("binary")) % 3
 
