@@ -9,15 +9,22 @@ from pyspark.sql import functions as F
 OPTION_LINE = r"(?m)^[ \t]*\(?([A-H])[).:][ \t]+(.+?)[ \t]*$"
 
 
+def let(value: Column, body) -> Column:
+    """``body`` of a value that is computed once: a lambda variable, which the optimizer cannot copy into inner lambdas."""
+    return F.transform(F.array(value), body)[0]
+
+
 def words(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), r"[ \t\r\n]+"), lambda w: w != "")
 
 
 def shingles(text: Column, n: int) -> Column:
     """Distinct runs of n words; the whole sequence if it is shorter, none if it is empty."""
-    w = words(text)
-    full = F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: F.array_join(F.slice(w, i, n), " "))
-    return F.when(F.size(w) >= n, F.array_distinct(full)).when(F.size(w) > 0, F.array(F.array_join(w, " "))).otherwise(F.array().cast("array<string>"))
+    def of(w: Column) -> Column:
+        full = F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: F.array_join(F.slice(w, i, n), " "))
+        return F.when(F.size(w) >= n, F.array_distinct(full)).when(F.size(w) > 0, F.array(F.array_join(w, " "))).otherwise(F.array().cast("array<string>"))
+
+    return let(words(text), of)
 
 
 def char_grams(text: Column, n: int) -> Column:
