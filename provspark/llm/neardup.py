@@ -3,12 +3,13 @@
 1. Each text becomes its set of five-word shingles, a digest of that set, 16-bit HyperMinHash registers and 32 band
    keys of four registers each.  Equal sets collapse to their least id before anything is paired.
 2. In each bucket of a band, members are paired with one leader, which differs from band to band.
-   Pairs that pass the corrected estimate are verified on the full sets; the links give components.
-3. In buckets that still hold several components, all pairs across components are estimated,
-   each in the first band that they share, and what passes is verified.  Pairs inside
-   one component need no test, so no group's pairs are all formed; no candidate is capped.
+   Pairs whose collision-corrected estimate reaches FAMILY join one family.  Texts similar enough to be linked
+   share about ten buckets, and fall apart only if the leaders of all of them are far from both.
+3. The texts of a family meet in a task, each once.  Counting through posting lists gives the exact
+   intersection of every pair in it; what is emitted is a spanning forest of the links, so rows
+   never exceed members.  Families of many shingles are cut into blocks, and pairs of blocks meet.
 
-Buckets larger than BLOCK are cut into pairs of blocks, so no task holds an unbounded group.
+No candidate is capped.  Only tables of checked size are broadcast; larger ones are shuffled.
 
 Defined cases: null and empty texts have empty sets and link with nothing; rows with a null id
 keep a null component and are not kept; a repeated id links through each of its texts and gives
@@ -26,17 +27,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from provspark.llm import shingles as S
-from provspark.llm.common import drop_table, map_arrow, read_table, slices, write_read
+from provspark.llm.common import drop_table, map_arrow, ragged_take, read_table, slices, write_read
 from provspark.llm.components import connected_components
 from provspark.llm.tokens import filled
 
 THRESHOLD_PERCENT = 75
 BANDS = 32
 ROWS = S.BUCKETS // BANDS
-#: Estimates may fall short of the threshold by so many standard deviations.
-DEVIATIONS = 5
-#: Members of a bucket compared in one task; larger buckets are cut.
-BLOCK = 2048
+#: Least estimated similarity of a member and a leader of one family.
+FAMILY = 0.35
+#: Shingles of a family that meet in one task; families with more are cut into blocks.
+BLOCK_SHINGLES = 1_500_000
+#: Rows of a table of ids that may be broadcast (some 30 MB); beyond it the join is shuffled.
+BROADCAST_ROWS = 500_000
 
 
 def band_keys(registers: np.ndarray, kind: int) -> np.ndarray:
@@ -74,12 +77,9 @@ def close_sizes(n: F.Column, m: F.Column, percent: int) -> F.Column:
     return F.least(n, m) * 100 >= F.greatest(n, m) * percent
 
 
-def passes(a: np.ndarray, b: np.ndarray, n: np.ndarray, m: np.ndarray, by_bucket: bool, percent: int) -> np.ndarray:
-    """Whether estimates are near enough the threshold to be verified."""
-    per = S.BUCKETS if by_bucket else 1
-    j, registers = S.estimated_jaccard(a, b, n / per, m / per)
-    t = percent / 100
-    return j >= t - DEVIATIONS * np.sqrt(t * (1 - t) / np.maximum(registers, 1))
+def if_small(table: DataFrame, rows: int) -> DataFrame:
+    """A broadcast of a written table of narrow rows if it is within the bound, else the table for a shuffled join."""
+    return F.broadcast(table) if rows <= BROADCAST_ROWS else table
 
 
 def as_registers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -91,139 +91,119 @@ def as_registers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return have, out
 
 
-def estimated(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) whose registers pass."""
+def estimated(pairs: DataFrame, sets: DataFrame, least: float) -> DataFrame:
+    """Pairs (a, b) whose registers give an estimate of at least ``least``."""
     kind = pairs.schema["a"].dataType.simpleString()
     side = lambda x: sets.select(F.col("id").alias(x), F.col("n").alias(f"n_{x}"), F.col("few").alias(f"few_{x}"), F.col("many").alias(f"many_{x}"))
     rows = pairs.join(side("a"), "a").join(side("b"), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            n, m = (batch.column(k).to_numpy() for k in ("n_a", "n_b"))
+            n, m = (batch.column(k).to_numpy().astype(float) for k in ("n_a", "n_b"))
             ok = np.zeros(batch.num_rows, bool)
-            for by_bucket, name in ((False, "few"), (True, "many")):
+            for name, share in (("few", 1), ("many", S.BUCKETS)):
                 (ha, a), (hb, b) = (as_registers(batch.column(f"{name}_{x}")) for x in "ab")
                 both = ha & hb
                 if both.any():
-                    ok[both] |= passes(a[both], b[both], n[both], m[both], by_bucket, percent)
+                    ok[both] |= S.estimated_jaccard(a[both], b[both], n[both] / share, m[both] / share)[0] >= least
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(ok))
 
     return rows.mapInArrow(run, f"a {kind}, b {kind}").distinct()
 
 
-def verified(pairs: DataFrame, texts: DataFrame, percent: int, width: int) -> DataFrame:
-    """Pairs whose full shingle sets have 100 * intersection >= percent * union."""
-    kind = pairs.schema["a"].dataType.simpleString()
-    involved = texts.join(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "id", "left_semi")
-    side = lambda x: involved.select(F.col("id").alias(x), F.col("text").alias(f"text_{x}"))
-    rows = pairs.join(side("a"), "a").join(side("b"), "b")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last: tuple = (None, None)
-        for batch in batches:
-            for part in slices(batch, "text_a"):
-                left = S.shingle_sets(filled(part.column("text_a")), width)
-                keep = []
-                for h, other in zip(left, filled(part.column("text_b"))):
-                    if last[0] != other:  # rows come in order of b
-                        last = (other, S.shingle_sets(pa.array([other.as_py()], pa.string()), width)[0])
-                    g = last[1]
-                    both = len(np.intersect1d(h, g, assume_unique=True))
-                    keep.append(100 * both >= percent * (len(h) + len(g) - both))
-                yield pa.RecordBatch.from_arrays([part.column("a"), part.column("b")], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
+def forest(sets: list[np.ndarray], ids: list, own: np.ndarray, across: bool, percent: int) -> list[tuple]:
+    """Links (greater id, lesser id) that span the components of a group's exact similarity graph.
 
-    return rows.select("a", "b", "text_a", "text_b").mapInArrow(run, f"a {kind}, b {kind}").distinct()
-
-
-def across_components(members: DataFrame, percent: int, block: int) -> DataFrame:
-    """Pairs of members of one bucket that are in different components and pass the estimate.
-
-    members: (key, id, n, component, few, many, size), size being the bucket's number of members.
-    A bucket of at most ``block`` is one group; a larger one becomes groups of two blocks each.
+    With ``across`` only pairs from different blocks are looked at; the others meet elsewhere.
     """
-    kind = members.schema["id"].dataType.simpleString()
-    blocks = F.ceil(F.col("size") / block).cast("int")
-    rows = (
-        members.withColumn("blocks", blocks)
-        .withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    m = len(sets)
+    sizes = np.array([len(x) for x in sets], np.int64)
+    owner = np.repeat(np.arange(m), sizes)
+    values, inverse = np.unique(np.concatenate(sets), return_inverse=True)
+    order = np.argsort(inverse, kind="stable")
+    posting, bounds = owner[order], np.concatenate([[0], np.cumsum(np.bincount(inverse, minlength=len(values)))])
+    at = np.concatenate([[0], np.cumsum(sizes)])
+    root = np.arange(m)
+    out = []
+    for i in range(m):
+        mine = inverse[at[i] : at[i + 1]]
+        both = np.bincount(ragged_take(posting, bounds[mine], bounds[mine + 1] - bounds[mine]), minlength=m)
+        linked = 100 * both >= percent * (sizes + sizes[i] - both)
+        linked[: i + 1] = False
+        if across:
+            linked &= own != own[i]
+        for j in np.flatnonzero(linked):
+            a, b = root[i], root[j]
+            if a != b:
+                root[root == b] = a
+                if ids[i] != ids[j]:
+                    out.append((max(ids[i], ids[j]), min(ids[i], ids[j])))
+    return out
+
+
+def links_in_families(rows: DataFrame, percent: int, width: int) -> DataFrame:
+    """rows: (family, blocks, id, text).  Pairs (a, b) that span the linked texts of each family."""
+    kind = rows.schema["id"].dataType.simpleString()
+    dealt = (
+        rows.withColumn("own", F.pmod(F.xxhash64("id", "text"), F.col("blocks")).cast("int"))
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        .withColumn("first", F.least("own", "other"))
-        .withColumn("second", F.greatest("own", "other"))
+        .select("family", F.least("own", "other").alias("first"), F.greatest("own", "other").alias("second"), "own", "id", "text")
     )
-    dealt = rows.repartition("key", "first", "second").sortWithinPartitions("key", "first", "second").select("key", "first", "second", "own", "id", "n", "component", "few", "many")
-
-    def pairs_of(group: pa.Table) -> pa.RecordBatch:
-        group = group.combine_chunks()
-        ids, n, component, own = (group.column(k).to_numpy() for k in ("id", "n", "component", "own"))
-        first, second, key = (group.column(k)[0].as_py() for k in ("first", "second", "key"))
-        out_a, out_b = [], []
-        for by_bucket, name in ((False, "few"), (True, "many")):
-            have, reg = as_registers(group.column(name).combine_chunks())
-            at = np.flatnonzero(have)
-            if len(at) < 2:
-                continue
-            bands = np.ascontiguousarray(reg.reshape(len(reg), BANDS, ROWS)).view(np.uint64).reshape(len(reg), BANDS)
-            here = [i for i in range(BANDS) if xxhash.xxh3_64_intdigest(reg[at[0], i * ROWS : (i + 1) * ROWS].astype("<u2").tobytes(), seed=2 * i + by_bucket) == key & (2**64 - 1)]
-            if not here:  # the bucket is of the other kind of registers
-                continue
-            here = here[0]
-            for k, i in enumerate(at[:-1]):
-                js = at[k + 1 :]
-                js = js[component[js] != component[i]]
-                js = js[np.minimum(n[js], n[i]) * 100 >= np.maximum(n[js], n[i]) * percent]
-                if first != second:  # blocks compare with each other here, with themselves elsewhere
-                    js = js[own[js] != own[i]]
-                if len(js):
-                    shared = (bands[js] == bands[i]) & (bands[js] != 0)
-                    js = js[shared[:, :here].sum(axis=1) == 0]
-                if len(js):
-                    js = js[passes(reg[js], reg[i], n[js], np.full(len(js), n[i]), by_bucket, percent)]
-                    out_a.append(np.maximum(ids[js], ids[i]))
-                    out_b.append(np.minimum(ids[js], ids[i]))
-        a, b = (np.concatenate(x) if x else ids[:0] for x in (out_a, out_b))
-        return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
+    dealt = dealt.repartition("family", "first", "second").sortWithinPartitions("family", "first", "second")
+
+    def links_of(mark: tuple, group: list[pa.RecordBatch]) -> pa.RecordBatch:
+        ids = [x for g in group for x in g.column("id").to_pylist()]
+        sets = [h for g in group for part in slices(g, "text") for h in S.shingle_sets(filled(part.column("text")), width)]
+        own = np.concatenate([g.column("own").to_numpy() for g in group])
+        pairs = forest(sets, ids, own, mark[1] != mark[2], percent) if len(ids) > 1 else []
+        kept = group[0].schema.field("id").type
+        return pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs], kept), pa.array([p[1] for p in pairs], kept)], names=["a", "b"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
         mark = None
         for batch in batches:
-            cols = [batch.column(k).to_numpy() for k in ("key", "first", "second")]
+            cols = [batch.column(k).to_numpy() for k in ("family", "first", "second")]
             cuts = np.flatnonzero(np.any([c[1:] != c[:-1] for c in cols], axis=0)) + 1
             for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), batch.num_rows]):
                 if a == b:
                     continue
                 now = tuple(c[a] for c in cols)
                 if held and now != mark:
-                    yield pairs_of(pa.Table.from_batches(held))
+                    yield links_of(mark, held)
                     held = []
                 held.append(batch.slice(a, b - a))
                 mark = now
         if held:
-            yield pairs_of(pa.Table.from_batches(held))
+            yield links_of(mark, held)
 
     return dealt.mapInArrow(run, f"a {kind}, b {kind}").distinct()
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = THRESHOLD_PERCENT, width: int = S.WIDTH, block: int = BLOCK) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = THRESHOLD_PERCENT, width: int = S.WIDTH, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
     """Rows (id, n_shingles, component_id, kept), one for each row of docs.  Ids are integers."""
     base = write_read(described(docs, id_col, text_col, width), "sets")
-    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    filled_rows = base.filter("n > 0 AND id IS NOT NULL")
-    classes = write_read(filled_rows.groupBy("digest").agg(F.min("id").alias("rep"), F.min("n").alias("n")), "classes")
-    sets = write_read(base.join(classes.select(F.col("rep").alias("id"), "digest"), ["id", "digest"], "left_semi"), "reps")
-    # A repeated id may stand for several sets.
-    bands = sets.select("id", "n", F.explode("bands").alias("key")).distinct()
-    leader = bands.groupBy("key").agg(F.min(F.struct(F.xxhash64("key", "id").alias("h"), F.col("id").alias("leader"), F.col("n").alias("m"))).alias("x"), F.count("*").alias("size")).filter("size > 1")
-    members = write_read(bands.join(leader.select("key", "size", "x.leader", "x.m"), "key"), "members")
-    star = members.filter((F.col("id") != F.col("leader")) & close_sizes(F.col("n"), F.col("m"), percent)).select(F.greatest("id", "leader").alias("a"), F.least("id", "leader").alias("b")).distinct()
-    links = write_read(verified(write_read(estimated(star, sets, percent), "star"), texts, percent, width), "links")
-    found = connected_components(links)
-    labelled = members.filter("size > 2").join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    mixed = labelled.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("key")
-    residue = labelled.join(mixed, "key", "left_semi").join(sets.select("id", "few", "many"), "id").select("key", "id", "n", "component", "few", "many", "size")
-    more = verified(write_read(across_components(residue, percent, block).join(links, ["a", "b"], "left_anti"), "rest"), texts, percent, width)
-    final = connected_components(links.unionByName(more))
-    drop_table(members)
+    whole = base.filter("n > 0 AND id IS NOT NULL")
+    classes = write_read(whole.groupBy("digest").agg(F.min("id").alias("rep"), F.count("*").alias("rows")), "classes")
+    copied = classes.filter("rows > 1").select("digest", "rep")
+    copied = if_small(copied, copied.count())
+    # Copies go; what stays is a row for each distinct set.
+    sets = whole.join(copied, "digest", "left").filter("rep IS NULL OR rep = id").select("id", "n", "few", "many", "bands")
+    bands = sets.select("id", "n", F.explode("bands").alias("key"))
+    leader = write_read(bands.groupBy("key").agg(F.min(F.struct(F.xxhash64("key", "id").alias("h"), F.col("id").alias("leader"), F.col("n").alias("m"))).alias("x"), F.count("*").alias("size")).filter("size > 1").select("key", "x.leader", "x.m"), "leaders")
+    star = bands.join(if_small(leader, leader.count()), "key").filter((F.col("id") != F.col("leader")) & close_sizes(F.col("n"), F.col("m"), FAMILY * 100))
+    star = write_read(star.select(F.greatest("id", "leader").alias("a"), F.least("id", "leader").alias("b")).distinct(), "star")
+    drop_table(leader)
+    met = write_read(star.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "met")
+    known = write_read(sets.join(if_small(met, met.count()), "id", "left_semi").select("id", "n", "few", "many"), "registers")
+    family = connected_components(estimated(star, known, FAMILY))
+    family = family.unionByName(family.select(F.col("component").alias("id"), "component").distinct()).withColumnRenamed("component", "family")
+    sizes = family.join(known.groupBy("id").agg(F.max("n").alias("n")), "id")
+    blocks = sizes.groupBy("family").agg(F.ceil(F.sum("n") / block_shingles).cast("int").alias("blocks"))
+    family = write_read(family.join(blocks, "family"), "families")
+    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).filter("id IS NOT NULL")
+    rows = texts.join(if_small(family, family.count()), "id").select("family", "blocks", "id", "text")
+    final = connected_components(links_in_families(rows, percent, width))
     of_class = classes.join(final, F.col("rep") == F.col("id"), "left").select("digest", F.coalesce("component", "rep").alias("component_id"))
     out = base.select("id", "n", "digest").join(of_class, "digest", "left").withColumn("component_id", F.coalesce("component_id", "id"))
     return out.select("id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("id") == F.col("component_id"), F.lit(False)).alias("kept"))
