@@ -43,7 +43,7 @@ def open_ended(items: DataFrame) -> DataFrame:
     options = F.map_from_entries(F.array_distinct(F.zip_with(option_letters(F.col("prompt")), option_texts(F.col("prompt")), lambda a, b: F.struct(a, b))))
     many = F.size(option_letters(F.col("prompt"))) >= 2
     unique = F.size(F.array_distinct(option_letters(F.col("prompt")))) == F.size(option_letters(F.col("prompt")))
-    text = F.trim(F.regexp_replace(F.regexp_replace("prompt", OPTION_LINE, ""), r"\n{2,}", "\n"))
+    text = F.regexp_replace(F.regexp_replace(F.regexp_replace("prompt", OPTION_LINE, ""), r"\n{2,}", "\n"), r"\s+$", "")
     return items.withColumn("open_answer", F.when(many & unique, F.coalesce(F.try_element_at(options, F.upper("answer")), F.col("answer"))).otherwise(F.col("answer"))).withColumn("open_prompt", F.when(many & unique, text).otherwise(F.col("prompt")))
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import functions as F
 
 from provspark.config import SEED, ScaleLaw, ScoringConfig
@@ -339,9 +341,6 @@ def source_entropy(spark, sf):
 @query("udaf_entropy", with_items(ENTROPY))
 def udaf_entropy(spark, sf):
     """The same by a grouped pandas function, for comparison with the built-in form."""
-    import numpy as np
-    import pandas as pd
-
     @F.pandas_udf("double")
     def entropy(share: pd.Series) -> float:
         p = share.to_numpy()
