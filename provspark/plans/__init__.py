@@ -6,7 +6,7 @@ import importlib
 
 from provspark.plans.registry import ORACLES, QUERIES
 
-MODULES = ["lineage_queries", "leak_queries", "score_queries"]
+MODULES = ["lineage_queries", "leak_queries", "score_queries", "relational_queries", "stream_queries"]
 
 
 def load() -> tuple[dict, dict]:
