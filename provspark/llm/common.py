@@ -9,10 +9,13 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Text bytes that a Python worker turns into arrays at once.
 SLICE_BYTES = 4 << 20
+#: Rows of a table of ids or short names that may be broadcast (some 30 MB); beyond it the join is shuffled.
+BROADCAST_ROWS = 500_000
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -42,6 +45,29 @@ def write_read(df: DataFrame, name: str, **options: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def if_small(table: DataFrame, rows: int) -> DataFrame:
+    """A broadcast of a written table of narrow rows if it is within the bound, else the table for a shuffled join."""
+    return F.broadcast(table) if rows <= BROADCAST_ROWS else table
+
+
+class Scratch:
+    """Tables written on the way to a result, deleted once the result itself is written."""
+
+    def __init__(self) -> None:
+        self.tables: list[DataFrame] = []
+
+    def write(self, df: DataFrame, name: str, **options: str) -> DataFrame:
+        self.tables.append(write_read(df, name, **options))
+        return self.tables[-1]
+
+    def result(self, df: DataFrame, name: str) -> DataFrame:
+        out = write_read(df, name)
+        for table in self.tables:
+            drop_table(table)
+        self.tables = []
+        return out
+
+
 def drop_table(df: DataFrame) -> None:
     """Delete a table made by write_read that no later step reads."""
     spark = df.sparkSession
@@ -91,6 +117,17 @@ def map_arrow(
     return df.mapInArrow(run, schema)
 
 
+_SLOT: dict = {}
+
+
+def worker_slot(key, make: Callable):
+    """The one large object that a Python worker keeps between tasks; another key's object is let go first."""
+    if key not in _SLOT:
+        _SLOT.clear()
+        _SLOT[key] = make()
+    return _SLOT[key]
+
+
 def as_mask(x) -> pa.Array:
     return x if isinstance(x, pa.Array) else pa.array(x, pa.bool_())
 
