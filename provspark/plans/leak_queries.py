@@ -135,7 +135,7 @@ def edited(spark, sf):
     first = F.regexp_extract(t, r"^(\S+)", 1)
     edits = {
         "verbatim": t,
-        "formatting": F.upper(F.replace(t, F.lit(" "), F.lit("  "))),
+        "formatting": F.concat(F.lit("* "), F.replace(t, F.lit(" "), F.lit("  "))),
         "embedded": F.concat(F.lit("please solve the task below now "), t, F.lit(" give the final result at last")),
         "option_transformed": F.concat(t, F.lit("\nA) one\nB) two\nC) three")),
         "rewritten": F.concat(t, F.lit("")),
