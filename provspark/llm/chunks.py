@@ -113,7 +113,7 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     """Rows (id, n_bytes, n_chunks, spans), one for each row of docs.
 
     spans: (start, stop, n_words, n_chunks, owned) of maximal runs of repeated chunks with enough words,
-    in bytes; ``owned`` if this document is the first with every chunk of the run, and so keeps it.
+    in bytes; ``owned`` if this document is the first with half of the run's chunks or more, and so keeps it.
     """
     table = write_read(chunk_table(docs, id_col, text_col).withColumn("row", F.monotonically_increasing_id()), "chunks", compression="zstd")
     found = write_read(repeated_chunks(table), "repeats")
@@ -140,7 +140,7 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
                 out = []
                 for a, b in zip(np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)):
                     if of[a:b].sum() >= run_words:
-                        out.append({"start": int(begin[a]), "stop": int(begin[b]), "n_words": int(of[a:b].sum()), "n_chunks": int(b - a), "owned": bool(own[a:b].all())})
+                        out.append({"start": int(begin[a]), "stop": int(begin[b]), "n_words": int(of[a:b].sum()), "n_chunks": int(b - a), "owned": bool(2 * own[a:b].sum() >= b - a)})
                 spans.append(out)
             kinds = pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64()), ("n_words", pa.int64()), ("n_chunks", pa.int64()), ("owned", pa.bool_())]))
             count = pa.array([len(x) for x in starts], pa.int64())
