@@ -173,6 +173,7 @@ def rule_filter(spark, sf, n):
 
 for _n in (5, 8, 13):
     query(f"base_rule_filter_{_n}", rule_filter_sql(_n))(lambda spark, sf, n=_n: rule_filter(spark, sf, n))
+query("base_rule_filter", rule_filter_sql(8))(lambda spark, sf: rule_filter(spark, sf, 8))
 
 
 SEVERITY = "SELECT c.dataset_id, CAST(c.benchmark_id AS INT) AS benchmark_id, c.level, c.n, round(c.n / s.size, 6) AS rate FROM (SELECT dataset_id, benchmark_id, count(DISTINCT p.item_id) AS n, CAST(grouping(dataset_id, benchmark_id) AS BIGINT) AS level FROM {0} p JOIN bn ON bn.item_id = bench_item GROUP BY CUBE (dataset_id, benchmark_id)) c LEFT JOIN (SELECT dataset_id, count(*) AS size FROM items GROUP BY 1) s USING (dataset_id)"
@@ -206,6 +207,11 @@ def leak_total(spark, sf):
     return K.leak_total(sure_pairs(spark, sf))
 
 
+@query("leak_count", leaks("SELECT count(DISTINCT item_id) AS n_items, count(DISTINCT bench_item) AS n_bench, count(*) AS n_pairs FROM pairs"))
+def leak_count(spark, sf):
+    return sure_pairs(spark, sf).agg(F.count_distinct("item_id").alias("n_items"), F.count_distinct("bench_item").alias("n_bench"), F.count("*").alias("n_pairs"))
+
+
 @query("leak_rate", leaks("SELECT dataset_id, round(count(DISTINCT p.item_id) / count(DISTINCT i.item_id), 6) AS leak_rate FROM items i LEFT JOIN pairs p USING (dataset_id, item_id) GROUP BY 1"))
 def leak_rate(spark, sf):
     leaked = sure_pairs(spark, sf).select("dataset_id", "item_id").distinct().withColumn("l", F.lit(1.0))

@@ -210,6 +210,10 @@ def correlations(spark, sf):
     return E.correlations(X.scores(spark), X.averages(spark))
 
 
+for _measure in ("pearson", "spearman"):
+    query(_measure, f"SELECT scale, part, {_measure} FROM ({CORR})")(lambda spark, sf, m=_measure: correlations(spark, sf).select("scale", "part", m))
+
+
 @query("base_single_part", f"SELECT scale, dataset, rank() OVER (PARTITION BY scale ORDER BY s1 DESC) AS r1, rank() OVER (PARTITION BY scale ORDER BY s2 DESC) AS r2, rank() OVER (PARTITION BY scale ORDER BY s3 DESC) AS r3 FROM {CARD}")
 def base_single_part(spark, sf):
     """Baseline: sets ranked by one part alone."""
