@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from provspark.llm.common import read_table, write_read
+from provspark.llm.common import drop_table, read_table, write_read
 from provspark.llm.decontaminate import without_matches
 from provspark.llm.langid import fit_on_documents, with_language
 from provspark.llm.mixing import mix_by_source
@@ -67,5 +67,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = write_read(stage(spark, docs, sf_dir), name)
+        before, docs = docs, write_read(stage(spark, docs, sf_dir), name)
+        if name != STAGES[0][0]:
+            drop_table(before)
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -5,10 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provspark.llm.common import drop_table, write_read
+from provspark.llm.common import Scratch, drop_table, write_read
 
 
-def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
+def connected_components(edges: DataFrame, tmp: Scratch, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
     """Rows (id, component): the least id reachable, for each id of an edge other than that least one.
 
     Each round links every node's larger neighbours to its least one, then its smaller ones; the
@@ -35,4 +35,5 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
         if stars or state == seen:
             break
         seen = state
+    tmp.tables.append(now)
     return now.select(F.col("u").alias("id"), F.col("v").alias("component"))

@@ -23,7 +23,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from provspark.llm.common import read_table, write_read
+from provspark.llm.common import Scratch, read_table
 
 WEIGHTS = (5, 2, 1)
 MOST_USES = 3
@@ -141,7 +141,8 @@ def mix(docs: DataFrame, id_col: str, size_col: str, members_col: str, seed: int
     """
     members = F.array_sort(F.array_distinct(F.transform(F.coalesce(F.col(members_col), F.array().cast("array<string>")), lambda x: F.coalesce(x, F.lit(NONE)))))
     rows = docs.select(F.col(id_col).alias("id"), F.col(size_col).cast("bigint").alias("size"), members.alias("members"))
-    rows = write_read(rows, "sizes")  # the texts are read once
+    tmp = Scratch()
+    rows = tmp.write(rows, "sizes")  # the texts are read once
     sums = rows.groupBy("members").agg(F.sum("size").alias("words"), F.count("*").alias("n")).limit(MOST_PATTERNS + 1).collect()
     if len(sums) > MOST_PATTERNS:
         raise ValueError(f"more than {MOST_PATTERNS} membership patterns")
@@ -164,7 +165,7 @@ def mix(docs: DataFrame, id_col: str, size_col: str, members_col: str, seed: int
     plan_table = F.broadcast(spark.createDataFrame(plan, "members array<string>, whole bigint, rest bigint"))
     hashed = rows.join(plan_table, "members").withColumn("u", F.xxhash64(F.lit(seed), "id", "size")).withColumn("bin", F.pmod(F.shiftrightunsigned("u", 1), F.lit(bins)).cast("int"))
     before = Window.partitionBy("members").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
-    starts = write_read(hashed.groupBy("members", "bin").agg(F.sum("size").alias("words")).withColumn("before", F.coalesce(F.sum("words").over(before), F.lit(0))), "bins")
+    starts = tmp.write(hashed.groupBy("members", "bin").agg(F.sum("size").alias("words")).withColumn("before", F.coalesce(F.sum("words").over(before), F.lit(0))), "bins")
     placed = hashed.join(starts, ["members", "bin"])
     inside = F.col("before") + F.col("words") <= F.col("rest")
     ends_here = (F.col("before") < F.col("rest")) & ~inside
@@ -181,7 +182,7 @@ def mix(docs: DataFrame, id_col: str, size_col: str, members_col: str, seed: int
     edge = placed.filter(ends_here).groupBy("members", "bin").applyInPandas(fill, f"id {id_type}, size long, members array<string>, taken long")
     rest = placed.filter(~ends_here).select("id", "size", "members", (F.col("size") * (F.col("whole") + F.when(inside, 1).otherwise(0))).alias("taken"))
     facts = {named[s]: {"size": sizes[s], "weight": by[s], "target": targets[s], "quota": quotas[s]} for s in sizes}
-    return rest.unionByName(edge), facts
+    return tmp.result(rest.unionByName(edge), "mix"), facts
 
 
 def mix_by_source(docs: DataFrame, seed: int = SEED) -> DataFrame:

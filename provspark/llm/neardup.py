@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from provspark.llm import shingles as S
-from provspark.llm.common import drop_table, map_arrow, ragged_take, read_table, slices, write_read
+from provspark.llm.common import Scratch, if_small, map_arrow, ragged_take, read_table, slices
 from provspark.llm.components import connected_components
 from provspark.llm.tokens import filled
 
@@ -38,8 +38,6 @@ ROWS = S.BUCKETS // BANDS
 FAMILY = 0.35
 #: Shingles of a family that meet in one task; families with more are cut into blocks.
 BLOCK_SHINGLES = 1_500_000
-#: Rows of a table of ids that may be broadcast (some 30 MB); beyond it the join is shuffled.
-BROADCAST_ROWS = 500_000
 
 
 def band_keys(registers: np.ndarray, kind: int) -> np.ndarray:
@@ -77,11 +75,6 @@ def close_sizes(n: F.Column, m: F.Column, percent: int) -> F.Column:
     return F.least(n, m) * 100 >= F.greatest(n, m) * percent
 
 
-def if_small(table: DataFrame, rows: int) -> DataFrame:
-    """A broadcast of a written table of narrow rows if it is within the bound, else the table for a shuffled join."""
-    return F.broadcast(table) if rows <= BROADCAST_ROWS else table
-
-
 def as_registers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(rows that have registers, registers of all rows with zeros elsewhere)."""
     have = ~np.array(column.is_null())
@@ -182,31 +175,31 @@ def links_in_families(rows: DataFrame, percent: int, width: int) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = THRESHOLD_PERCENT, width: int = S.WIDTH, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
     """Rows (id, n_shingles, component_id, kept), one for each row of docs.  Ids are integers."""
-    base = write_read(described(docs, id_col, text_col, width), "sets")
+    tmp = Scratch()
+    base = tmp.write(described(docs, id_col, text_col, width), "sets")
     whole = base.filter("n > 0 AND id IS NOT NULL")
-    classes = write_read(whole.groupBy("digest").agg(F.min("id").alias("rep"), F.count("*").alias("rows")), "classes")
+    classes = tmp.write(whole.groupBy("digest").agg(F.min("id").alias("rep"), F.count("*").alias("rows")), "classes")
     copied = classes.filter("rows > 1").select("digest", "rep")
     copied = if_small(copied, copied.count())
     # Copies go; what stays is a row for each distinct set.
     sets = whole.join(copied, "digest", "left").filter("rep IS NULL OR rep = id").select("id", "n", "few", "many", "bands")
     bands = sets.select("id", "n", F.explode("bands").alias("key"))
-    leader = write_read(bands.groupBy("key").agg(F.min(F.struct(F.xxhash64("key", "id").alias("h"), F.col("id").alias("leader"), F.col("n").alias("m"))).alias("x"), F.count("*").alias("size")).filter("size > 1").select("key", "x.leader", "x.m"), "leaders")
+    leader = tmp.write(bands.groupBy("key").agg(F.min(F.struct(F.xxhash64("key", "id").alias("h"), F.col("id").alias("leader"), F.col("n").alias("m"))).alias("x"), F.count("*").alias("size")).filter("size > 1").select("key", "x.leader", "x.m"), "leaders")
     star = bands.join(if_small(leader, leader.count()), "key").filter((F.col("id") != F.col("leader")) & close_sizes(F.col("n"), F.col("m"), FAMILY * 100))
-    star = write_read(star.select(F.greatest("id", "leader").alias("a"), F.least("id", "leader").alias("b")).distinct(), "star")
-    drop_table(leader)
-    met = write_read(star.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "met")
-    known = write_read(sets.join(if_small(met, met.count()), "id", "left_semi").select("id", "n", "few", "many"), "registers")
-    family = connected_components(estimated(star, known, FAMILY))
+    star = tmp.write(star.select(F.greatest("id", "leader").alias("a"), F.least("id", "leader").alias("b")).distinct(), "star")
+    met = tmp.write(star.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "met")
+    known = tmp.write(sets.join(if_small(met, met.count()), "id", "left_semi").select("id", "n", "few", "many"), "registers")
+    family = connected_components(estimated(star, known, FAMILY), tmp)
     family = family.unionByName(family.select(F.col("component").alias("id"), "component").distinct()).withColumnRenamed("component", "family")
     sizes = family.join(known.groupBy("id").agg(F.max("n").alias("n")), "id")
     blocks = sizes.groupBy("family").agg(F.ceil(F.sum("n") / block_shingles).cast("int").alias("blocks"))
-    family = write_read(family.join(blocks, "family"), "families")
+    family = tmp.write(family.join(blocks, "family"), "families")
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).filter("id IS NOT NULL")
     rows = texts.join(if_small(family, family.count()), "id").select("family", "blocks", "id", "text")
-    final = connected_components(links_in_families(rows, percent, width))
+    final = connected_components(links_in_families(rows, percent, width), tmp)
     of_class = classes.join(final, F.col("rep") == F.col("id"), "left").select("digest", F.coalesce("component", "rep").alias("component_id"))
     out = base.select("id", "n", "digest").join(of_class, "digest", "left").withColumn("component_id", F.coalesce("component_id", "id"))
-    return out.select("id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("id") == F.col("component_id"), F.lit(False)).alias("kept"))
+    return tmp.result(out.select("id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("id") == F.col("component_id"), F.lit(False)).alias("kept")), "groups")
 
 
 def op1_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
