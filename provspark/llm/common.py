@@ -14,6 +14,8 @@ from pyspark.sql import types as T
 
 #: Text bytes that a Python worker turns into arrays at once.
 SLICE_BYTES = 4 << 20
+#: Rows that cross to Python at once; the session's default of 10,000 texts costs each worker and its JVM tens of MB more.
+ARROW_ROWS = 1000
 #: Rows of a table of ids or short names that may be broadcast (some 30 MB); beyond it the join is shuffled.
 BROADCAST_ROWS = 500_000
 
@@ -114,7 +116,15 @@ def map_arrow(
                 else:
                     yield from out
 
-    return df.mapInArrow(run, schema)
+    return small_batches(df).mapInArrow(run, schema)
+
+
+def small_batches(df: DataFrame) -> DataFrame:
+    """The table, its session sending no more than ARROW_ROWS rows at once (a setting that may change at any time)."""
+    conf, name = df.sparkSession.conf, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(conf.get(name)) <= ARROW_ROWS:
+        conf.set(name, str(ARROW_ROWS))
+    return df
 
 
 _SLOT: dict = {}

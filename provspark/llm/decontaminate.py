@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from provspark.llm.common import filter_arrow, map_arrow, read_table
+from provspark.llm.common import filter_arrow, map_arrow, read_table, worker_slot
 from provspark.llm.tokens import filled
 
 EDIT_SHARE = 0.08
@@ -172,10 +172,7 @@ def shared_matchers(benchmark: DataFrame, item_col: str, item_text: str, share:
         number = items._jbroadcast.id()
 
         def get(items=items, number=number) -> Matcher:
-            if number not in _MATCHERS:
-                _MATCHERS.clear()
-                _MATCHERS[number] = Matcher(items.value, share)
-            return _MATCHERS[number]
+            return worker_slot(("matcher", number), lambda: Matcher(items.value, share))
 
         out.append(get)
     return out
@@ -188,8 +185,5 @@ def without_matches(docs: DataFrame, benchmark: DataFrame, text_col: str = "text
     return docs
 
 
-_MATCHERS: dict[int, Matcher] = {}
-
-
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return benchmark_matches(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark")).withColumnRenamed("id", "doc_id")

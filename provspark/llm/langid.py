@@ -21,7 +21,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from provspark.llm.common import filter_arrow, map_arrow, read_table, write_read
+from provspark.llm.common import drop_table, filter_arrow, map_arrow, read_table, worker_slot, write_read
 from provspark.llm.tokens import filled
 
 #: The classifier is fitted on at most about so many labelled texts of each language, taken by hash.
@@ -31,9 +31,9 @@ WORDS_KEPT, GRAMS_KEPT = 20_000, 5_000
 LONGEST_GRAM = 4
 MOST_LANGUAGES = 500
 UNDETERMINED = "und"
-#: Texts below this score are rejected by with_language.
-LEAST_SCORE = 0.5
-MEMO_WORDS = 400_000
+#: Texts below this score are rejected by with_language; those that no learned word or n-gram tells apart always are.
+LEAST_SCORE = 0.0
+MEMO_WORDS = 200_000
 
 
 @dataclass
@@ -104,6 +104,7 @@ def fit(labelled: DataFrame, fit_texts: int = FIT_TEXTS, words_kept: int = WORDS
     languages = sorted(per)
     word_at, word_scores = as_tables(words, languages, totals, len({w for _, w, _ in words}))
     gram_at, gram_scores = as_tables(some, languages, gram_totals(some), len({g for _, g, _ in some}))
+    drop_table(counts)
     return Model(languages, word_at, gram_at, word_scores, gram_scores)
 
 
@@ -181,19 +182,13 @@ class Scorer:
         return [languages[b] if ok else UNDETERMINED for b, ok in zip(best, lettered)], np.where(lettered, p, 0)
 
 
-_SCORERS: dict[int, Scorer] = {}
-
-
 def shared_scorer(spark: SparkSession, model: Model):
     """A function that gives a worker's scorer.  The model is broadcast; its size is bounded by its parameters."""
     shared = spark.sparkContext.broadcast(model)
     number = shared._jbroadcast.id()
 
     def get() -> Scorer:
-        if number not in _SCORERS:
-            _SCORERS.clear()
-            _SCORERS[number] = Scorer(shared.value)
-        return _SCORERS[number]
+        return worker_slot(("scorer", number), lambda: Scorer(shared.value))
 
     return get
 
@@ -218,7 +213,8 @@ def with_language(docs: DataFrame, model: Model, text_col: str = "text", least_s
         if not scorer().model.languages:
             return pc.match_substring_regex(texts, r"\p{L}")
         lang, score = scorer().predict(texts)
-        return (np.array(lang) != UNDETERMINED) & (score >= least_score)
+        k = len(scorer().model.languages)
+        return (np.array(lang) != UNDETERMINED) & (score >= least_score) & ((score > (1 + 1e-9) / k) | (k == 1))
 
     return filter_arrow(docs, text_col, keep)
 

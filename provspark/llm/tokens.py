@@ -15,7 +15,6 @@ from __future__ import annotations
 import re
 import zlib
 from collections.abc import Iterator
-from functools import lru_cache
 from itertools import chain
 
 import numpy as np
@@ -25,13 +24,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from provspark.llm.common import map_arrow, new_path, ragged_take, read_table, slices, text_bytes
+from provspark.llm.common import map_arrow, new_path, ragged_take, read_table, slices, worker_slot
 
 VOCABULARY = "word_bpe_49k.json"
 END_ID = 1
 TOKEN_LIMIT = 2048
 #: Distinct words whose ids a worker keeps; on reaching it the memory starts anew.
-MEMO_WORDS = 600_000
+MEMO_WORDS = 700_000
 #: Latin letters, then signs that no pattern joins to letters and no special token holds.
 LETTERS_SIGNS = re.compile("([A-Za-zÀ-ÖØ-öø-ÿ]+)([^A-Za-z0-9'<>|\\x00-\\x20\\x7f-\U0010ffff]*)").fullmatch
 #: Splitting differs between libraries on these.
@@ -59,10 +58,27 @@ class WordEncoder:
 
     def forget(self) -> None:
         self.at: dict[str, int] = {}
-        self.cores: dict[str, tuple[int, ...]] = {}
-        self.start, self.size = np.zeros(1 << 12, np.int64), np.zeros(1 << 12, np.int64)
+        self.signs: dict[str, int] = {}
+        self.start, self.size, self.n = np.zeros(1 << 12, np.int64), np.zeros(1 << 12, np.int32), 0
         self.ids, self.used = np.zeros(1 << 14, np.int32), 0
 
+    def keep(self, flat: np.ndarray, sizes: np.ndarray) -> range:
+        """Store ids one entry after another; their places."""
+        m, total = len(sizes), len(flat)
+        while self.n + m > len(self.start):
+            self.start, self.size = np.append(self.start, np.zeros_like(self.start)), np.append(self.size, np.zeros_like(self.size))
+        while self.used + total > len(self.ids):
+            self.ids = np.append(self.ids, np.zeros_like(self.ids))
+        places = range(self.n, self.n + m)
+        self.start[self.n : self.n + m], self.size[self.n : self.n + m] = self.used + np.cumsum(sizes) - sizes, sizes
+        self.ids[self.used : self.used + total] = flat
+        self.used, self.n = self.used + total, self.n + m
+        return places
+
+    def keep_lists(self, lists: list[list[int]]) -> range:
+        sizes = np.fromiter(map(len, lists), np.int64, len(lists))
+        return self.keep(np.fromiter(chain.from_iterable(lists), np.int32, int(sizes.sum())), sizes)
+
     def whole(self, texts: list[str]) -> list[list[int]]:
         return [e.ids for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
@@ -75,38 +91,38 @@ class WordEncoder:
             vocab = self.library.get_vocab(with_added_tokens=False)
             self.ends = np.zeros(max(vocab.values()) + 1, bool)
             self.ends[[i for w, i in vocab.items() if w.endswith("</w>")]] = True
-        groups = [cores[i : i + 1000] for i in range(0, len(cores), 1000)]
-        for group, ids in zip(groups, self.whole([" ".join(g) for g in groups])):
-            cuts = (np.flatnonzero(self.ends[ids]) + 1).tolist()
+        for group in (cores[i : i + 1000] for i in range(0, len(cores), 1000)):
+            ids = np.array(self.whole([" ".join(group)])[0], np.int32)
+            cuts = np.flatnonzero(self.ends[ids]) + 1
             if len(cuts) == len(group) and cuts[-1] == len(ids):
-                self.cores.update((w, tuple(ids[a:b])) for w, a, b in zip(group, [0, *cuts], cuts))
+                self.at.update(zip(group, self.keep(ids, np.diff(cuts, prepend=0))))
             else:
-                self.cores.update((w, tuple(x)) for w, x in zip(group, self.whole(group)))
+                self.at.update(zip(group, self.keep_lists(self.whole(group))))
 
     def learn(self, words: list[str]) -> None:
-        """Ids of words: those of a run of letters and of the signs after it, or the library's for the whole word."""
-        cut = [m.groups() if (m := LETTERS_SIGNS(w)) else (w, None) for w in words]
-        cut = [(a.lower() if b is not None and a.isascii() else a, b) for a, b in cut]
-        if new := list({a for a, b in cut if b is not None and a not in self.cores}):
+        """Ids of words: those of a run of letters and of the signs after it, or the library's for the whole word.
+
+        Runs of letters are entries of their own, which the same run with other signs or in capitals shares.
+        """
+        at, signs = self.at, self.signs
+        cut = [(w, *m.groups()) for w in words if (m := LETTERS_SIGNS(w))]
+        cut = [(w, a.lower() if a.isascii() else a, b) for w, a, b in cut]
+        if new := list({a for _, a, _ in cut if a not in at}):
             self.learn_cores(new)
-        if new := list({x for a, b in cut for x in ((a,) if b is None else (b,)) if x and x not in self.cores}):
-            self.cores.update((w, tuple(x)) for w, x in zip(new, self.whole(new)))
-        cores = self.cores
-        ids = [cores[a] + cores[b] if b else cores[a] if a else () for a, b in cut]
-        size = np.fromiter(map(len, ids), np.int64, len(ids))
-        n, m, total = len(self.at), len(ids), int(size.sum())
-        while n + m > len(self.start):
-            self.start, self.size = np.append(self.start, np.zeros_like(self.start)), np.append(self.size, np.zeros_like(self.size))
-        while self.used + total > len(self.ids):
-            self.ids = np.append(self.ids, np.zeros_like(self.ids))
-        self.start[n : n + m], self.size[n : n + m] = self.used + np.cumsum(size) - size, size
-        self.ids[self.used : self.used + total] = np.fromiter(chain.from_iterable(ids), np.int32, total)
-        self.used += total
-        self.at.update(zip(words, range(n, n + m)))
+        if new := list({b for _, _, b in cut if b and b not in signs}):
+            signs.update(zip(new, self.keep_lists(self.whole(new))))
+        at.update((w, at[a]) for w, a, b in cut if not b)
+        if joined := [(w, at[a], signs[b]) for w, a, b in cut if b]:
+            parts = np.array([x[1:] for x in joined], np.int64)
+            sizes = self.size[parts].astype(np.int64)
+            flat = ragged_take(self.ids, self.start[parts.ravel()], sizes.ravel())
+            at.update(zip((x[0] for x in joined), self.keep(flat, sizes.sum(axis=1))))
+        if rest := [w for w in words if w not in at]:
+            at.update(zip(rest, self.keep_lists(self.whole(rest))))
 
     def codes(self, words: list[str]) -> np.ndarray:
         """Places of distinct words in the memory."""
-        if max(len(self.at), len(self.cores)) + len(words) > MEMO_WORDS:
+        if len(self.at) + len(words) > MEMO_WORDS:
             self.forget()
         at = self.at
         if unknown := [w for w in words if w not in at]:
@@ -119,7 +135,7 @@ class WordEncoder:
         bounds = split.offsets.to_numpy()
         coded = split.values.slice(bounds[0], bounds[-1] - bounds[0]).dictionary_encode()
         place = self.codes(coded.dictionary.to_pylist())[coded.indices.to_numpy()] if len(coded) else np.zeros(0, np.int64)
-        return bounds - bounds[0], self.start[place], self.size[place]
+        return bounds - bounds[0], self.start[place], self.size[place].astype(np.int64)
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(all ids, number of ids of each text)."""
@@ -154,9 +170,8 @@ def word_ends(text: str) -> list[int]:
     return [*(m.start() for m in re.finditer(r"\s+", text)), len(text)]
 
 
-@lru_cache(maxsize=2)
 def encoder(path: str) -> WordEncoder:
-    return WordEncoder(path)
+    return worker_slot(("encoder", path), lambda: WordEncoder(path))
 
 
 def filled(column) -> pa.Array:
