@@ -208,6 +208,19 @@ def test_shifted_passages_share_chunks_and_are_reported(spark):
         assert (ends[-1] == len(data) if len(data) else not len(ends)) and all((t or "").encode()[:e].decode() is not None for e in ends)
 
 
+def test_every_passage_of_51_words_is_found_whole(spark):
+    passages = [words(51, 9000 + i) for i in range(99)] + [" ".join(["lala"] * 51)]
+    left = [f"{words(70, 9200 + i)} {i} < {p} > {words(40, 9400 + i)}" for i, p in enumerate(passages)]
+    right = [f"{words(33, 9600 + i)} {i} [ {p} ] {words(20, 9800 + i)}" for i, p in enumerate(passages)]
+    short = [f"{words(60, 8000 + i)} s{i} {words(50, 8200 + i // 2)} t{i} {words(60, 8400 + i)}" for i in range(20)]
+    texts = [*left, *right, *short]
+    got = {r["id"]: r["spans"] for r in chunks.repeated_passages(docs(spark, texts)).collect()}
+    for i, t in enumerate(texts[:200]):
+        start = t.index(passages[i % 100])
+        assert [(s["start"], s["stop"], s["n_words"], s["owned"]) for s in got[i]] == [(start, start + len(passages[i % 100]), 51, i < 100)]
+    assert not any(got[i] for i in range(200, len(texts)))
+
+
 def edit_distance_inside(p, t):
     row = list(range(len(p) + 1))
     best = len(p)
