@@ -190,8 +190,10 @@ def seeds_of(data: np.ndarray, hit: np.ndarray, own: np.ndarray, words: int, lea
             continue
         hits.extend(begin[a:b].tolist())
         look(a, b, whole)
-        if begun[b] - begun[a] >= words and 2 * own[a:b].sum() < b - a:
-            look(a, b, drop)
+        if begun[b] - begun[a] >= words:
+            for c, d in stretches(~own[a:b]):
+                if begun[a + d] - begun[a + c] >= least:
+                    look(a + c, a + d, drop)
     at = np.unique(np.concatenate(windows))
     at = at[(at >= 0) & (at + words <= len(first))]
     w_start, w_stop = first[at], last[at + words - 1]

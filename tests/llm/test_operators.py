@@ -221,6 +221,16 @@ def test_every_passage_of_51_words_is_found_whole(spark):
     assert not any(got[i] for i in range(200, len(texts)))
 
 
+def test_each_repeated_text_stays_in_one_document(spark):
+    p, q = words(300, 7001), words(120, 7002)
+    texts = [p, f"{p} {q}", f"{p} {q}", words(200, 7003) + f" own {q}"]
+    df = docs(spark, texts)
+    found = chunks.repeated_passages(df).withColumnRenamed("id", "doc_id")
+    cut = {r[0]: r[1] for r in df.join(found, "doc_id").select("doc_id", chunks.without_repeats(F.col("text"), F.col("spans"))).collect()}
+    assert cut[0] == p and cut[2] == "" and len(cut[3]) < len(texts[3]) - len(q) + 100
+    assert q in cut[1] and len(cut[1]) < len(q) + 100
+
+
 def edit_distance_inside(p, t):
     row = list(range(len(p) + 1))
     best = len(p)
