@@ -293,6 +293,14 @@ def test_main_text_of_pages(spark):
     assert htmltext.main_text(df.limit(0)).count() == 0
 
 
+def test_articles_inside_a_page_wrapper_are_kept():
+    body = "<p>menu</p><article><p>body text</p><form><p>send</p></form></article>"
+    for wrap in ("<form>{}</form>", "<div class='content-sidebar-wrap'>{}</div>", "<div id='page' class='has-sidebar'><div>{}</div></div>"):
+        assert htmltext.blocks_of(wrap.format(body)) == [("menu", 0), ("body text", 2), ("send", 0)]
+    for wrap in ("<div class='comments'>{}</div>", "<aside>{}</aside>", "<div hidden>{}</div>", "<article>own</article><div class='sidebar'>{}</div>"):
+        assert {t: r for t, r in htmltext.blocks_of(wrap.format(body))}["body text"] == 0
+
+
 def test_suffix_cover_against_brute_force():
     r = random.Random(4)
     toks = np.array([r.randrange(6) for _ in range(300)])
