@@ -16,6 +16,8 @@ from pyspark.sql import types as T
 SLICE_BYTES = 4 << 20
 #: Rows that cross to Python at once; the session's default of 10,000 texts costs each worker and its JVM tens of MB more.
 ARROW_ROWS = 1000
+#: Rows that a worker takes together at most, however short their texts are.
+SLICE_ROWS = 8000
 #: Rows of a table of ids or short names that may be broadcast (some 30 MB); beyond it the join is shuffled.
 BROADCAST_ROWS = 500_000
 
@@ -97,6 +99,26 @@ def slices(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iter
         yield batch.slice(a, b - a)
 
 
+def gathered(batches: Iterable[pa.RecordBatch], column: str, limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
+    """Batches cut and joined so that each holds some ``limit`` bytes of text, or is one text, and no more than SLICE_ROWS rows."""
+    held: list[pa.RecordBatch] = []
+    size = rows = 0
+    for batch in batches:
+        for part in slices(batch, column, limit):
+            n = pc.sum(pc.binary_length(part.column(column))).as_py() or 0
+            if held and (size + n > limit or rows + part.num_rows > SLICE_ROWS):
+                yield one_batch(held)
+                held, size, rows = [], 0, 0
+            held.append(part)
+            size, rows = size + n, rows + part.num_rows
+    if held:
+        yield one_batch(held)
+
+
+def one_batch(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
+    return parts[0] if len(parts) == 1 else pa.concat_batches(parts)
+
+
 def map_arrow(
     df: DataFrame,
     schema: T.StructType | str,
@@ -106,15 +128,14 @@ def map_arrow(
     """mapInArrow over slices of bounded text size; per_slice gives one batch or some batches."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in slices(batch, text):
-                out = per_slice(part)
-                if out is None:
-                    continue
-                if isinstance(out, pa.RecordBatch):
-                    yield out
-                else:
-                    yield from out
+        for part in gathered(batches, text):
+            out = per_slice(part)
+            if out is None:
+                continue
+            if isinstance(out, pa.RecordBatch):
+                yield out
+            else:
+                yield from out
 
     return small_batches(df).mapInArrow(run, schema)
 

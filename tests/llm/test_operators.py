@@ -8,7 +8,7 @@ import numpy as np
 import public_tokenizers as P
 import pyarrow as pa
 import pytest
-from hypothesis import given, settings
+from hypothesis import example, given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
@@ -105,18 +105,53 @@ def test_sketch_estimates(spark):
 LIB = Tokenizer.from_file(P.path("word_bpe_49k.json"))
 
 
-@settings(max_examples=60, deadline=None)
-@given(st.lists(st.text(alphabet=st.sampled_from(list("abC D'é\n\t.,!|<>12ß中́\x1c 🙂")), max_size=40), min_size=1, max_size=4))
-def test_ids_are_the_librarys(texts):
-    enc = tokens.encoder(tokens.vocabulary_path())
-    ids, counts = enc.encode(pa.array(texts, pa.string()))
+SIGNS = list("abC D'é\n\t.,!|<>12ß中\u0301\x1c 🙂\u180e\u0307İK\u0e34กſ≮\u0338\u3000\x85")
+
+
+@settings(max_examples=150, deadline=None, derandomize=True)
+@example(["><\x1c1"])
+@example(["<<|endoftext|>a<|startoftext|>!'s"])
+@given(st.lists(st.text(alphabet=st.sampled_from(SIGNS), max_size=30), min_size=1, max_size=3))
+def test_ids_and_all_prefix_counts_are_the_librarys(texts):
+    column = pa.array(texts, pa.string())
+    ids, counts = tokens.encoder(tokens.vocabulary_path()).encode(column)
     want = [LIB.encode(t, add_special_tokens=False).ids for t in texts]
     assert counts.tolist() == [len(w) for w in want] and ids.tolist() == [i for w in want for i in w]
-    bounds, prefix = enc.prefix_counts(pa.array(texts, pa.string()))
+    bounds, changes = tokens.prefix_counter(tokens.vocabulary_path()).prefix_changes(column)
     for k, t in enumerate(texts):
-        p = prefix[bounds[k] : bounds[k + 1]]
-        for at in range(len(t) + 1):
-            assert tokens.tokens_at(t, at, p, enc) == len(LIB.encode(t[:at], add_special_tokens=False).ids)
+        stored = changes[bounds[k] : bounds[k + 1]].tobytes()
+        exact = [len(LIB.encode(t[:at], add_special_tokens=False).ids) for at in range(len(t) + 1)]
+        assert tokens.prefix_counts(stored).tolist() == exact == [tokens.tokens_at(at, stored) for at in range(len(t) + 1)]
+        for budget in (0, 1, 3):
+            assert tokens.longest_prefix(budget, stored) == max(at for at, n in enumerate(exact) if n <= budget)
+
+
+@settings(max_examples=25, deadline=None, derandomize=True)
+@given(st.lists(st.sampled_from(["internationalization", "thing", "nes", "ß", "中文", "é", "e\u0301", "!!", "'s", "'", "...", "<|endoftext|>", "7", "กิ", "\x1c", "Straße", "x\u0307\u0301"]), min_size=12, max_size=40))
+def test_prefix_counts_of_long_words(parts):
+    word = "".join(parts)
+    bounds, changes = tokens.prefix_counter(tokens.vocabulary_path()).prefix_changes(pa.array([word], pa.string()))
+    assert tokens.prefix_counts(changes.tobytes()).tolist() == [len(LIB.encode(word[:at], add_special_tokens=False).ids) for at in range(len(word) + 1)]
+
+
+def test_prefix_counts_of_long_runs():
+    r = random.Random(8)
+    for alphabet in ("etaoinsrhl", "aé中ß", "=-!.", "a", "—…!"):
+        run = "".join(r.choice(alphabet) for _ in range(150))
+        counter = tokens.prefix_counter(tokens.vocabulary_path())
+        want = [len(LIB.encode(run[:at], add_special_tokens=False).ids) for at in range(1, 151)]
+        assert counter.pieces(run).tolist() == want
+        if len(set(alphabet) & set("=-!.—…a")) == len(alphabet) or alphabet.isalpha():
+            assert counter.last_tokens(list(run)) == want
+
+
+def test_white_space_is_the_librarys():
+    points = [c for c in range(1, 0x3100) if not 0xD800 <= c < 0xE000]
+    column = pa.array([f"ab{chr(c)}cd" for c in points], pa.string())
+    ids, counts = tokens.encoder(tokens.vocabulary_path()).encode(column)
+    assert ids.tolist() == [i for t in column.to_pylist() for i in LIB.encode(t, add_special_tokens=False).ids]
+    _, changes = tokens.prefix_counter(tokens.vocabulary_path()).prefix_changes(column)
+    assert np.add.reduceat(changes.astype(int), np.arange(0, 5 * len(points), 5)).tolist() == counts.tolist()
 
 
 def test_special_strings_and_truncation(spark):
@@ -127,6 +162,13 @@ def test_special_strings_and_truncation(spark):
         assert r["n_tokens"] == len(LIB.encode(r["text"], add_special_tokens=False).ids) <= 5
 
 
+def test_stored_counts(spark):
+    got = {r["id"]: r for r in tokens.stored_counts(tokens.prefix_table(docs(spark, ODD, extra=True))).collect()}
+    for i, t in enumerate(ODD):
+        assert got[i]["n_tokens"] == len(LIB.encode(t or "", add_special_tokens=False).ids) and got[i]["n_bytes"] == len((t or "").encode())
+    assert tokens.stored_counts(tokens.prefix_table(docs(spark, ODD).limit(0))).count() == 0
+
+
 @pytest.mark.parametrize("encoding", ["dictionary", "delta"])
 def test_token_files_round_trip(spark, encoding, tmp_path):
     path = f"file://{tmp_path}/t"
