@@ -7,7 +7,8 @@ in one pass over a text, and each hit's surroundings are verified by Myers' bit-
 
 The items of one pass are bounded in bytes; more items take further passes, not a larger automaton.
 
-Defined cases: null and empty texts or items match nothing; items too short for one edit must occur exactly; a
+Defined cases: null and empty texts or items match nothing; items too short for one edit must occur exactly, as whole
+words; of equally near passages the first is given; a
 null id is reported as null; repeated rows are reported each; an empty table of either kind
 gives no rows; other columns are not read.
 """
@@ -18,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from provspark.llm.common import filter_arrow, map_arrow, read_table, worker_slot
+from provspark.llm.common import filter_arrow, map_arrow, read_table, worker_slot, write_read
 from provspark.llm.tokens import filled
 
 EDIT_SHARE = 0.08
@@ -85,6 +86,12 @@ def automaton_of(items: list[tuple[int, str]], share: float):
     return out if where else None
 
 
+def whole_words(text: str, a: int, b: int) -> bool:
+    """Whether text[a:b] neither begins nor ends inside a word."""
+    inside = lambda i: 0 < i < len(text) and text[i - 1].isalnum() and text[i].isalnum()
+    return not inside(a) and not inside(b)
+
+
 class Matcher:
     def __init__(self, items: list[tuple[int, str]], share: float = EDIT_SHARE):
         self.items = [(i, plain(t)) for i, t in items if t]
@@ -110,11 +117,17 @@ class Matcher:
                 hits.setdefault(number, set()).add(end + 1 - size - offset)
         out = []
         for number, starts in hits.items():
+            item = self.items[number][1]
+            if budget(item, self.share) == 0:
+                at = next((a for a in sorted(starts) if whole_words(text, a, a + len(item))), None)
+                if at is not None:
+                    out.append((self.items[number][0], 0, at, at + len(item)))
+                continue
             ahead, back, k = self.pattern(number)
             best = None
             last = None
-            for start in sorted(starts):  # starts near each other share one window
-                if last is not None and start <= last[1]:
+            for start in sorted(starts):  # starts whose windows meet share one
+                if last is not None and start <= last[1] + 2 * k + 1:
                     last[1] = start
                     continue
                 if last is not None:
@@ -179,8 +192,13 @@ def shared_matchers(benchmark: DataFrame, item_col: str, item_text: str, share:
 
 
 def without_matches(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", share: float = EDIT_SHARE, pass_bytes: int = PASS_BYTES) -> DataFrame:
-    """The rows in which no item is found, all columns as they are; a pass over what is left for each block of items."""
-    for matcher in shared_matchers(benchmark, item_col, item_text, share, pass_bytes):
+    """The rows in which no item is found, all columns as they are; a pass over what is left for each block of items.
+
+    What a pass leaves is written before the next, so a worker holds one automaton.  A null or empty text holds no item and stays, as
+    does every row if there are no items; repeated rows stay or go together.
+    """
+    for number, matcher in enumerate(shared_matchers(benchmark, item_col, item_text, share, pass_bytes)):
+        docs = write_read(docs, "left") if number else docs
         docs = filter_arrow(docs, text_col, lambda batch, matcher=matcher: [not matcher().matches(t) for t in filled(batch.column(text_col)).to_pylist()])
     return docs
 

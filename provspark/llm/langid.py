@@ -1,7 +1,7 @@
 """Operator 5, language identification by words first, then shorter and shorter character n-grams.
 
-Learning: words of labelled texts are counted per language; the most frequent ones and the most
-frequent character n-grams of each length form bounded tables of log frequencies.  Prediction: a
+Learning: words of a sample of labelled texts are counted per language; they and their character n-grams of each length form
+tables of log frequencies, n-grams among those of their length.  Only the number of texts learned from is bounded.  Prediction: a
 known word adds its log frequency in each language; an unseen word adds the mean log frequency
 of its known n-grams of the greatest length at which any is known.
 
@@ -18,18 +18,16 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from provspark.llm.common import drop_table, filter_arrow, map_arrow, read_table, worker_slot, write_read
+from provspark.llm.common import drop_table, filter_arrow, if_small, map_arrow, read_table, worker_slot, write_read
 from provspark.llm.tokens import filled
 
-#: The classifier is fitted on at most about so many labelled texts of each language, taken by hash.
-FIT_TEXTS = 2000
-#: Words kept a language, and n-grams kept a language and length.
-WORDS_KEPT, GRAMS_KEPT = 20_000, 5_000
+#: The classifier is fitted on about so many labelled texts of each language, taken by hash; on fewer where that would be more than
+#: FIT_ROWS in all.
+FIT_TEXTS, FIT_ROWS = 600, 200_000
 LONGEST_GRAM = 4
-MOST_LANGUAGES = 500
 UNDETERMINED = "und"
 #: Texts below this score are rejected by with_language; those that no learned word or n-gram tells apart always are.
 LEAST_SCORE = 0.0
@@ -38,7 +36,7 @@ MEMO_WORDS = 200_000
 
 @dataclass
 class Model:
-    """Log frequencies by language; the tables' sizes are bounded by the parameters above."""
+    """Log frequencies by language; the tables hold what is in the bounded sample of texts."""
 
     languages: list[str]
     words: dict[str, int]
@@ -67,52 +65,42 @@ def word_counts(docs: DataFrame) -> DataFrame:
     return map_arrow(docs.select("text", "lang"), "lang string, word string, n long", "text", per_slice).filter("word <> ''").groupBy("lang", "word").agg(F.sum("n").alias("n"))
 
 
-def most_frequent(counts: DataFrame, key: str, kept: int, by: list[str]) -> DataFrame:
-    rank = F.row_number().over(Window.partitionBy(*by).orderBy(F.desc("n"), key))
-    return counts.withColumn("r", rank).filter(F.col("r") <= kept).drop("r")
-
-
-def as_tables(rows: list, languages: list[str], totals: dict, kinds: int) -> tuple[dict[str, int], np.ndarray]:
+def as_table(rows: list, languages: list[str], part=lambda key: 0) -> tuple[dict[str, int], np.ndarray]:
+    """(place of each key, log frequencies by language) of rows (lang, key, n), smoothed by half a count; frequencies
+    are those among the keys of one part."""
     at: dict[str, int] = {}
     for _, key, _ in rows:
         at.setdefault(key, len(at))
     place = {x: i for i, x in enumerate(languages)}
-    counts = np.zeros((len(at), len(languages)))
+    counts = np.zeros((len(at), len(languages)), np.float32)
     for lang, key, n in rows:
         counts[at[key], place[lang]] += n
-    base = np.array([totals.get(x, 0) for x in languages], float)
-    return at, np.log((counts + 0.5) / (base + 0.5 * max(1, kinds))).astype(np.float32)
+    parts = np.fromiter((part(key) for key in at), np.int64, len(at))
+    for p in np.unique(parts):
+        mine = parts == p
+        counts[mine] = np.log((counts[mine] + 0.5) / (counts[mine].sum(axis=0) + 0.5 * mine.sum()))
+    return at, counts
 
 
-def fit(labelled: DataFrame, fit_texts: int = FIT_TEXTS, words_kept: int = WORDS_KEPT, grams_kept: int = GRAMS_KEPT) -> Model:
-    """labelled: (doc_id, text, lang) to learn from.  What reaches the driver is bounded by the table sizes."""
+def fit(labelled: DataFrame, fit_texts: int = FIT_TEXTS, fit_rows: int = FIT_ROWS) -> Model:
+    """labelled: (doc_id, text, lang) to learn from.  What reaches the driver is the vocabulary of the texts learned from."""
     rows = labelled.filter("lang IS NOT NULL AND doc_id IS NOT NULL")
-    per = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).limit(MOST_LANGUAGES + 1).collect()}
-    if len(per) > MOST_LANGUAGES:
-        raise ValueError(f"more than {MOST_LANGUAGES} languages")
-    if not per:
+    per = write_read(rows.groupBy("lang").agg(F.count("*").alias("n_lang")), "langs")
+    languages = per.count()
+    if not languages:
         return Model([], {}, {}, np.zeros((0, 0), np.float32), np.zeros((0, 0), np.float32))
-    share = F.create_map(*[x for k, n in per.items() for x in (F.lit(k), F.lit(min(1.0, fit_texts / n)))])
-    taken = rows.filter(F.pmod(F.xxhash64(F.lit("fit"), "doc_id"), F.lit(1 << 30)) < share[F.col("lang")] * (1 << 30))
+    share = F.lit(float(min(fit_texts, fit_rows / languages))) / F.col("n_lang")
+    taken = rows.join(if_small(per, languages), "lang").filter(F.pmod(F.xxhash64(F.lit("fit"), "doc_id"), F.lit(1 << 30)) < share * (1 << 30))
     counts = write_read(word_counts(taken), "words")
     padded = F.concat(F.lit(" "), "word", F.lit(" "))
     grams = F.flatten(F.transform(F.sequence(F.lit(1), F.lit(LONGEST_GRAM)), lambda n: F.transform(F.sequence(F.lit(1), F.greatest(F.length(padded) - n + 1, F.lit(1))), lambda i: F.substring(padded, i, n))))
     gram_counts = counts.select("lang", "n", F.explode(grams).alias("gram")).filter("trim(gram) <> ''").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
-    words = most_frequent(counts, "word", words_kept, ["lang"]).collect()
-    some = most_frequent(gram_counts.withColumn("size", F.length("gram")), "gram", grams_kept, ["lang", "size"]).select("lang", "gram", "n").collect()
-    totals = {r["lang"]: r["n"] for r in counts.groupBy("lang").agg(F.sum("n").alias("n")).collect()}
-    languages = sorted(per)
-    word_at, word_scores = as_tables(words, languages, totals, len({w for _, w, _ in words}))
-    gram_at, gram_scores = as_tables(some, languages, gram_totals(some), len({g for _, g, _ in some}))
+    words, some = counts.select("lang", "word", "n").collect(), gram_counts.select("lang", "gram", "n").collect()
+    known = sorted({r["lang"] for r in words})
     drop_table(counts)
-    return Model(languages, word_at, gram_at, word_scores, gram_scores)
-
-
-def gram_totals(rows: list) -> dict[str, int]:
-    out: dict[str, int] = {}
-    for lang, _, n in rows:
-        out[lang] = out.get(lang, 0) + n
-    return out
+    drop_table(per)
+    (word_at, word_scores), (gram_at, gram_scores) = as_table(words, known), as_table(some, known, len)
+    return Model(known, word_at, gram_at, word_scores, gram_scores)
 
 
 class Scorer:

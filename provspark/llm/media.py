@@ -6,7 +6,8 @@ peaks of its short-time Fourier transform, kept as time-coded arrays.
 
 Defined cases: a null text is the empty text; the payload of an empty text is 64 zero bytes;
 a null id stays null; repeated rows give repeated results; only the id and text columns are
-read, so other columns of any name do no harm; an empty table gives an empty result.
+read, so other columns of any name do no harm; an empty table gives an empty result; of equally loud frames all are peaks,
+and of equally strong bins the lowest is the frame's.
 """
 
 from __future__ import annotations
@@ -99,15 +100,12 @@ def media_column(df: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 
 FINGERPRINT = (
     "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, "
-    "n_frames long, pair_times array<int>, pair_codes array<int>, feature string"
+    "n_frames long, pair_times array<int>, pair_codes array<int>"
 )
 
 
-def fingerprints(media: DataFrame, with_pairs: bool = True) -> DataFrame:
-    """Read each stored WAV and describe it.  ``with_pairs=False`` leaves the two arrays null.
-
-    ``feature`` is "frames:pairs:digest", the digest being that of the two arrays.
-    """
+def fingerprints(media: DataFrame) -> DataFrame:
+    """Read each stored WAV and describe it; the peak pairs are two arrays, of time codes and of codes."""
     kind = media.schema["id"].dataType.simpleString()
 
     def per_slice(batch):
@@ -115,11 +113,10 @@ def fingerprints(media: DataFrame, with_pairs: bool = True) -> DataFrame:
         for m in batch.column("media").to_pylist():
             payload = from_wav(m)
             t, c, frames = peak_pairs(payload)
-            digest = hashlib.blake2b(t.astype("<i4").tobytes() + c.astype("<i4").tobytes(), digest_size=12).hexdigest()
-            row = (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-BLOCK:]), len(m), hashlib.sha256(m).hexdigest(), frames, t if with_pairs else None, c if with_pairs else None, f"{frames}:{len(t)}:{digest}")
+            row = (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-BLOCK:]), len(m), hashlib.sha256(m).hexdigest(), frames, t, c)
             for k, v in zip(cols, row):
                 cols[k].append(v)
-        types = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.string()]
+        types = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.list_(pa.int32()), pa.list_(pa.int32())]
         return pa.RecordBatch.from_arrays(
             [batch.column("id"), batch.column("n_bytes"), *(pa.array(v, t) for v, t in zip(cols.values(), types))],
             names=["id", "n_bytes", *cols],
@@ -128,7 +125,13 @@ def fingerprints(media: DataFrame, with_pairs: bool = True) -> DataFrame:
     return map_arrow(media, f"id {kind}, n_bytes long, {FINGERPRINT}", "media", per_slice)
 
 
+def feature_of() -> F.Column:
+    """"frames:pairs:digest" of a row of fingerprints, the digest being that of its two arrays."""
+    digest = F.concat(*[F.lower(F.lpad(F.hex(F.xxhash64(F.lit(seed), "pair_times", "pair_codes")), 16, "0")) for seed in (1, 2)])
+    return F.concat_ws(":", "n_frames", F.size("pair_times"), digest)
+
+
 def op10_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     stored = write_read(media_column(read_table(spark, sf_dir, "documents")), "media", compression="zstd")
-    out = fingerprints(stored, with_pairs=False)
-    return out.select(F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
+    prints = write_read(fingerprints(stored), "fingerprints", compression="zstd")
+    return prints.select(F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", feature_of().alias("feature"))

@@ -10,8 +10,8 @@ the committed attempt of each task are ever read; files of lost attempts are not
 
 Defined cases: null html is the empty payload; a null url is written as an empty target and
 read as null; a null page id is written as no field and read as null, and among equal payloads a non-null id is
-elected first; of repeated rows with the largest id one is the response, the others revisit
-it; an empty table gives an empty result; other columns are not read.
+elected first; if the largest id repeats, each of its rows is a response, and revisits name its page but no record; targets are
+written without white space, and the metadata record keeps the url as it was; an empty table gives an empty result; other columns are not read.
 """
 
 from __future__ import annotations
@@ -19,6 +19,7 @@ from __future__ import annotations
 import base64
 import gzip
 import hashlib
+import json
 import uuid
 from collections.abc import Iterator
 from urllib.parse import urlsplit
@@ -39,14 +40,15 @@ PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
 
 def elect_responses(pages: DataFrame, min_bytes: int = MIN_REVISIT_BYTES) -> DataFrame:
-    """Rows (row_uid, page_id, url, html, first_uid, first_page): what each capture refers to.
+    """Rows (page_id, url, html, first_page, n_first): the id that captures of one payload refer to, and how many rows have it.
 
-    Equal payloads meet by digest in a partial aggregate, so a payload that a third of all pages
-    share costs one row a task; the join back is one that adaptive execution can split.
+    Equal payloads meet by digest in partial aggregates, so a payload that a third of all pages share costs one row a task; the join
+    back is one that adaptive execution can split.  ``n_first`` is null where a payload is the only one of its kind.
     """
-    rows = pages.select(F.col("page_id"), F.col("url"), F.coalesce("html", F.lit("")).alias("html")).withColumn("row_uid", F.monotonically_increasing_id()).withColumn("digest", F.sha1("html"))
-    best = rows.filter(F.octet_length("html") >= min_bytes).groupBy("digest").agg(F.max(F.struct(F.coalesce("page_id", F.lit(-(1 << 63))).alias("p"), F.col("row_uid").alias("u"), F.col("page_id").alias("page"))).alias("best"), F.count("*").alias("n"))
-    best = best.filter("n > 1").select("digest", F.col("best.u").alias("first_uid"), F.col("best.page").alias("first_page"))
+    rows = pages.select("page_id", "url", F.coalesce("html", F.lit("")).alias("html")).withColumn("digest", F.sha1("html"))
+    ids = rows.filter(F.octet_length("html") >= min_bytes).groupBy("digest", "page_id").agg(F.count("*").alias("n"))
+    best = ids.groupBy("digest").agg(F.max(F.struct(F.coalesce("page_id", F.lit(-(1 << 63))).alias("p"), F.col("page_id").alias("page"), F.col("n").alias("n"))).alias("best"), F.sum("n").alias("n"))
+    best = best.filter("n > 1").select("digest", F.col("best.page").alias("first_page"), F.col("best.n").alias("n_first"))
     return rows.join(best, "digest", "left").drop("digest")
 
 
@@ -59,26 +61,30 @@ def base32_sha1(data: bytes) -> str:
     return base64.b32encode(hashlib.sha1(data).digest()).decode()
 
 
-def capture_records(run: str, uid: int, page, url: str | None, payload: bytes, first_uid, first_page) -> list[bytes]:
-    """The three records of one capture."""
-    rid = lambda kind, u: "urn:uuid:" + str(uuid.uuid5(uuid.UUID(run), f"{kind}/{u}"))
-    target, me = "".join((url or "").split()), rid("response", uid)
-    parts = urlsplit(target) if "[" not in target else urlsplit("")
+def capture_records(run: str, page, url: str | None, payload: bytes, first_page, n_first: int | None) -> list[bytes]:
+    """The three records of one capture.
+
+    The response that others refer to is named by its digest and page, which they know too; all other names are random.
+    """
+    fresh = lambda: f"urn:uuid:{uuid.uuid4()}"
     digest = "sha1:" + base32_sha1(payload)
+    known = f"urn:uuid:{uuid.uuid5(uuid.UUID(run), f'{digest}/{first_page}')}" if n_first == 1 else None
+    revisit = n_first is not None and page != first_page
+    target, me = "".join((url or "").split()), known if known and not revisit else fresh()
+    parts = urlsplit(target) if "[" not in target else urlsplit("")
     http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
-    revisit = first_uid is not None and first_uid != uid
     to = [("WARC-Target-URI", target)] if url is not None else []
     also = [("WARC-Concurrent-To", f"<{me}>")]
     if revisit:
-        main = record("revisit", me, [*to, ("WARC-Profile", PROFILE), ("WARC-Refers-To", f"<{rid('response', first_uid)}>"), ("WARC-Payload-Digest", digest), ("WARC-Truncated", "length"), ("Content-Type", "application/http;msgtype=response")], http)
+        main = record("revisit", me, [*to, ("WARC-Profile", PROFILE), *([("WARC-Refers-To", f"<{known}>")] if known else []), ("WARC-Payload-Digest", digest), ("WARC-Truncated", "length"), ("Content-Type", "application/http;msgtype=response")], http)
     else:
         main = record("response", me, [*to, ("WARC-Payload-Digest", digest), ("Content-Type", "application/http;msgtype=response")], http + payload)
     ask = f"GET {parts.path or '/'}{'?' + parts.query if parts.query else ''} HTTP/1.1\r\nHost: {parts.netloc}\r\n\r\n".encode()
-    about = "".join(f"{k}: {v}\r\n" for k, v in (("page-id", page), ("refers-to-page", first_page if revisit else None)) if v is not None).encode()
+    about = "".join(f"{k}: {v}\r\n" for k, v in (("page-id", page), ("page-url", None if url is None else json.dumps(url)), ("refers-to-page", first_page if revisit else None)) if v is not None).encode()
     return [
-        record("request", rid("request", uid), [*to, *also, ("Content-Type", "application/http;msgtype=request")], ask),
+        record("request", fresh(), [*to, *also, ("Content-Type", "application/http;msgtype=request")], ask),
         main,
-        record("metadata", rid("metadata", uid), [*to, *also, ("Content-Type", "application/warc-fields")], about),
+        record("metadata", fresh(), [*to, *also, ("Content-Type", "application/warc-fields")], about),
     ]
 
 
@@ -94,12 +100,12 @@ def write_archives(elected: DataFrame, folder: str, archive_bytes: int = ARCHIVE
         for batch in batches:
             for part in slices(batch, "html"):
                 payloads = text_bytes(part.column("html")).to_pylist()
-                cols = [part.column(k).to_pylist() for k in ("row_uid", "page_id", "url", "first_uid", "first_page")]
-                for payload, uid, page, url, first_uid, first_page in zip(payloads, *cols):
+                cols = [part.column(k).to_pylist() for k in ("page_id", "url", "first_page", "n_first")]
+                for payload, page, url, first_page, n_first in zip(payloads, *cols):
                     if out is None:
                         path, n, size = f"{uuid.uuid4().hex}.warc.gz", 0, 0
                         out = store.open_output_stream(f"{base}/{path}", compression=None)
-                    for r in capture_records(run, uid, page, url, payload, first_uid, first_page):
+                    for r in capture_records(run, page, url, payload, first_page, n_first):
                         member = gzip.compress(r, 1)
                         out.write(member)
                         n, size = n + 1, size + len(member)
@@ -111,7 +117,7 @@ def write_archives(elected: DataFrame, folder: str, archive_bytes: int = ARCHIVE
             out.close()
             yield row()
 
-    return elected.select("row_uid", "page_id", "url", "html", "first_uid", "first_page").mapInArrow(write, "path string, n_records long, n_bytes long")
+    return elected.select("page_id", "url", "html", "first_page", "n_first").mapInArrow(write, "path string, n_records long, n_bytes long")
 
 
 def parse_archive(stream) -> Iterator[tuple[dict[str, str], bytes]]:
@@ -131,7 +137,7 @@ def parse_archive(stream) -> Iterator[tuple[dict[str, str], bytes]]:
         yield head, block
 
 
-RECORDS = "record_type string, record_id string, concurrent_to string, target_uri string, warc_date string, payload_bytes long, payload_digest string, refers_to_id string, page_id long, refers_to long, payload binary"
+RECORDS = "record_type string, record_id string, concurrent_to string, target_uri string, warc_date string, payload_bytes long, payload_digest string, refers_to_id string, page_id long, url string, refers_to long, payload binary"
 
 
 def read_archives(manifest: DataFrame, with_payload: bool = True) -> DataFrame:
@@ -145,7 +151,7 @@ def read_archives(manifest: DataFrame, with_payload: bool = True) -> DataFrame:
                 with store.open_input_stream(base, compression=None) as raw, gzip.GzipFile(fileobj=raw) as stream:
                     for head, block in parse_archive(stream):
                         kind, bare = head["warc-type"], lambda k: head.get(k, "").strip("<>") or None  # noqa: B023
-                        n = digest = page = ref = payload = None
+                        n = digest = page = url = ref = payload = None
                         if kind in ("response", "revisit"):
                             http, _, body = block.partition(b"\r\n\r\n")
                             said = dict(x.split(b":", 1) for x in http.split(b"\r\n")[1:])
@@ -156,8 +162,8 @@ def read_archives(manifest: DataFrame, with_payload: bool = True) -> DataFrame:
                                     raise ValueError(f"damaged payload in {path}")
                         elif kind == "metadata":
                             f = dict(x.split(": ", 1) for x in block.decode().split("\r\n") if x)
-                            page, ref = f.get("page-id"), f.get("refers-to-page")
-                        rows.append((kind, bare("warc-record-id"), bare("warc-concurrent-to"), bare("warc-target-uri"), head.get("warc-date"), n, digest, bare("warc-refers-to"), page and int(page), ref and int(ref), payload))
+                            page, url, ref = f.get("page-id"), json.loads(f.get("page-url", "null")), f.get("refers-to-page")
+                        rows.append((kind, bare("warc-record-id"), bare("warc-concurrent-to"), bare("warc-target-uri"), head.get("warc-date"), n, digest, bare("warc-refers-to"), page and int(page), url, ref and int(ref), payload))
                         held += len(block)
                         if len(rows) >= 5000 or held >= 8 << 20:
                             yield as_frame(rows)
@@ -188,7 +194,7 @@ def assemble(records: DataFrame) -> DataFrame:
         .agg(
             part(F.col("record_type") == "request", "record_id", "target_uri").alias("request"),
             part(main, "record_type", "record_id", "target_uri", "warc_date", "payload_bytes", "payload_digest", "refers_to_id", "payload").alias("response"),
-            part(F.col("record_type") == "metadata", "record_id", "page_id", "refers_to").alias("metadata"),
+            part(F.col("record_type") == "metadata", "record_id", "page_id", "url", "refers_to").alias("metadata"),
         )
     )
 
@@ -201,11 +207,11 @@ def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = assemble(read_archives(dealt, with_payload=False))
     return found.select(
         F.col("metadata.page_id").alias("page_id"),
-        F.col("response.target_uri").alias("url"),
         F.col("response.payload_bytes").alias("payload_bytes"),
         F.col("response.payload_digest").alias("payload_digest"),
         F.col("response.record_type").alias("record_type"),
         F.col("metadata.refers_to").alias("refers_to"),
+        F.col("metadata.url").alias("url"),
     )
 
 

@@ -1,6 +1,8 @@
 import hashlib
 import io
+import math
 import random
+import re
 import wave
 import zlib
 
@@ -227,6 +229,30 @@ def test_language_is_identified_on_held_out_text(spark):
     assert all(0 <= r["score"] <= 1 for r in odd.values())
     nothing = langid.identify(docs(spark, ODD), langid.fit_on_documents(df.limit(0)))
     assert {r["lang_pred"] for r in nothing.collect()} == {"und"}
+    model = langid.fit_on_documents(df)
+    assert langid.identify(df.limit(0), model).count() == 0 and langid.with_language(df.limit(0), model).count() == 0
+
+
+def test_language_scores_against_brute_force(spark):
+    rows = [(i, t, lang, None, None) for i, (t, lang) in enumerate([("aa ab ab", "x"), ("ab ba bb", "y"), ("ba ba", "y")])]
+    model = langid.fit(spark.createDataFrame(rows, DOCS), fit_texts=10)
+    counts = {"x": {"aa": 1, "ab": 2}, "y": {"ab": 1, "ba": 3, "bb": 1}}
+    kinds = {w for c in counts.values() for w in c}
+    logs = {k: {w: math.log((c.get(w, 0) + 0.5) / (sum(c.values()) + 0.5 * len(kinds))) for w in kinds} for k, c in counts.items()}
+    pairs = {k: {} for k in counts}
+    for k, c in counts.items():
+        for w, n in c.items():
+            for i in range(len(w) + 1):
+                pairs[k][f" {w} "[i : i + 2]] = pairs[k].get(f" {w} "[i : i + 2], 0) + n
+    two = set(pairs["x"]) | set(pairs["y"])
+    of = {k: {g: math.log((c.get(g, 0) + 0.5) / (sum(c.values()) + 0.5 * len(two))) for g in two} for k, c in pairs.items()}
+    for text in ("ab", "ba aa", "ab bb bb"):
+        sums = {k: sum(logs[k][w] for w in text.split()) for k in counts}
+        lang, p = langid.Scorer(model).predict(pa.array([text]))
+        assert lang[0] == max(sums, key=sums.get) and p[0] == pytest.approx(1 / sum(math.exp(v - max(sums.values())) for v in sums.values()), abs=1e-4)
+    unseen = {k: np.mean([of[k][g] for g in (" a",)]) for k in counts}  # of "ac" only " a" is known at length 2, nothing longer
+    lang, _ = langid.Scorer(model).predict(pa.array(["ac"]))
+    assert lang[0] == max(unseen, key=unseen.get)
 
 
 def test_shifted_passages_share_chunks_and_are_reported(spark):
@@ -304,8 +330,11 @@ def test_edit_matching_against_brute_force(spark):
     want = {}
     for i, t in enumerate(texts):
         for k, p in items:
-            q = decontaminate.plain(p or "")
-            if q and (d := edit_distance_inside(q, decontaminate.plain(t))) <= decontaminate.budget(q, 0.1):
+            q, whole = decontaminate.plain(p or ""), decontaminate.plain(t)
+            if q and not (least := decontaminate.budget(q, 0.1)):
+                if re.search(rf"(?<![a-z]){re.escape(q)}(?![a-z])", whole):
+                    want[i, k] = 0
+            elif q and (d := edit_distance_inside(q, whole)) <= least:
                 want[i, k] = d
     assert got == want
     several = {(x["id"], x["item_id"]) for x in decontaminate.benchmark_matches(df, bench, share=0.1, pass_bytes=60).collect() if x["id"] is not None}
@@ -414,7 +443,7 @@ def test_suffix_cover_against_brute_force():
 
 def test_warc_round_trip(spark, tmp_path):
     rows = [(1, "http://a/x?q=1", "same"), (2, "http://b/", "same"), (3, None, None), (4, "http://c/", ""), (5, "http://d/", "é" * 3000), (5, "http://d/", "é" * 3000), (None, "http://e", "same"), (6, "http://f/\r\nX: y", "WARC/1.1\r\n\r\n")]
-    df = spark.createDataFrame(rows, "page_id bigint, url string, html string").withColumn("digest", F.lit(1)).withColumn("row_uid", F.lit(2))
+    df = spark.createDataFrame(rows, "page_id bigint, url string, html string").withColumn("digest", F.lit(1)).withColumn("n_first", F.lit(2))
     found = warc.assemble(warc.read_archives(warc.write_archives(warc.elect_responses(df), f"file://{tmp_path}/w", archive_bytes=500))).collect()
     assert len(found) == len(rows) and all(r["request"] and r["response"] and r["metadata"] for r in found)
     by = {}
@@ -422,14 +451,15 @@ def test_warc_round_trip(spark, tmp_path):
         by.setdefault(r["metadata"]["page_id"], []).append(r)
     assert by[2][0]["response"]["record_type"] == "response" and bytes(by[2][0]["response"]["payload"]) == b"same"
     assert by[1][0]["response"]["record_type"] == by[None][0]["response"]["record_type"] == "revisit" and by[1][0]["metadata"]["refers_to"] == 2
-    assert by[1][0]["response"]["payload_bytes"] == 4 and by[1][0]["response"]["refers_to_id"] == by[2][0]["response"]["record_id"]
+    assert by[1][0]["response"]["payload_bytes"] == 4 and by[1][0]["response"]["refers_to_id"] == by[2][0]["response"]["record_id"] is not None
     assert by[4][0]["response"]["record_type"] == "response" and by[3][0]["metadata"]["refers_to"] == 4 and by[3][0]["response"]["target_uri"] is None
-    assert sorted(x["response"]["record_type"] for x in by[5]) == ["response", "revisit"]
+    assert [x["response"]["record_type"] for x in by[5]] == ["response", "response"] and by[6][0]["metadata"]["url"] == "http://f/\r\nX: y"
     assert bytes(by[6][0]["response"]["payload"]) == b"WARC/1.1\r\n\r\n"
 
 
 def test_media_round_trip(spark):
-    rows = {r["id"]: r for r in media.fingerprints(media.media_column(docs(spark, ODD, extra=True))).collect()}
+    rows = {r["id"]: r for r in media.fingerprints(media.media_column(docs(spark, ODD, extra=True))).withColumn("feature", media.feature_of()).collect()}
+    assert media.fingerprints(media.media_column(docs(spark, ODD).limit(0))).count() == 0
     for i, t in enumerate(ODD):
         raw = (t or "").encode()
         want = raw + b"\0" * ((-len(raw)) % 64 if raw else 64)
