@@ -27,6 +27,31 @@ def shingles(text: Column, n: int) -> Column:
     return let(words(text), of)
 
 
+def hashed_shingles(text: Column, n: int) -> Column:
+    """The same as 64-bit hashes of word hashes: joins and distinct sets move eight bytes for each."""
+    def of(w: Column) -> Column:
+        full = F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: F.xxhash64(F.slice(w, i, n)))
+        return F.when(F.size(w) >= n, F.array_distinct(full)).when(F.size(w) > 0, F.array(F.xxhash64(w))).otherwise(F.array().cast("array<bigint>"))
+
+    return let(F.transform(words(text), lambda x: F.xxhash64(x)), of)
+
+
+def hashed_runs(text: Column, n: int) -> Column:
+    """Hashes of the runs of n words by position, none distinct; the whole sequence if it is shorter."""
+    def of(w: Column) -> Column:
+        full = F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: F.xxhash64(F.slice(w, i, n)))
+        return F.when(F.size(w) >= n, full).when(F.size(w) > 0, F.array(F.xxhash64(w))).otherwise(F.array().cast("array<bigint>"))
+
+    return let(F.transform(words(text), lambda x: F.xxhash64(x)), of)
+
+
+def count_cosine(a: Column, b: Column) -> Column:
+    """Cosine of the counts of two short arrays' elements."""
+    times = lambda x, e: F.size(F.filter(x, lambda y: y == e))
+    product = lambda x, y: F.aggregate(F.array_distinct(x), F.lit(0), lambda s, e: s + times(x, e) * times(y, e))
+    return product(a, b) / (F.sqrt(product(a, a)) * F.sqrt(product(b, b)))
+
+
 def char_grams(text: Column, n: int) -> Column:
     return F.when(F.length(text) >= n, F.transform(F.sequence(F.lit(1), F.length(text) - (n - 1)), lambda i: F.substring(text, i, n))).otherwise(F.array().cast("array<string>"))
 

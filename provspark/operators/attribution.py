@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from provspark.config import ScoringConfig
 from provspark.functions.keys import outcome_code, scale_law
+from provspark.operators.evaluation import mean_at_k, pass_at_k
 
 CODES = ("00", "01", "10", "11")
 
@@ -48,10 +49,20 @@ def propagate_labels(labelled: DataFrame, keyed_items: DataFrame) -> DataFrame:
     return keyed_items.select("dataset_id", "item_id", "key").join(one, "key").select("dataset_id", "item_id", "l.base_ok", "l.tuned_ok")
 
 
-def mixture_gain(decomposition: DataFrame, gains: DataFrame) -> DataFrame:
-    """(dataset_id, gain): a set's gain as the share-weighted gains of its sources; sources without one give nothing."""
-    g = gains.select(F.col("source").alias("origin"), "gain")
-    return decomposition.join(g, "origin", "left").groupBy("dataset_id").agg(F.round(F.sum(F.col("share") * F.coalesce("gain", F.lit(0.0))), 6).alias("gain"))
+def source_gains(rollouts: DataFrame, base: str, k: int = 4) -> DataFrame:
+    """(source, d_mean, d_pass): Mean@k and Pass@k of the checkpoint tuned on each source, less those of the base model.
+
+    rollouts: (model, item, sample, reward) on the validation items, a model being ``base`` or a source.
+    """
+    both = mean_at_k(rollouts, k).select("model", "mean_at_k").join(pass_at_k(rollouts, k).select("model", "pass_at_k"), "model")
+    start = both.filter(F.col("model") == base).select(F.col("mean_at_k").alias("m0"), F.col("pass_at_k").alias("p0"))
+    return both.filter(F.col("model") != base).crossJoin(F.broadcast(start)).select(F.col("model").alias("source"), F.round(F.col("mean_at_k") - F.col("m0"), 6).alias("d_mean"), F.round(F.col("pass_at_k") - F.col("p0"), 6).alias("d_pass"))
+
+
+def mixture_gain(decomposition: DataFrame, gains: DataFrame, *cols: str) -> DataFrame:
+    """(dataset_id, cols): a set's gains as the share-weighted gains of its sources; sources without one give nothing."""
+    g = gains.select(F.col("source").alias("origin"), *cols)
+    return decomposition.join(g, "origin", "left").groupBy("dataset_id").agg(*[F.round(F.sum(F.col("share") * F.coalesce(c, F.lit(0.0))), 6).alias(c) for c in cols])
 
 
 def between_within(pairs: DataFrame) -> DataFrame:

@@ -7,29 +7,39 @@ from pyspark.sql import functions as F
 
 from provspark.functions.keys import seeded
 from provspark.functions.text import OPTION_LINE, is_multi_option, option_letters, option_texts
+from provspark.operators.shared import cut
 
 
 def refill_pool(source_items: DataFrame, leaked: DataFrame, learnable: DataFrame, present: DataFrame) -> DataFrame:
     """Items of a source that are no multiple choice, learnable, not leaked and new to the set; one item a key.
 
-    present: (key) of the set; learnable and leaked: (item_id).
+    source_items: (item_id, seq, key, options, ...); present: (key) of the set; learnable and leaked: (item_id).
     """
-    ok = source_items.filter(~is_multi_option(F.col("prompt"))).join(learnable.select("item_id").distinct(), "item_id", "left_semi").join(leaked.select("item_id").distinct(), "item_id", "left_anti").join(present.select("key").distinct(), "key", "left_anti")
+    ok = source_items.filter(~F.col("options")).join(learnable.select("item_id").distinct(), "item_id", "left_semi").join(leaked.select("item_id").distinct(), "item_id", "left_anti").join(present.select("key").distinct(), "key", "left_anti")
     return ok.withColumn("r", F.row_number().over(Window.partitionBy("key").orderBy("seq"))).filter("r = 1").drop("r")
 
 
 def first_by_seed(pool: DataFrame, n: int, seed: str) -> DataFrame:
-    """The n items that come first in seeded order; a distributed top-n."""
-    return pool.withColumn("seeded", seeded(seed, F.col("item_id"))).orderBy("seeded", "item_id").limit(n).drop("seeded")
+    """The n items that come first in seeded order.
+
+    The order is cut into 65,536 bins; bins before the one in which the n-th item falls are taken whole, and only that one is ranked, so
+    no task gathers n rows.
+    """
+    rows = pool.withColumn("seeded", seeded(seed, F.col("item_id"))).withColumn("bin", F.substring("seeded", 1, 4))
+    so_far = Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
+    bins = rows.groupBy("bin").agg(F.count("*").alias("size")).withColumn("before", F.coalesce(F.sum("size").over(so_far), F.lit(0)))
+    placed = rows.join(F.broadcast(bins.filter(F.col("before") < n)), "bin")  # 65,536 rows at most
+    edge = placed.filter(F.col("before") + F.col("size") > n).withColumn("r", F.row_number().over(Window.partitionBy("bin").orderBy("seeded", "item_id"))).filter(F.col("r") <= n - F.col("before")).drop("r")
+    return placed.filter(F.col("before") + F.col("size") <= n).unionByName(edge).drop("seeded", "bin", "size", "before")
 
 
 def curate(items: DataFrame, leaked: DataFrame, pool: DataFrame, seed: str) -> tuple[DataFrame, dict]:
-    """A set without its leaked items, refilled to its size; (items with ``origin``, counts)."""
-    kept = items.join(leaked.select("item_id").distinct(), "item_id", "left_anti")
+    """A set without its leaked items, refilled to its size; (items with ``origin``, counts).  ``leaked`` is a written table of item_id."""
+    kept = items.join(leaked, "item_id", "left_anti")
     removed = items.count() - kept.count()
-    added = first_by_seed(pool, removed, seed)
+    added = cut(first_by_seed(pool, removed, seed), "added")
     n = added.count()
-    cols = ["dataset_id", "item_id", "seq", "prompt"]
+    cols = ["dataset_id", "item_id", "seq", "options"]
     out = kept.select(*cols, F.lit("kept").alias("origin")).unionByName(added.select(*cols, F.lit("added").alias("origin")))
     return out, {"removed": removed, "added": n, "shortfall": removed - n}
 
@@ -59,5 +69,5 @@ def shuffle_options(items: DataFrame, seed: str) -> DataFrame:
 def curate_report(before: DataFrame, after: DataFrame, leaked: DataFrame) -> DataFrame:
     """(version, n_items, option_share, leak_rate)."""
     l_ids = leaked.select("item_id").distinct().withColumn("leaked", F.lit(1.0))
-    both = before.select(F.lit("before").alias("version"), "item_id", "prompt").unionByName(after.select(F.lit("after").alias("version"), "item_id", "prompt"))
-    return both.join(l_ids, "item_id", "left").groupBy("version").agg(F.count("*").alias("n_items"), F.round(F.avg(is_multi_option(F.col("prompt")).cast("double")), 6).alias("option_share"), F.round(F.avg(F.coalesce("leaked", F.lit(0.0))), 6).alias("leak_rate"))
+    both = before.select(F.lit("before").alias("version"), "item_id", "options").unionByName(after.select(F.lit("after").alias("version"), "item_id", "options"))
+    return both.join(l_ids, "item_id", "left").groupBy("version").agg(F.count("*").alias("n_items"), F.round(F.avg(F.col("options").cast("double")), 6).alias("option_share"), F.round(F.avg(F.coalesce("leaked", F.lit(0.0))), 6).alias("leak_rate"))

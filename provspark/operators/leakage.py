@@ -6,14 +6,18 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from provspark.functions.keys import join_key, normalized
-from provspark.functions.text import is_multi_option, let, shingles, words
+from provspark.functions.text import count_cosine, hashed_runs, hashed_shingles, is_multi_option, let, words
+from provspark.operators.shared import cut
 
-#: Benchmarks may be broadcast up to so many rows; beyond, joins are left to Spark.
-BROADCAST_ITEMS = 200_000
+#: Bytes of benchmark text that may be sent to all workers; beyond, joins are left to Spark.
+BROADCAST_BYTES = 32 << 20
 
 
-def sized(bench: DataFrame) -> DataFrame:
-    return F.broadcast(bench) if bench.limit(BROADCAST_ITEMS + 1).count() <= BROADCAST_ITEMS else bench
+def sized(table: DataFrame, bench: DataFrame | None = None) -> DataFrame:
+    """A table made of the benchmark, to be broadcast if the benchmark's text is within the bound (its size is read, not computed)."""
+    text = table if bench is None else bench
+    size = text.agg(F.coalesce(F.sum(F.octet_length(F.to_json(F.struct("*")))), F.lit(0))).first()[0]
+    return F.broadcast(table) if size <= BROADCAST_BYTES else table
 
 
 def leak_exact(items: DataFrame, bench: DataFrame, level: str = "raw") -> DataFrame:
@@ -28,15 +32,41 @@ def containment(items: DataFrame, bench: DataFrame, n: int = 5, least: float = 0
     An equi-join on shingles: only texts that share one meet, and the benchmark side is small.  Items with
     fewer than n words are one shingle, which longer texts do not hold; they match by whole text.
     """
-    b = bench.select(F.col("item_id").alias("bench_item"), shingles(F.col("text"), n).alias("sh")).filter(F.size("sh") > 0)
+    b = bench.select(F.col("item_id").alias("bench_item"), hashed_shingles(F.col("text"), n).alias("sh")).filter(F.size("sh") > 0)
     each = b.select("bench_item", F.size("sh").alias("size"), F.explode("sh").alias("g"))
-    mine = items.select("dataset_id", "item_id", F.explode(shingles(F.col("prompt"), n)).alias("g"))
-    hits = mine.join(sized(each), "g").groupBy("dataset_id", "item_id", "bench_item").agg(F.count("*").alias("shared"), F.first("size").alias("size"))
+    mine = items.select("dataset_id", "item_id", F.explode(hashed_shingles(F.col("prompt"), n)).alias("g"))
+    hits = mine.join(sized(each, bench.select("text")), "g").groupBy("dataset_id", "item_id", "bench_item").agg(F.count("*").alias("shared"), F.first("size").alias("size"))
     return hits.withColumn("similarity", F.round(F.col("shared") / F.col("size"), 6)).filter(F.col("similarity") >= least).drop("shared", "size")
 
 
+def similar_windows(items: DataFrame, bench: DataFrame, least: float = 0.8, anchor: int = 4) -> DataFrame:
+    """(dataset_id, item_id, bench_item, at, sim): the passage of each text that is most like a benchmark item.
+
+    A passage has the item's number of words; its similarity is the cosine of word counts.  Passages are those that lay two runs of
+    ``anchor`` words of the item (one, if it has no more) over the same runs of the text, an equi-join on hashes; texts that share
+    none with the item are not compared.  Equal best passages: the first.
+    """
+    runs = lambda text: hashed_runs(text, anchor)
+    b = bench.select(F.col("item_id").alias("bench_item"), F.posexplode(runs(F.col("text"))).alias("b_at", "g"), F.size(words(F.col("text"))).alias("m"))
+    mine = items.select("dataset_id", "item_id", F.size(words(F.col("prompt"))).alias("n"), F.posexplode(runs(F.col("prompt"))).alias("p_at", "g"))
+    at = F.least(F.greatest(F.col("p_at") - F.col("b_at"), F.lit(0)), F.greatest(F.col("n") - F.col("m"), F.lit(0)))
+    cands = cut(mine.join(sized(b, bench.select("text")), "g").select("dataset_id", "item_id", "bench_item", at.alias("at"), "m", "b_at").groupBy("dataset_id", "item_id", "bench_item", "at", "m").agg(F.count_distinct("b_at").alias("laid")).filter(F.col("laid") >= F.least(F.lit(2), F.greatest(F.lit(1), F.col("m") - (anchor - 1)))).drop("laid"), "passages")
+    wanted = cands.groupBy("dataset_id", "item_id").agg(F.collect_list(F.struct("bench_item", "at", "m")).alias("c"))
+    each = items.select("dataset_id", "item_id", "prompt").join(wanted, ["dataset_id", "item_id"])
+    hashes = F.transform(words(F.col("prompt")), lambda w: F.xxhash64(w))
+    passages = each.select("dataset_id", "item_id", F.inline(let(hashes, lambda w: F.transform(F.col("c"), lambda c: F.struct(c["bench_item"].alias("bench_item"), c["at"].alias("at"), F.slice(w, c["at"] + 1, c["m"]).alias("p"))))))
+    own = bench.select(F.col("item_id").alias("bench_item"), F.transform(words(F.col("text")), lambda w: F.xxhash64(w)).alias("q"))
+    rows = passages.join(sized(own, bench.select("text")), "bench_item").withColumn("sim", F.round(count_cosine(F.col("p"), F.col("q")), 6)).filter(F.col("sim") >= least)
+    best = rows.groupBy("dataset_id", "item_id", "bench_item").agg(F.min(F.struct((-F.col("sim")).alias("s"), F.col("at").alias("at"))).alias("x"))
+    return best.select("dataset_id", "item_id", "bench_item", F.col("x.at").alias("at"), (-F.col("x.s")).alias("sim"))
+
+
 def kind_of(pairs: DataFrame, items: DataFrame, bench: DataFrame) -> DataFrame:
-    """Pairs with the first kind that holds: verbatim, formatting, embedded, option_transformed, rewritten."""
+    """Pairs with the first kind that holds: verbatim, formatting, option_transformed, embedded, rewritten.
+
+    ``similarity`` is the pairs' containment; a ``cosine`` of their best passage may be there as well.
+    """
+    cosine = F.coalesce("cosine", F.lit(0.0)) if "cosine" in pairs.columns else F.lit(0.0)
     a = items.select("dataset_id", "item_id", F.col("prompt").alias("p"))
     b = bench.select(F.col("item_id").alias("bench_item"), F.col("text").alias("t"))
     rows = pairs.join(a, ["dataset_id", "item_id"]).join(sized(b), "bench_item")
@@ -46,7 +76,7 @@ def kind_of(pairs: DataFrame, items: DataFrame, bench: DataFrame) -> DataFrame:
         .when(same("letters"), "formatting")
         .when((is_multi_option(F.col("p")) != is_multi_option(F.col("t"))) & F.col("p").contains(F.col("t")), "option_transformed")
         .when((F.col("similarity") >= 1.0) & (F.length("p") > F.length("t")), "embedded")
-        .when(F.col("similarity") >= 0.9, "rewritten")
+        .when((F.col("similarity") >= 0.9) | (cosine >= 0.8), "rewritten")
         .otherwise("partial")
     )
     return rows.withColumn("kind", kind).drop("p", "t")

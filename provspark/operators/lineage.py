@@ -30,11 +30,10 @@ def set_states(keyed_items: DataFrame, *extra: Column) -> DataFrame:
     return keyed_items.filter("key IS NOT NULL").groupBy("key", "dataset_id", "dataset_no", "released_at").agg(F.count("*").alias("n_items"), F.min(F.struct("seq", "item_id")).alias("first_item"), *extra)
 
 
-def build_index(items: DataFrame, max_occurrences: int = 5, level: str = "raw") -> DataFrame:
+def build_index(items: DataFrame, level: str = "raw") -> DataFrame:
     """The lineage dictionary: (key, n_items, n_sets, first, occurrences, meta).
 
-    ``occurrences`` holds the earliest sets of a key up to ``max_occurrences``; counts cover all.  The
-    list that is gathered has at most one entry a set, never one an item.
+    ``occurrences`` holds every set of a key in release order: one entry a set, never one an item.
     """
     states = set_states(keyed(items, level), F.min_by("meta", F.col("seq")).alias("meta"))
     entry = F.struct("released_at", "dataset_no", F.col("first_item.seq").alias("seq"), "dataset_id", F.col("first_item.item_id").alias("item_id"))
@@ -42,7 +41,7 @@ def build_index(items: DataFrame, max_occurrences: int = 5, level: str = "raw")
         F.sum("n_items").alias("n_items"),
         F.count("*").alias("n_sets"),
         F.min(entry).alias("first"),
-        F.slice(F.array_sort(F.collect_list(entry)), 1, max_occurrences).alias("occurrences"),
+        F.array_sort(F.collect_list(entry)).alias("occurrences"),
         F.min_by("meta", F.struct("released_at", "dataset_no")).alias("meta"),
     )
 
@@ -94,7 +93,11 @@ def attribute_exact(items: DataFrame, plan: str = "aggregate_join", level: str =
     "aggregate_join" shuffles keys twice and lets adaptive execution split a hot key; "window"
     shuffles once and sorts, which suits small inputs.
     """
-    rows = keyed(items, level)
+    return attribute_keyed(keyed(items, level), plan)
+
+
+def attribute_keyed(rows: DataFrame, plan: str = "aggregate_join") -> DataFrame:
+    """The same for rows that have their keys."""
     if plan == "window":
         w = Window.partitionBy("key")
         at = F.struct("released_at", "dataset_no", "dataset_id")
@@ -136,4 +139,4 @@ def hex_key() -> Column:
     return F.lower(F.hex("key"))
 
 
-__all__ = ["append_to_index", "attribute_exact", "build_index", "content_key", "hex_key", "inspection_sample", "keyed", "long_index", "lookup", "merge_metadata", "occurrence_status", "origins", "release_timeline", "set_states", "strip_instructions", "unmatched"]
+__all__ = ["append_to_index", "attribute_exact", "attribute_keyed", "build_index", "content_key", "hex_key", "inspection_sample", "join_key", "keyed", "long_index", "lookup", "merge_metadata", "occurrence_status", "origins", "release_timeline", "set_states", "strip_instructions", "unmatched"]

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from provspark.operators.shared import cut
 from provspark.sources.carriers import ATOMIC, TRAINING, role_of
 
 UNKNOWN = "unknown"
@@ -96,16 +97,20 @@ def inheritance(states: DataFrame) -> DataFrame:
     return states.withColumn("introducer", F.first("dataset_id").over(w)).filter("introducer <> dataset_id").groupBy("introducer", F.col("dataset_id").alias("heir")).agg(F.count("*").alias("n"))
 
 
-def ancestry(edges: DataFrame, max_depth: int = 20) -> DataFrame:
-    """(child, ancestor, depth): shortest chains of parents, by a recursive query over the edge table of at most D^2 rows."""
-    edges.select("parent", "child").distinct().createOrReplaceTempView("provspark_edges")
-    return edges.sparkSession.sql(
-        f"""WITH RECURSIVE up(child, ancestor, depth) AS (
-              SELECT child, parent, 1 FROM provspark_edges
-              UNION ALL
-              SELECT u.child, e.parent, u.depth + 1 FROM up u JOIN provspark_edges e ON e.child = u.ancestor WHERE u.depth < {max_depth}
-            ) SELECT child, ancestor, CAST(min(depth) AS BIGINT) AS depth FROM up GROUP BY child, ancestor"""
-    )
+def ancestry(edges: DataFrame) -> DataFrame:
+    """(child, ancestor, depth): the least number of steps up, for chains of any length.
+
+    Each round doubles the depth that is covered and keeps one row a pair, so rows never exceed D^2 for D sets and rounds are
+    the logarithm of the longest chain; paths are never listed.
+    """
+    known = cut(edges.select("child", F.col("parent").alias("ancestor"), F.lit(1).cast("bigint").alias("depth")).filter("child <> ancestor").distinct(), "up")
+    size: tuple | None = None
+    while True:
+        further = known.alias("x").join(known.alias("y"), F.col("x.ancestor") == F.col("y.child")).select("x.child", "y.ancestor", (F.col("x.depth") + F.col("y.depth")).alias("depth")).filter("child <> ancestor")
+        known, before = cut(known.unionByName(further).groupBy("child", "ancestor").agg(F.min("depth").alias("depth")), "up"), size
+        size = tuple(known.agg(F.count("*"), F.sum("depth")).first())
+        if size == before:
+            return known
 
 
 def coverage(attributed: DataFrame) -> DataFrame:

@@ -2,24 +2,12 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from provspark.config import STOP_SHARE
 from provspark.functions.text import is_multi_option
-
-
-def shared_folder(spark: SparkSession) -> str:
-    return (spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/provspark-shared").rstrip("/")
-
-
-def cut(df: DataFrame, name: str) -> DataFrame:
-    """Written to the folder that all executors share and read again: plans do not grow and executors may be lost."""
-    path = f"{shared_folder(df.sparkSession)}/provspark-{uuid.uuid4().hex[:12]}-{name}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+from provspark.operators.shared import cut
 
 
 def format_profile(items: DataFrame, by: list[str]) -> DataFrame:

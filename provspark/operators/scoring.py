@@ -91,6 +91,16 @@ def blend(gain: Column, l_score: Column, share: Column) -> Column:
     return share * gain + (1 - share) * l_score
 
 
+def dynamic_parts(parts: DataFrame, cfg: ScoringConfig) -> DataFrame:
+    """Parts with s2 and s3: a set's Mean@k and Pass@k gains on the scale of all sets, each blended with learnability.
+
+    parts: (scale, model_size, dataset_id, d_mean, d_pass, l, ...).
+    """
+    share = scale_law(cfg.gain_share, F.col("model_size"))
+    part = lambda gain: F.round(blend(normalize_gain(parts, gain, by=["scale"]), F.col("l"), share), 6)
+    return parts.withColumn("s2", part("d_mean")).withColumn("s3", part("d_pass"))
+
+
 def scales_table(spark, cfg: ScoringConfig) -> DataFrame:
     return spark.createDataFrame(list(zip(cfg.names, cfg.scales)), "scale string, model_size double")
 

@@ -1,4 +1,4 @@
-"""Encoders and top-k retrieval by cosine: exact, inverted, hyperplane bands, cells, and MinHash for text."""
+"""Encoders and top-k retrieval by cosine: exact blocks, token prefixes, hyperplane bands, cells, and MinHash for text."""
 
 from __future__ import annotations
 
@@ -9,8 +9,9 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from provspark.functions.text import let, shingles, words
+from provspark.functions.text import hashed_shingles, let, words
 from provspark.functions.vectors import cosine
+from provspark.operators.shared import cut
 
 #: Bytes of vectors in one broadcast block of the exact strategy.
 BLOCK_BYTES = 64 << 20
@@ -49,59 +50,79 @@ def best_per_item(pairs: DataFrame, k: int) -> DataFrame:
     return pairs.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
 
 
-def exact_pairs(left: DataFrame, right: DataFrame, threshold: float) -> DataFrame:
-    """Every pair in code generation: a nested loop, for tests and for small right sides."""
-    a = left.select("id", F.col("embedding").alias("x"))
-    b = right.select(F.col("id").alias("other"), F.col("embedding").alias("y"))
-    return a.crossJoin(F.broadcast(b)).filter("id <> other").select("id", "other", cosine(F.col("x"), F.col("y")).alias("sim")).filter(F.col("sim") >= threshold)
+def numbers(embeddings: pd.Series) -> np.ndarray:
+    """Unit rows in double; zero vectors stay zero."""
+    m = np.array(embeddings.tolist(), dtype=np.float64).reshape(len(embeddings), -1)
+    return m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
 
 
-def exact_blocked(left: DataFrame, right: DataFrame, threshold: float, k: int, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """The right side in broadcast blocks of bounded size; a matrix product and a partial top-k for each.
+def block_matches(a: pd.DataFrame, ids: np.ndarray, m: np.ndarray, threshold: float, k: int | None) -> pd.DataFrame:
+    """(id, other, sim) of a block: all at the threshold, or of each id its k best and what ties with the last of them."""
+    if not len(a) or not len(ids):
+        return pd.DataFrame({"id": [], "other": [], "sim": []}).astype({"id": "int64", "other": "int64", "sim": "float64"})
+    own = a["id"].to_numpy()
+    sims = np.round(np.clip(numbers(a["embedding"]) @ m.T, -1, 1), 12)
+    sims[own[:, None] == ids[None, :]] = -2
+    least = np.full(len(own), threshold)
+    if k is not None and k < len(ids):
+        least = np.maximum(least, -np.partition(-sims, k - 1, axis=1)[:, k - 1])
+    r, c = np.nonzero(sims >= least[:, None])
+    return pd.DataFrame({"id": own[r], "other": ids[c], "sim": sims[r, c]})
 
-    k rows an item and block leave the workers.  The number of blocks follows the right side's size.
+
+def blocked_pairs(left: DataFrame, right: DataFrame, threshold: float, k: int | None = None, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """(id, other, sim) of all pairs at the threshold by matrix products, or of those that may be among an id's k best.
+
+    A right side within ``block_bytes`` is sent to every worker once.  A larger one and the left side are dealt into blocks of that
+    size, and each pair of blocks meets in a task; nothing of either goes through the driver.
     """
     spark, n = left.sparkSession, right.count()
-    dims = len(right.select("embedding").first()[0]) if n else 0
+    dims = len(right.select("embedding").first()[0] or []) if n else 0
     blocks = max(1, -(-n * dims * 8 // block_bytes))
-    out = None
-    for i in range(blocks):
-        part = right.filter(F.pmod(F.xxhash64("id"), F.lit(blocks)) == i).toPandas()
-        held = spark.sparkContext.broadcast((part["id"].to_numpy(), np.array(part["embedding"].tolist(), dtype=np.float64).reshape(len(part), -1)))
-
-        def top(frames: Iterator[pd.DataFrame], held=held) -> Iterator[pd.DataFrame]:
-            ids, m = held.value
-            m = m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
+    schema = "id long, other long, sim double"
+    left, right = left.select("id", "embedding").filter("embedding IS NOT NULL"), right.select("id", "embedding").filter("embedding IS NOT NULL")
+    if blocks == 1:
+        part = right.toPandas()
+        held = spark.sparkContext.broadcast((part["id"].to_numpy(dtype=np.int64), numbers(part["embedding"])))
+
+        def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             for f in frames:
-                if not len(f) or not len(ids):
-                    continue
-                x = np.array(f["embedding"].tolist(), dtype=np.float64)
-                own = f["id"].to_numpy()
-                sims = np.clip(x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300) @ m.T, -1, 1)
-                sims[own[:, None] == ids[None, :]] = -2
-                take = np.argpartition(-sims, min(k + 8, len(ids) - 1), axis=1)[:, : k + 8]
-                r = np.repeat(np.arange(len(own)), take.shape[1])
-                c = take.ravel()
-                ok = sims[r, c] >= threshold
-                yield pd.DataFrame({"id": own[r[ok]], "other": ids[c[ok]], "sim": sims[r[ok], c[ok]]})
+                yield block_matches(f, *held.value, threshold, k)
 
-        found = left.select("id", "embedding").mapInPandas(top, "id long, other long, sim double")
-        out = found if out is None else out.unionByName(found)
-    return best_per_item(out, k)
+        return left.mapInPandas(run, schema)
+    rows = max(1, -(-left.count() * dims * 8 // block_bytes))
+    deal = lambda df, own, size, other, count: df.withColumn(own, F.pmod(F.xxhash64("id"), F.lit(size))).withColumn(other, F.explode(F.sequence(F.lit(0), F.lit(count - 1))))
+    a, b = deal(left, "i", rows, "j", blocks), deal(right, "j", blocks, "i", rows)
+    meet = lambda x, y: block_matches(x, y["id"].to_numpy(dtype=np.int64), numbers(y["embedding"]), threshold, k)
+    return a.withColumn("j", F.col("j").cast("bigint")).groupBy("i", "j").cogroup(b.withColumn("i", F.col("i").cast("bigint")).groupBy("i", "j")).applyInPandas(meet, schema)
 
 
-def inverted_pairs(left: DataFrame, right: DataFrame, threshold: float, max_df: int | None = None) -> DataFrame:
-    """Sparse vectors (id, token, weight) joined by token; every product that is not zero is summed.
+def exact_pairs(left: DataFrame, right: DataFrame, threshold: float) -> DataFrame:
+    return blocked_pairs(left, right, threshold)
+
+
+def exact_blocked(left: DataFrame, right: DataFrame, threshold: float, k: int, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """The k best of each id, ties to the least other id."""
+    return best_per_item(blocked_pairs(left, right, threshold, k, block_bytes), k)
+
 
-    ``max_df`` leaves very frequent tokens out of candidate search; candidates are then scored in full.
+def prefix_pairs(left: DataFrame, right: DataFrame, threshold: float) -> DataFrame:
+    """Pairs (id, other, sim) of sparse unit vectors (id, token, weight) with a cosine of at least ``threshold``, none missed.
+
+    Tokens are ordered from rare to frequent.  What follows the shortest prefix whose rest is shorter than the threshold cannot reach
+    it alone, so two similar vectors share a token of both prefixes; the frequent tokens, which would pair everything, seldom are.
+    Candidates are then scored in full.
     """
+    df = right.groupBy("token").agg(F.count("*").alias("df"))
+    order = Window.partitionBy("id").orderBy("df", "token").rowsBetween(Window.unboundedPreceding, -1)
+
+    def prefix(vectors: DataFrame) -> DataFrame:
+        before = F.coalesce(F.sum(F.col("weight") * F.col("weight")).over(order), F.lit(0.0))
+        return vectors.join(df, "token").withColumn("before", before).filter(F.lit(1.0) - F.col("before") >= threshold * threshold - 1e-9).select("id", "token")
+
+    cands = prefix(left).join(prefix(right).withColumnRenamed("id", "other"), "token").filter("id <> other").select("id", "other").distinct()
     r = right.select(F.col("id").alias("other"), "token", F.col("weight").alias("w"))
-    if max_df is None:
-        found = left.join(r, "token").filter("id <> other").groupBy("id", "other").agg(F.sum(F.col("weight") * F.col("w")).alias("sim"))
-        return found.filter(F.col("sim") >= threshold)
-    rare = right.groupBy("token").count().filter(F.col("count") <= max_df).select("token")
-    cands = left.join(rare, "token").join(r, "token").filter("id <> other").select("id", "other").distinct()
-    return cands.join(left, "id").join(r, ["other", "token"]).groupBy("id", "other").agg(F.sum(F.col("weight") * F.col("w")).alias("sim")).filter(F.col("sim") >= threshold)
+    return cands.join(left, "id").join(r, ["other", "token"]).groupBy("id", "other").agg(F.round(F.sum(F.col("weight") * F.col("w")), 6).alias("sim")).filter(F.col("sim") >= threshold)
 
 
 def hyperplane_keys(vectors: DataFrame, dims: int, bands: int, bits: int, seed: int = 7) -> DataFrame:
@@ -126,28 +147,66 @@ def verify(pairs: DataFrame, left: DataFrame, right: DataFrame, threshold: float
     return pairs.join(a, "id").join(b, "other").select("id", "other", cosine(F.col("x"), F.col("y")).alias("sim")).filter(F.col("sim") >= threshold)
 
 
-def hyperplane_pairs(left: DataFrame, right: DataFrame, threshold: float, dims: int, bands: int = 64, bits: int = 6) -> DataFrame:
+def band_shape(rows: int, threshold: float, recall: float = 0.97, bucket: int = 16) -> tuple[int, int]:
+    """(bands, bits): bits grow with the logarithm of the rows, so buckets keep their size; bands follow from the wished recall."""
+    bits = max(4, int(np.ceil(np.log2(max(1, rows) / bucket))))
+    same = (1 - np.arccos(min(1.0, threshold)) / np.pi) ** bits
+    return max(1, int(np.ceil(np.log(1 - recall) / np.log1p(-same)))), bits
+
+
+def hyperplane_pairs(left: DataFrame, right: DataFrame, threshold: float, dims: int, bands: int | None = None, bits: int | None = None) -> DataFrame:
+    """Pairs that share a band's key, verified; hot keys are left to adaptive execution, which splits them."""
+    if bands is None or bits is None:
+        bands, bits = band_shape(right.count(), threshold)
     a, b = hyperplane_keys(left, dims, bands, bits), hyperplane_keys(right, dims, bands, bits).withColumnRenamed("id", "other")
     return verify(a.join(b, ["band", "key"]).filter("id <> other").select("id", "other").distinct(), left, right, threshold)
 
 
-def cell_pairs(left: DataFrame, right: DataFrame, threshold: float, cells: int = 16, probes: int = 10, fit_rows: int = 20_000, seed: int = 7) -> DataFrame:
-    """K-means cells over at most about ``fit_rows`` right vectors; each left vector probes its nearest cells."""
+def some_rows(df: DataFrame, rows: int, seed: int) -> DataFrame:
+    """About ``rows`` rows, by a seeded hash of their ids."""
+    share = min(1.0, rows / max(1, df.count()))
+    return df.filter(F.pmod(F.xxhash64(F.lit(seed), "id"), F.lit(1 << 30)) < int(share * (1 << 30)))
+
+
+def nearest_cells(centers: np.ndarray, x: np.ndarray) -> np.ndarray:
+    return ((centers**2).sum(1)[None, :] - 2 * x @ centers.T).argsort(axis=1, kind="stable")
+
+
+def cell_model(left: DataFrame, right: DataFrame, threshold: float, cells: int | None = None, recall: float = 0.95, fit_rows: int = 20_000, probe_rows: int = 500, seed: int = 7) -> tuple[np.ndarray, int, list[float]]:
+    """(centers, probes, recall by number of probes): k-means on a bounded sample of about the square root of the rows' number of cells.
+
+    Probes are the fewest that reach the wished recall between a sample of the left side and that of the right one.
+    """
     from pyspark.ml.clustering import KMeans
     from pyspark.ml.functions import array_to_vector
 
-    n = right.count()
-    sample = right.filter(F.pmod(F.xxhash64(F.lit(seed), "id"), F.lit(1 << 30)) < int(min(1.0, fit_rows / max(1, n)) * (1 << 30)))
-    model = KMeans(k=cells, seed=seed, featuresCol="v", maxIter=10).fit(sample.select(array_to_vector(F.col("embedding").cast("array<double>")).alias("v")))
-    centers = np.array(model.clusterCenters())
+    cells = cells or max(2, round(right.count() ** 0.5))
+    sample = some_rows(right, fit_rows, seed).select("id", "embedding")
+    fitted = KMeans(k=cells, seed=seed, featuresCol="v", maxIter=10).fit(sample.select(array_to_vector(F.col("embedding").cast("array<double>")).alias("v")))
+    centers = np.array(fitted.clusterCenters())
+    probe, held = some_rows(left, probe_rows, seed + 1).select("id", "embedding").toPandas(), sample.toPandas()
+    if not len(probe) or not len(held):
+        return centers, len(centers), [1.0] * len(centers)
+    x, y = numbers(probe["embedding"]), numbers(held["embedding"])
+    r, c = np.nonzero((x @ y.T >= threshold) & (probe["id"].to_numpy()[:, None] != held["id"].to_numpy()[None, :]))
+    cell = nearest_cells(centers, np.array(held["embedding"].tolist(), float))[:, 0]
+    near = nearest_cells(centers, np.array(probe["embedding"].tolist(), float))
+    place = (near[r] == cell[c][:, None]).argmax(axis=1)
+    reached = [float((place <= p).mean()) if len(place) else 1.0 for p in range(len(centers))]
+    return centers, next((p + 1 for p, v in enumerate(reached) if v >= recall), len(centers)), reached
+
+
+def cell_pairs(left: DataFrame, right: DataFrame, threshold: float, cells: int | None = None, probes: int | None = None) -> DataFrame:
+    """Pairs whose right side lies in one of the left side's nearest cells, verified."""
+    centers, enough, _ = cell_model(left, right, threshold, cells)
+    probes = probes or enough
 
     def nearest(p: int):
         def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             for f in frames:
                 if not len(f):
                     continue
-                x = np.array(f["embedding"].tolist(), dtype=np.float64)
-                d = ((centers**2).sum(1)[None, :] - 2 * x @ centers.T).argsort(axis=1)[:, :p]
+                d = nearest_cells(centers, np.array(f["embedding"].tolist(), dtype=np.float64))[:, :p]
                 yield pd.DataFrame({"id": np.repeat(f["id"].to_numpy(), d.shape[1]), "cell": d.ravel()})
 
         return run
@@ -158,19 +217,27 @@ def cell_pairs(left: DataFrame, right: DataFrame, threshold: float, cells: int =
 
 
 def minhash_signature(sh: Column, hashes: int) -> Column:
-    """One least hash for each seed, in code generation."""
+    """One least hash for each seed."""
     return let(sh, lambda x: F.transform(F.sequence(F.lit(1), F.lit(hashes)), lambda i: F.array_min(F.transform(x, lambda s: F.xxhash64(i, s)))))
 
 
 def minhash_pairs(df: DataFrame, id_col: str, text: str, least: float, bands: int = 20, rows: int = 3, n: int = 5) -> DataFrame:
-    """(a, b, jaccard) of texts by their n-word shingles: equal sets collapse first, bands propose, sets verify."""
-    sets = df.select(F.col(id_col).alias("id"), shingles(F.col(text), n).alias("sh")).filter(F.size("sh") > 0).withColumn("set_key", F.sha1(F.array_join(F.array_sort("sh"), "\n").cast("binary")))
-    reps = sets.groupBy("set_key").agg(F.min("id").alias("id"), F.first("sh").alias("sh"))
-    band_keys = let(minhash_signature(F.col("sh"), bands * rows), lambda sig: F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.xxhash64(b, F.slice(sig, b * rows + 1, rows))))
-    keys = reps.select("id", F.explode(band_keys).alias("k"))
-    pairs = keys.select(F.col("id").alias("a"), "k").join(keys.select(F.col("id").alias("b"), "k"), "k").filter("a < b").select("a", "b").distinct()
-    side = lambda x: reps.select(F.col("id").alias(x), F.col("sh").alias(f"sh_{x}"))
-    both = pairs.join(side("a"), "a").join(side("b"), "b")
+    """(a, b, jaccard) of class representatives by their n-word shingles.
+
+    Equal sets collapse first, so copies are never paired.  Bands propose, sizes and then signatures sort out (a pair whose agreeing
+    share of the signature is far below the threshold is no candidate), and sets of what is left verify; sets are never shuffled
+    for other texts.
+    """
+    sets = df.select(F.col(id_col).alias("id"), hashed_shingles(F.col(text), n).alias("sh")).filter(F.size("sh") > 0).withColumn("set_key", F.sha1(F.to_json(F.array_sort("sh")).cast("binary")))
+    reps = cut(sets.groupBy("set_key").agg(F.min("id").alias("id"), F.first("sh").alias("sh")).select("id", "sh", F.size("sh").alias("n"), minhash_signature(F.col("sh"), bands * rows).alias("sig")), "sets")
+    band_keys = let(F.col("sig"), lambda sig: F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.xxhash64(b, F.slice(sig, b * rows + 1, rows))))
+    keys = reps.select("id", "n", F.explode(band_keys).alias("k"))
+    pairs = keys.select(F.col("id").alias("a"), F.col("n").alias("na"), "k").join(keys.select(F.col("id").alias("b"), F.col("n").alias("nb"), "k"), "k").filter("a < b").filter(F.least("na", "nb") >= least * F.greatest("na", "nb"))
+    pairs = pairs.select("a", "b").distinct()
+    side = lambda x, *cols: reps.select(F.col("id").alias(x), *[F.col(c).alias(f"{c}_{x}") for c in cols])
+    same = F.size(F.filter(F.zip_with("sig_a", "sig_b", lambda x, y: x == y), lambda e: e)) / (bands * rows)
+    close = pairs.join(side("a", "sig"), "a").join(side("b", "sig"), "b").filter(same >= least - 0.35).select("a", "b")
+    both = close.join(side("a", "sh"), "a").join(side("b", "sh"), "b")
     common = F.size(F.array_intersect("sh_a", "sh_b"))
     return both.select("a", "b", F.round(common / (F.size("sh_a") + F.size("sh_b") - common), 6).alias("jaccard")).filter(F.col("jaccard") >= least)
 
@@ -182,4 +249,4 @@ def recall_at(found: DataFrame, exact: DataFrame) -> DataFrame:
     return e.agg(F.count("*").alias("n_exact")).crossJoin(f.agg(F.count("*").alias("n_found"))).crossJoin(hit).select("n_exact", "n_found", F.round(F.col("hits") / F.col("n_exact"), 6).alias("recall"), F.round(F.col("hits") / F.col("n_found"), 6).alias("precision"))
 
 
-__all__ = ["callable_encoder", "cell_pairs", "exact_blocked", "exact_pairs", "hashed_ngrams", "hyperplane_pairs", "inverted_pairs", "minhash_pairs", "recall_at", "term_counts", "verify"]
+__all__ = ["band_shape", "blocked_pairs", "callable_encoder", "cell_model", "cell_pairs", "exact_blocked", "exact_pairs", "hashed_ngrams", "hyperplane_pairs", "minhash_pairs", "prefix_pairs", "recall_at", "term_counts", "verify"]

@@ -11,6 +11,8 @@ from provspark.operators import leakage as K
 from provspark.operators import lineage as L
 from provspark.operators import recovery as R
 from provspark.operators import similarity as S
+from provspark.operators import trace as T
+from provspark.operators.shared import cut
 from provspark.plans.registry import query, with_items, with_star
 from provspark.sources import carriers as C
 
@@ -80,25 +82,52 @@ def leak_contains(spark, sf):
 
 
 def sparse_leaks(spark, sf, least):
-    docs = S.term_counts(C.table(spark, sf, "documents"), "doc_id", "text")
+    docs = S.term_counts(C.texts(spark, sf, "documents", "doc_id", "text"), "doc_id", "text")
     b = S.term_counts(bench(spark, sf).withColumn("bid", -1 - F.col("item_id")), "bid", "text")
-    return S.inverted_pairs(docs, b, least).select(F.col("id").alias("doc_id"), (-1 - F.col("other")).alias("bench_item"), F.round("sim", 6).alias("sim"))
+    return S.prefix_pairs(docs, b, least).select(F.col("id").alias("doc_id"), (-1 - F.col("other")).alias("bench_item"), "sim")
 
 
 def sparse_sql(least: float) -> str:
     w = "list_filter(string_split_regex(lower(text), '[ \\t\\r\\n]+'), lambda x: x <> '')"
-    return f"WITH d AS (SELECT id, t, count(*) AS n FROM (SELECT doc_id AS id, unnest({w}) AS t FROM documents) GROUP BY 1, 2), b AS (SELECT id, t, count(*) AS n FROM (SELECT item_id AS id, unnest({w}) AS t FROM benchmark) GROUP BY 1, 2), dn AS (SELECT id, sqrt(sum(n * n)) AS z FROM d GROUP BY 1), bnm AS (SELECT id, sqrt(sum(n * n)) AS z FROM b GROUP BY 1) SELECT d.id AS doc_id, b.id AS bench_item, round(sum((d.n / dn.z) * (b.n / bnm.z)), 6) AS sim FROM d JOIN b USING (t) JOIN dn ON dn.id = d.id JOIN bnm ON bnm.id = b.id GROUP BY 1, 2 HAVING sum((d.n / dn.z) * (b.n / bnm.z)) >= {least}"
+    return f"WITH d AS (SELECT id, t, count(*) AS n FROM (SELECT doc_id AS id, unnest({w}) AS t FROM documents) GROUP BY 1, 2), b AS (SELECT id, t, count(*) AS n FROM (SELECT item_id AS id, unnest({w}) AS t FROM benchmark) GROUP BY 1, 2), dn AS (SELECT id, sqrt(sum(n * n)) AS z FROM d GROUP BY 1), bnm AS (SELECT id, sqrt(sum(n * n)) AS z FROM b GROUP BY 1) SELECT d.id AS doc_id, b.id AS bench_item, round(sum((d.n / dn.z) * (b.n / bnm.z)), 6) AS sim FROM d JOIN b USING (t) JOIN dn ON dn.id = d.id JOIN bnm ON bnm.id = b.id GROUP BY 1, 2 HAVING round(sum((d.n / dn.z) * (b.n / bnm.z)), 6) >= {least}"
+
+
+def passages_sql(least: float) -> str:
+    """Best passages as ``passages``, after the items."""
+    runs = "CASE WHEN len(w) >= 4 THEN list_transform(range(1, len(w) - 2), lambda i: array_to_string(w[i:i + 3], ' ')) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END"
+    square = "list_sum(list_transform(list_distinct({0}), lambda e: len(list_filter({0}, lambda y: y = e)) * len(list_filter({1}, lambda y: y = e))))"
+    return f""", bw AS (SELECT item_id AS bench_item, {split_sql('text')} AS w FROM benchmark
+), br AS (SELECT bench_item, len(w) AS m, unnest({runs}) AS g, unnest(range(greatest(1, len(w) - 3))) AS b_at FROM bw WHERE len(w) > 0
+), iw AS (SELECT dataset_id, item_id, {split_sql('prompt')} AS w FROM items
+), ir AS (SELECT dataset_id, item_id, len(w) AS n, unnest({runs}) AS g, unnest(range(greatest(1, len(w) - 3))) AS p_at FROM iw WHERE len(w) > 0
+), cand AS (SELECT dataset_id, item_id, bench_item, least(greatest(p_at - b_at, 0), greatest(n - m, 0)) AS at_, m FROM ir JOIN br USING (g) GROUP BY ALL HAVING count(DISTINCT b_at) >= least(2, greatest(1, m - 3))
+), pq AS (SELECT dataset_id, item_id, bench_item, at_, iw.w[at_ + 1:at_ + m] AS p, bw.w AS q FROM cand JOIN iw USING (dataset_id, item_id) JOIN bw USING (bench_item)
+), ps AS (SELECT dataset_id, item_id, bench_item, at_, round({square.format('p', 'q')} / (sqrt({square.format('p', 'p')}) * sqrt({square.format('q', 'q')})), 6) AS sim FROM pq
+), passages AS (SELECT dataset_id, item_id, bench_item, CAST(arg_min(at_, (-sim, at_)) AS INT) AS "at", max(sim) AS sim FROM ps WHERE sim >= {least} GROUP BY 1, 2, 3
+), bn AS (SELECT *, item_id % 14 AS benchmark_id FROM benchmark)
+"""
+
+
+def similar_leaks(spark, sf, least=0.8):
+    return K.similar_windows(items(spark, sf), bench(spark, sf), least)
 
 
-@query("leak_similar", sparse_sql(0.55))
+@query("leak_similar", with_items(passages_sql(0.8) + 'SELECT dataset_id, item_id, bench_item, "at", sim FROM passages'))
 def leak_similar(spark, sf):
-    """Every document against every item by cosine of word counts."""
-    return sparse_leaks(spark, sf, 0.55)
+    """Every document against every item: its passage that is most like the item, from the possible band on."""
+    return similar_leaks(spark, sf)
 
 
-@query("leak_bands", f"SELECT CASE WHEN sim >= 0.9 THEN 'high' WHEN sim >= 0.8 THEN 'possible' ELSE 'none' END AS band, count(*) AS n FROM ({sparse_sql(0.55)}) GROUP BY 1")
+@query("leak_bands", with_items(passages_sql(0.7) + "SELECT CASE WHEN sim >= 0.9 THEN 'high' WHEN sim >= 0.8 THEN 'possible' ELSE 'none' END AS band, count(*) AS n FROM passages GROUP BY 1"))
 def leak_bands(spark, sf):
-    return sparse_leaks(spark, sf, 0.55).groupBy(band_of(F.col("sim")).alias("band")).agg(F.count("*").alias("n"))
+    """How many pairs the sure band leaves out: counts by band from 0.7 on."""
+    return similar_leaks(spark, sf, 0.7).groupBy(band_of(F.col("sim")).alias("band")).agg(F.count("*").alias("n"))
+
+
+@query("leak_similar_whole", sparse_sql(0.55))
+def leak_similar_whole(spark, sf):
+    """The same with whole texts as the unit: passages inside long texts are far below the bands."""
+    return sparse_leaks(spark, sf, 0.55)
 
 
 W, STEP = 40, 20
@@ -113,15 +142,10 @@ def leak_windows(spark, sf):
     return K.windows_of(items(spark, sf), W, STEP).select("dataset_id", "item_id", F.col("at").cast("int").alias("at"), F.sha1(F.col("window").cast("binary")).alias("window_sha"))
 
 
-@query("leak_best_window")
+@query("leak_best_window", with_items(passages_sql(0.5) + 'SELECT dataset_id, item_id, bench_item, "at", sim FROM passages'))
 def leak_best_window(spark, sf):
-    """The best window of each leaking text: containment by windows rather than whole texts."""
-    leaking = items(spark, sf).join(sure_pairs(spark, sf).select("dataset_id", "item_id").distinct(), ["dataset_id", "item_id"], "left_semi")
-    win = K.windows_of(leaking, W, STEP)
-    rows = win.select("dataset_id", F.concat_ws("@", "item_id", "at").alias("item_id"), F.col("window").alias("prompt"))
-    pairs = K.containment(rows, bench(spark, sf), 5, 0.1)
-    split = F.split("item_id", "@")
-    return K.best_window(pairs.withColumn("at", split[1].cast("int")).withColumn("item_id", split[0]))
+    """The best passage of all documents from half a match on, also where the text as a whole is no leak."""
+    return similar_leaks(spark, sf, 0.5)
 
 
 @query("leak_inclusion", leaks("SELECT dataset_id, CAST(benchmark_id AS INT) AS benchmark_id, round(h / s, 6) AS hit_share FROM (SELECT dataset_id, benchmark_id, count(DISTINCT bench_item) AS h FROM pairs JOIN bn ON bn.item_id = bench_item GROUP BY 1, 2) JOIN (SELECT benchmark_id, count(*) AS s FROM bn GROUP BY 1) USING (benchmark_id) WHERE round(h / s, 6) >= 0.3"))
@@ -129,37 +153,68 @@ def leak_inclusion(spark, sf):
     return K.bulk_inclusion(sure_pairs(spark, sf), bench(spark, sf), 0.3)
 
 
+def swapped(text, rate: float):
+    """A text of which about ``rate`` of the words, by a hash of their place, are other words."""
+    far = lambda w, i: F.pmod(F.xxhash64(i, F.lit("edit")), F.lit(1000)) < int(rate * 1000)
+    return F.array_join(F.transform(F.split(text, " "), lambda w, i: F.when(far(w, i), F.concat(F.lit("swapped"), i.cast("string"))).otherwise(w)), " ")
+
+
 def edited(spark, sf):
-    """Seeded edits of each benchmark passage: spacing and case, wrapping, one word swapped, option wrapping."""
+    """Seeded edits of each benchmark passage; the set's name is the expected kind."""
     t, i = F.col("text"), F.col("item_id")
-    first = F.regexp_extract(t, r"^(\S+)", 1)
+    # A light rewrite: some words replaced, the sentences in another order, other numbers.
+    turned = F.array_join(F.reverse(F.split(F.regexp_replace(swapped(t, 0.06), "[0-9]", "7"), r"(?<=\\.) ")), " ")
     edits = {
         "verbatim": t,
         "formatting": F.concat(F.lit("* "), F.replace(t, F.lit(" "), F.lit("  "))),
         "embedded": F.concat(F.lit("please solve the task below now "), t, F.lit(" give the final result at last")),
         "option_transformed": F.concat(t, F.lit("\nA) one\nB) two\nC) three")),
-        "rewritten": F.concat(t, F.lit("")),
+        "rewritten": F.concat(F.lit("as follows: "), turned),
     }
     rows = C.table(spark, sf, "benchmark").filter(F.length("text") > 0)
     out = None
     for k, e in edits.items():
-        if k == "rewritten":
-            e = F.regexp_replace(t, r"^(\S+)", "swappedword")
         part = rows.select(F.lit(k).alias("dataset_id"), i.cast("string").alias("item_id"), i.alias("seq"), e.alias("prompt"))
         out = part if out is None else out.unionByName(part)
-    return out, first
+    return out
 
 
 @query("leak_kind")
 def leak_kind(spark, sf):
     """Kinds found for seeded edits; the expected kind is the set's name."""
-    seeded, _ = edited(spark, sf)
-    b = bench(spark, sf)
+    seeded, b = cut(edited(spark, sf), "edits"), bench(spark, sf)
     pairs = K.containment(seeded, b, 5, 0.0).unionByName(K.leak_exact(seeded, b, "letters").withColumn("similarity", F.lit(1.0))).groupBy("dataset_id", "item_id", "bench_item").agg(F.max("similarity").alias("similarity"))
-    own = pairs.filter(F.col("item_id") == F.col("bench_item").cast("string"))
+    near = K.similar_windows(seeded, b, 0.5).select("dataset_id", "item_id", "bench_item", F.col("sim").alias("cosine"))
+    both = pairs.join(near, ["dataset_id", "item_id", "bench_item"], "full").withColumn("similarity", F.coalesce("similarity", F.lit(0.0)))
+    own = both.filter(F.col("item_id") == F.col("bench_item").cast("string"))
     return K.kind_of(own, seeded, b).groupBy(F.col("dataset_id").alias("expected"), "kind").agg(F.count("*").alias("n"))
 
 
+RATES = (0.0, 0.05, 0.1, 0.2, 0.3)
+
+
+@query("leak_recall")
+def leak_recall(spark, sf):
+    """(rate, method, recall) of light rewrites: the share of edited items that each method still finds."""
+    b = bench(spark, sf).filter(F.length("text") > 0)
+    rows = None
+    for rate in RATES:
+        part = b.select(F.lit(str(rate)).alias("dataset_id"), F.col("item_id").cast("string").alias("item_id"), F.concat(F.lit("now then "), swapped(F.col("text"), rate), F.lit(" so it is")).alias("prompt"))
+        rows = part if rows is None else rows.unionByName(part)
+    rows = cut(rows, "rewrites")
+    contained, similar = cut(K.containment(rows, b, 5, 0.9), "contained"), cut(K.similar_windows(rows, b, 0.8), "similar")
+    found = {"key": K.leak_exact(rows, b, "letters"), "contained": contained, "similar_sure": similar.filter("sim >= 0.9"), "similar_possible": similar}
+    for n in (13, 8):
+        found[f"rule_{n}"] = K.containment(rows, b, n, 1e-9)
+    total = rows.groupBy("dataset_id").agg(F.count("*").alias("total"))
+    out = None
+    for name, pairs in found.items():
+        own = pairs.filter(F.col("item_id") == F.col("bench_item").cast("string")).groupBy("dataset_id").agg(F.count("*").alias("found"))
+        part = total.join(own, "dataset_id", "left").select(F.col("dataset_id").cast("double").alias("rate"), F.lit(name).alias("method"), F.round(F.coalesce("found", F.lit(0)) / F.col("total"), 6).alias("recall"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def rule_filter_sql(n):
     w = "list_filter(string_split_regex(lower(text), '[ \\t\\r\\n]+'), lambda x: x <> '')"
     return f"WITH b AS (SELECT DISTINCT unnest({shingle_sql('w', n)}) AS g FROM (SELECT {split_sql('text')} AS w FROM benchmark)), d AS (SELECT doc_id, unnest({shingle_sql('w', n)}) AS g FROM (SELECT doc_id, {split_sql('text')} AS w FROM documents)) SELECT DISTINCT CAST(doc_id AS VARCHAR) AS item_id FROM d SEMI JOIN b USING (g)"
@@ -191,6 +246,10 @@ def leak_matrix_sources(spark, sf):
     return K.severity(pairs, items(spark, sf), bench(spark, sf))
 
 
+for _name, _least in (("leak_matrix_similar", 0.9), ("leak_matrix_possible", 0.8)):
+    query(_name, with_items(passages_sql(_least) + SEVERITY.format("passages")))(lambda spark, sf, least=_least: K.severity(similar_leaks(spark, sf, least), items(spark, sf), bench(spark, sf)))
+
+
 @query("decontaminate", leaks("SELECT dataset_id, item_id FROM items ANTI JOIN pairs USING (dataset_id, item_id)"))
 def decontaminate(spark, sf):
     return K.decontaminate(items(spark, sf), sure_pairs(spark, sf)).select("dataset_id", "item_id")
@@ -257,7 +316,7 @@ def cosine_sparse(spark, sf):
 @query("cosine_lsh")
 def cosine_lsh(spark, sf):
     left, right = vector_sides(spark, sf)
-    return S.hyperplane_pairs(left, right, CUT, 64)
+    return S.hyperplane_pairs(left, right, CUT, 64).withColumn("sim", F.round("sim", 6))
 
 
 @query("cosine_ivf")
@@ -266,6 +325,14 @@ def cosine_ivf(spark, sf):
     return S.cell_pairs(left, right, CUT)
 
 
+@query("cell_probes")
+def cell_probes(spark, sf):
+    """Recall by the number of probed cells, on the samples by which the number is chosen."""
+    left, right = vector_sides(spark, sf)
+    _, enough, reached = S.cell_model(left, right, CUT)
+    return spark.createDataFrame([(p + 1, len(reached), round(v, 6), p + 1 == enough) for p, v in enumerate(reached)], "probes bigint, cells bigint, recall double, chosen boolean")
+
+
 @query("candidate_quality")
 def candidate_quality(spark, sf):
     left, right = vector_sides(spark, sf)
@@ -339,6 +406,48 @@ def base_no_audit(spark, sf):
     return both.agg(F.count("*").alias("n"), F.round(F.avg((F.col("x") == F.col("y")).cast("double")), 6).alias("precision"))
 
 
+SEMANTIC_SQL = """, left_ AS (SELECT key, min(seq) AS id, any_value(prompt) AS prompt FROM attributed WHERE atomic_source IS NULL AND key IS NOT NULL GROUP BY 1
+), up AS (SELECT key, min(seq) AS id, any_value(prompt) AS prompt FROM items WHERE role <> 'training' AND key IS NOT NULL GROUP BY 1
+), lt AS (SELECT id, t, count(*) AS n FROM (SELECT id, unnest({w}) AS t FROM left_) GROUP BY 1, 2
+), ut AS (SELECT id, t, count(*) AS n FROM (SELECT id, unnest({w}) AS t FROM up) GROUP BY 1, 2
+), ln_ AS (SELECT id, sqrt(sum(n * n)) AS z FROM lt GROUP BY 1), un AS (SELECT id, sqrt(sum(n * n)) AS z FROM ut GROUP BY 1
+), sp AS (SELECT lt.id AS id, ut.id AS other, round(sum((lt.n / ln_.z) * (ut.n / un.z)), 6) AS sim FROM lt JOIN ut USING (t) JOIN ln_ ON ln_.id = lt.id JOIN un ON un.id = ut.id GROUP BY 1, 2
+), best AS (SELECT id, arg_min(other, (-sim, other)) AS other, max(sim) AS sim FROM sp WHERE sim >= 0.9 GROUP BY 1
+), src AS (SELECT up.id AS other, coalesce(o.atom, o.aggr) AS similar_source FROM up JOIN origin o USING (key)
+), traced AS (SELECT a.dataset_id, a.item_id, coalesce(a.atomic_source, s.similar_source) AS atomic_source, CASE WHEN a.atomic_source IS NOT NULL THEN a.stage WHEN s.similar_source IS NOT NULL THEN 'semantic' ELSE 'unknown' END AS stage, CASE WHEN a.atomic_source IS NULL THEN b.sim END AS sim
+  FROM attributed a LEFT JOIN left_ l ON l.key = a.key LEFT JOIN best b ON b.id = l.id LEFT JOIN src s ON s.other = b.other)
+""".format(w=split_sql("prompt"))
+
+
+@query("semantic_attribution", with_items(SEMANTIC_SQL + "SELECT dataset_id, item_id, atomic_source, stage, sim FROM traced"))
+def semantic_attribution(spark, sf):
+    """Keys, then similarity under audit: the training items with the stage that found their source."""
+    return T.trace(C.document_items(spark, sf)).drop("seq")
+
+
+@query("coverage_stages", with_items(SEMANTIC_SQL + "SELECT stage, count(*) AS n, round(count(*) / sum(count(*)) OVER (), 6) AS share FROM traced GROUP BY 1"))
+def coverage_stages(spark, sf):
+    """How much each stage attributes, and what stays unknown."""
+    from pyspark.sql import Window
+
+    n = T.trace(C.document_items(spark, sf)).groupBy("stage").agg(F.count("*").alias("n"))
+    return n.withColumn("share", F.round(F.col("n") / F.sum("n").over(Window.partitionBy()), 6))
+
+
+@query("base_no_semantic", with_items(SEMANTIC_SQL + "SELECT dataset_id, count(*) FILTER (stage IN ('semantic', 'unknown')) AS n_unmatched, count(*) FILTER (stage = 'unknown') AS n_with_semantic FROM traced GROUP BY 1"))
+def base_no_semantic(spark, sf):
+    """Baseline: what keys alone leave unmatched, beside what keys and similarity leave."""
+    return T.trace(C.document_items(spark, sf)).groupBy("dataset_id").agg(F.count_if(F.col("stage").isin("semantic", "unknown")).alias("n_unmatched"), F.count_if(F.col("stage") == "unknown").alias("n_with_semantic"))
+
+
+@query("recovery_rounds")
+def recovery_rounds(spark, sf):
+    """Rounds with both stages, audit and candidates chosen by profile: sets from src10 on are traced, the others are the repository."""
+    every = C.document_items(spark, sf)
+    _, log = T.recover_sources(every.filter("dataset_no >= 10"), every, ["src0"], [f"src{i}" for i in range(1, 10)], per_round=3)
+    return T.rounds_table(spark, log)
+
+
 def star_keys(spark, sf):
     return L.keyed(C.star_items(spark, sf)).select("key", "dataset_id", "dataset_no")
 

@@ -95,7 +95,7 @@ def prompt_key(spark, sf):
     return C.table(spark, sf, "documents").select("doc_id", content_key(F.col("text")).alias("key"), content_key(F.col("text"), "letters").alias("letters_key"))
 
 
-@query("lineage_index", with_items("SELECT key, CAST(sum(n) AS BIGINT) AS n_items, count(*) AS n_sets, arg_min(dataset_id, no) AS first_dataset, CAST(arg_min(seq, no) AS VARCHAR) AS first_item, list_aggregate(list_transform(list_sort(list(no))[1:5], lambda x: 'src' || x), 'string_agg', ',') AS occurrences FROM ks GROUP BY key"))
+@query("lineage_index", with_items("SELECT key, CAST(sum(n) AS BIGINT) AS n_items, count(*) AS n_sets, arg_min(dataset_id, no) AS first_dataset, CAST(arg_min(seq, no) AS VARCHAR) AS first_item, list_aggregate(list_transform(list_sort(list(no)), lambda x: 'src' || x), 'string_agg', ',') AS occurrences FROM ks GROUP BY key"))
 def lineage_index(spark, sf):
     i = L.build_index(C.document_items(spark, sf))
     return i.select(L.hex_key().alias("key"), "n_items", "n_sets", F.col("first.dataset_id").alias("first_dataset"), F.col("first.item_id").alias("first_item"), F.array_join(F.col("occurrences.dataset_id"), ",").alias("occurrences"))
@@ -119,9 +119,9 @@ def metadata_merge(spark, sf):
     return early.join(late, "key").select(L.hex_key().alias("key"), "answer", "latest")
 
 
-@query("lineage_lookup", with_items("SELECT b.item_id AS probe, f.dataset_id AS first_dataset, f.key IS NOT NULL AS known FROM (SELECT item_id, sha1(text) AS key FROM benchmark UNION ALL SELECT doc_id, sha1(text) FROM documents WHERE doc_id % 10 = 0) b LEFT JOIN (SELECT key, dataset_id FROM ranked WHERE rn = 1) f USING (key)"))
+@query("lineage_lookup", with_items("SELECT b.item_id AS probe, f.dataset_id AS first_dataset, f.key IS NOT NULL AS known FROM (SELECT item_id, sha1(text) AS key FROM benchmark UNION ALL SELECT doc_id, sha1(text) FROM documents) b LEFT JOIN (SELECT key, dataset_id FROM ranked WHERE rn = 1) f USING (key)"))
 def lineage_lookup(spark, sf):
-    docs = C.table(spark, sf, "documents").filter("doc_id % 10 = 0").select(F.col("doc_id").alias("probe"), F.col("text").alias("prompt"))
+    docs = C.table(spark, sf, "documents").select(F.col("doc_id").alias("probe"), F.col("text").alias("prompt"))
     probes = C.table(spark, sf, "benchmark").select(F.col("item_id").alias("probe"), F.col("text").alias("prompt")).unionByName(docs)
     return L.lookup(L.build_index(C.document_items(spark, sf)), probes).select("probe", "first_dataset", "known")
 
@@ -306,10 +306,4 @@ def base_string_match(spark, sf):
     return P.training_only(items).join(up, "prompt").select("dataset_id", "item_id", "source")
 
 
-@query("base_no_semantic", with_items("SELECT dataset_id, count(*) FILTER (atomic_source IS NULL) AS n_unmatched FROM attributed GROUP BY 1"))
-def base_no_semantic(spark, sf):
-    """Baseline: keys alone."""
-    return attributed(spark, sf).groupBy("dataset_id").agg(F.count_if(F.col("atomic_source").isNull()).alias("n_unmatched"))
-
-
 __all__ = ["attributed", "declared", "normalized_text", "states"]

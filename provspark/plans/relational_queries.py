@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from uuid import uuid4
+
 import pandas as pd
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -9,8 +11,9 @@ from pyspark.sql import functions as F
 from provspark.functions import vectors as V
 from provspark.functions.text import char_grams, let, words
 from provspark.operators import relational as R
-from provspark.operators.recovery import cut, shared_folder
-from provspark.plans.registry import query
+from provspark.operators.shared import cut, shared_folder
+from provspark.plans.lineage_queries import FIRST_EDGES
+from provspark.plans.registry import query, with_items
 from provspark.sources import carriers as C
 
 
@@ -18,6 +21,10 @@ def t(spark, sf, name):
     return C.table(spark, sf, name)
 
 
+def new_folder(spark, name):
+    return f"{shared_folder(spark)}/provspark-{uuid4().hex[:12]}-{name}"
+
+
 def q(name, sql=None):
     return query(name, sql)
 
@@ -28,49 +35,52 @@ def scan_parquet_pruned(spark, sf):
     return t(spark, sf, "lineitem").filter("l_quantity > 45").select("l_orderkey", "l_extendedprice")
 
 
-@q("scan_html", "SELECT page_id, regexp_extract(url, '://([^/:?#]+)', 1) AS host, regexp_extract(html, '(?s)<title>(.*?)</title>', 1) AS title FROM pages")
+@q("scan_html", "SELECT page_id, regexp_extract(url, '://([^/:?#]+)', 1) AS host, regexp_extract(html, '(?s)<title>(.*?)</title>', 1) AS title, trim(regexp_replace(regexp_replace(regexp_extract(html, '(?s)<article>(.*?)</article>', 1), '<[^>]*>', ' ', 'g'), '[ \\t\\r\\n]+', ' ', 'g')) AS text FROM pages")
 def scan_html(spark, sf):
-    return t(spark, sf, "pages").select("page_id", F.parse_url("url", F.lit("HOST")).alias("host"), C.page_title(F.col("html")).alias("title"))
+    return t(spark, sf, "pages").select("page_id", F.parse_url("url", F.lit("HOST")).alias("host"), C.page_title(F.col("html")).alias("title"), C.page_text(F.col("html")).alias("text"))
 
 
-@q("scan_file_metadata")
+@q("scan_file_metadata", "SELECT doc_id, 'documents.parquet' AS file_name, true AS sized FROM documents")
 def scan_file_metadata(spark, sf):
-    return t(spark, sf, "documents").select("doc_id", F.col("_metadata.file_name").alias("file_name"))
+    return t(spark, sf, "documents").select("doc_id", F.col("_metadata.file_name").alias("file_name"), (F.col("_metadata.file_size") > 0).alias("sized"))
 
 
-@q("scan_multi_format")
+@q("scan_multi_format", "SELECT k AS format, count(*) AS n, CAST(sum(p_partkey) AS BIGINT) AS total FROM part CROSS JOIN (VALUES ('csv'), ('json'), ('orc'), ('text')) AS f(k) GROUP BY 1")
 def scan_multi_format(spark, sf):
-    """The same rows through CSV, JSON lines and ORC with explicit schemas; a broken CSV line goes to its own column."""
-    from uuid import uuid4
-
+    """The same rows through CSV, JSON lines, ORC and text lines with explicit schemas."""
     src = t(spark, sf, "part").select("p_partkey", "p_name", "p_size")
     out = None
-    for kind in ("csv", "json", "orc"):
-        path = f"{shared_folder(spark)}/provspark-{uuid4().hex[:12]}-{kind}"
-        src.write.format(kind).save(path)
-        back = spark.read.schema(src.schema).option("mode", "FAILFAST").format(kind).load(path).agg(F.lit(kind).alias("format"), F.count("*").alias("n"), F.sum("p_partkey").alias("total"))
+    for kind in ("csv", "json", "orc", "text"):
+        path = new_folder(spark, kind)
+        if kind == "text":
+            src.select(F.to_json(F.struct("*")).alias("value")).write.text(path)
+            back = spark.read.text(path).select(F.from_json("value", src.schema, {"mode": "FAILFAST"}).alias("j")).select("j.*")
+        else:
+            src.write.format(kind).save(path)
+            back = spark.read.schema(src.schema).option("mode", "FAILFAST").format(kind).load(path)
+        back = back.agg(F.lit(kind).alias("format"), F.count("*").alias("n"), F.sum("p_partkey").alias("total"))
         out = back if out is None else out.unionByName(back)
     return out
 
 
-@q("scan_permissive")
+@q("scan_permissive", "SELECT p_partkey % 5 = 0 AS broken, count(*) AS n, count(CASE WHEN p_partkey % 5 <> 0 THEN 1 END) AS n_keys FROM part GROUP BY 1")
 def scan_permissive(spark, sf):
-    lines = t(spark, sf, "part").limit(20).select(F.when(F.col("p_partkey") % 5 == 0, "{broken").otherwise(F.to_json(F.struct("p_partkey", "p_name"))).alias("value"))
-    parsed = lines.select(F.from_json("value", "p_partkey bigint, p_name string, _corrupt string", {"mode": "PERMISSIVE", "columnNameOfCorruptRecord": "_corrupt"}).alias("j"))
-    return parsed.groupBy(F.col("j._corrupt").isNotNull().alias("broken")).agg(F.count("*").alias("n"))
+    """CSV lines of which each fifth is broken; a broken line goes to its own column."""
+    path = new_folder(spark, "broken")
+    t(spark, sf, "part").select(F.when(F.col("p_partkey") % 5 == 0, "not a number,x").otherwise(F.concat_ws(",", F.col("p_partkey").cast("string"), "p_brand")).alias("value")).write.text(path)
+    lines = spark.read.schema("p_partkey bigint, p_brand string, broken string").option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", "broken").csv(path)
+    return lines.select("p_partkey", F.col("broken").isNotNull().alias("broken")).groupBy("broken").agg(F.count("*").alias("n"), F.count("p_partkey").alias("n_keys"))
 
 
 @q("scan_partitioned", "SELECT substr(sha1(text), 1, 1) AS prefix, count(*) AS n FROM documents WHERE substr(sha1(text), 1, 1) IN ('0', 'a') GROUP BY 1")
 def scan_partitioned(spark, sf):
     """An index in folders by key prefix; the filter reads two of sixteen."""
-    from uuid import uuid4
-
-    path = f"{shared_folder(spark)}/provspark-{uuid4().hex[:12]}-prefixed"
+    path = new_folder(spark, "prefixed")
     t(spark, sf, "documents").select(F.sha1(F.col("text").cast("binary")).alias("key"), "doc_id").withColumn("prefix", F.substring("key", 1, 1)).write.partitionBy("prefix").parquet(path)
     return spark.read.schema("key string, doc_id bigint, prefix string").parquet(path).filter(F.col("prefix").isin("0", "a")).groupBy("prefix").agg(F.count("*").alias("n"))
 
 
-@q("scan_custom")
+@q("scan_custom", "SELECT CAST(i % 4 AS INT) AS page, i AS id, 'prompt ' || i AS prompt FROM range(1000) r(i)")
 def scan_custom(spark, sf):
     from provspark.sources.paged import PagedSource
 
@@ -78,24 +88,36 @@ def scan_custom(spark, sf):
     return spark.read.format("paged").option("rows", 1000).option("pages", 4).load()
 
 
-@q("sink_index")
+@q("sink_index", "SELECT sha1(text) AS key, count(*) AS n FROM documents GROUP BY 1")
 def sink_index(spark, sf):
-    """A bucketed table of keys, read back; joins on the key then need no shuffle."""
-    name = "provspark_index"
-    spark.sql(f"DROP TABLE IF EXISTS {name}")
-    t(spark, sf, "documents").select(F.sha1(F.col("text").cast("binary")).alias("key"), "doc_id").write.bucketBy(8, "key").sortBy("key").mode("overwrite").option("path", f"{shared_folder(spark)}/{name}-{abs(hash(sf)) % 10**8}").saveAsTable(name)
+    """A bucketed and sorted table of keys, read back; joins and counts by the key then need no shuffle."""
+    name = f"provspark_index_{uuid4().hex[:12]}"
+    t(spark, sf, "documents").select(F.sha1(F.col("text").cast("binary")).alias("key"), "doc_id").write.bucketBy(8, "key").sortBy("key").option("path", new_folder(spark, "index")).saveAsTable(name)
     return spark.table(name).groupBy("key").agg(F.count("*").alias("n"))
 
 
-@q("sink_edges")
-def sink_edges(spark, sf):
-    from uuid import uuid4
+@q("sink_overwrite", "SELECT source, count(*) AS n, CAST(sum(CASE WHEN source = 'src1' THEN 1 ELSE 0 END) AS BIGINT) AS version FROM documents WHERE source IN ('src0', 'src1', 'src2') GROUP BY 1")
+def sink_overwrite(spark, sf):
+    """Folders by set, one of which is written anew: dynamic overwrite leaves the others as they are."""
+    path = new_folder(spark, "sets")
+    rows = t(spark, sf, "documents").select("doc_id", "source", F.lit(0).cast("bigint").alias("version")).filter(F.col("source").isin("src0", "src1", "src2"))
+    rows.write.partitionBy("source").parquet(path)
+    rows.filter("source = 'src1'").withColumn("version", F.lit(1).cast("bigint")).write.partitionBy("source").mode("overwrite").option("partitionOverwriteMode", "dynamic").parquet(path)
+    return spark.read.schema("doc_id bigint, version bigint, source string").parquet(path).groupBy("source").agg(F.count("*").alias("n"), F.sum("version").alias("version"))
+
 
+@q("sink_edges", with_items(f"SELECT k AS format, parent, child, n FROM ({FIRST_EDGES}) CROSS JOIN (VALUES ('json'), ('csv')) AS f(k)"))
+def sink_edges(spark, sf):
+    """Edges written as JSON and as CSV, each read back under an explicit schema."""
     from provspark.plans.lineage_queries import contribution_edges
 
-    path = f"{shared_folder(spark)}/provspark-{uuid4().hex[:12]}-edges"
-    contribution_edges(spark, sf).write.json(path)
-    return spark.read.schema("parent string, child string, n bigint").json(path)
+    edges, out = cut(contribution_edges(spark, sf), "edges"), None
+    for kind in ("json", "csv"):
+        path = new_folder(spark, kind)
+        edges.write.format(kind).save(path)
+        back = spark.read.schema("parent string, child string, n bigint").format(kind).load(path).select(F.lit(kind).alias("format"), "parent", "child", "n")
+        out = back if out is None else out.unionByName(back)
+    return out
 
 
 # Projection, filter.
@@ -197,10 +219,10 @@ query("join_anti", "SELECT doc_id FROM documents ANTI JOIN labels USING (doc_id)
 
 @q("join_lateral", "SELECT c_custkey, o_orderkey FROM (SELECT c_custkey, o_orderkey, row_number() OVER (PARTITION BY c_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM customer JOIN orders ON o_custkey = c_custkey) WHERE r <= 2")
 def join_lateral(spark, sf):
-    """The two dearest orders of each customer; the rank filter limits groups before the shuffle."""
-    w = W.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
-    top = t(spark, sf, "orders").withColumn("r", F.row_number().over(w)).filter("r <= 2")
-    return t(spark, sf, "customer").join(top, F.col("o_custkey") == F.col("c_custkey")).select("c_custkey", "o_orderkey")
+    """The two dearest orders of each customer: a lateral join, which Spark rewrites to a window and an equi-join."""
+    orders = t(spark, sf, "orders")
+    dearest = orders.filter(F.col("o_custkey") == F.col("c_custkey").outer()).orderBy(F.desc("o_totalprice"), "o_orderkey").limit(2).select("o_orderkey")
+    return t(spark, sf, "customer").lateralJoin(dearest).select("c_custkey", "o_orderkey")
 
 
 @q("join_star", "SELECT r_name, round(sum(l_extendedprice), 2) AS total FROM region JOIN nation ON n_regionkey = r_regionkey JOIN supplier ON s_nationkey = n_nationkey JOIN lineitem ON l_suppkey = s_suppkey JOIN part ON p_partkey = l_partkey WHERE p_size > 10 GROUP BY 1")
@@ -324,9 +346,9 @@ def agg_collect(spark, sf):
     return t(spark, sf, "documents").groupBy("lang").agg(F.array_join(F.array_sort(F.collect_set("source")), ",").alias("sources"))
 
 
-@q("agg_stats", "SELECT l_returnflag, round(stddev_samp(l_quantity), 6) AS sd, round(var_pop(l_tax), 6) AS vp, round(corr(l_quantity, l_extendedprice), 6) AS co, round(covar_pop(l_quantity, l_tax), 6) AS cv, round(regr_slope(l_extendedprice, l_quantity), 4) AS slope FROM lineitem GROUP BY 1")
+@q("agg_stats", "SELECT l_returnflag, round(stddev_samp(l_quantity), 6) AS sd, round(var_pop(l_tax), 6) AS vp, round(corr(l_quantity, l_extendedprice), 6) AS co, round(covar_pop(l_quantity, l_tax), 6) AS cv, round(regr_slope(l_extendedprice, l_quantity), 4) AS slope, round(avg(pow(z, 3)), 4) AS skew, round(avg(pow(z, 4)) - 3, 4) AS kurt FROM (SELECT *, (l_extendedprice - avg(l_extendedprice) OVER w) / stddev_pop(l_extendedprice) OVER w AS z FROM lineitem WINDOW w AS (PARTITION BY l_returnflag)) GROUP BY 1")
 def agg_stats(spark, sf):
-    return t(spark, sf, "lineitem").groupBy("l_returnflag").agg(F.round(F.stddev_samp("l_quantity"), 6).alias("sd"), F.round(F.var_pop("l_tax"), 6).alias("vp"), F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("co"), F.round(F.covar_pop("l_quantity", "l_tax"), 6).alias("cv"), F.round(F.regr_slope("l_extendedprice", "l_quantity"), 4).alias("slope"))
+    return t(spark, sf, "lineitem").groupBy("l_returnflag").agg(F.round(F.stddev_samp("l_quantity"), 6).alias("sd"), F.round(F.var_pop("l_tax"), 6).alias("vp"), F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("co"), F.round(F.covar_pop("l_quantity", "l_tax"), 6).alias("cv"), F.round(F.regr_slope("l_extendedprice", "l_quantity"), 4).alias("slope"), F.round(F.skewness("l_extendedprice"), 4).alias("skew"), F.round(F.kurtosis("l_extendedprice"), 4).alias("kurt"))
 
 
 @q("agg_quantile", "SELECT lang, quantile_cont(n_chars, 0.5) AS med, round(quantile_cont(n_chars, 0.9), 4) AS p90 FROM documents GROUP BY 1")
@@ -334,9 +356,23 @@ def agg_quantile(spark, sf):
     return t(spark, sf, "documents").groupBy("lang").agg(F.median("n_chars").alias("med"), F.round(F.percentile("n_chars", 0.9), 4).alias("p90"))
 
 
-@q("agg_approx")
+@q("agg_approx", "SELECT true AS users_ok, true AS theta_ok, true AS median_ok, true AS kll_ok, true AS top_ok, true AS sketch_ok")
 def agg_approx(spark, sf):
-    return t(spark, sf, "events").agg(F.approx_count_distinct("user_id").alias("users"), F.percentile_approx("value", 0.5).alias("median"), F.theta_sketch_estimate(F.theta_sketch_agg("user_id")).alias("theta"))
+    """Sketches beside exact values: distinct users within 8 and 5 %, medians within 3 % of the ranks, the most frequent type and counts."""
+    e = t(spark, sf, "events")
+    exact = e.agg(F.count_distinct("user_id").alias("u"), F.count("*").alias("n"), F.percentile("value", F.array(F.lit(0.47), F.lit(0.53))).alias("band"))
+    top = e.groupBy("event_type").agg(F.count("*").alias("c")).agg(F.max("c").alias("c"))
+    near = e.agg(
+        F.approx_count_distinct("user_id").alias("hll"),
+        F.theta_sketch_estimate(F.theta_sketch_agg("user_id")).alias("theta"),
+        F.percentile_approx("value", 0.5).alias("med"),
+        F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("value"), F.lit(0.5)).alias("kll"),
+        F.expr("approx_top_k(event_type, 1)").alias("k"),
+        F.count_min_sketch("event_type", F.lit(0.001), F.lit(0.99), F.lit(7)).alias("cms"),
+    )
+    within = lambda x: (F.col(x) >= F.col("band")[0]) & (F.col(x) <= F.col("band")[1])
+    rows = near.crossJoin(exact).crossJoin(top)
+    return rows.select((F.abs(F.col("hll") - F.col("u")) <= 0.08 * F.col("u")).alias("users_ok"), (F.abs(F.col("theta") - F.col("u")) <= 0.05 * F.col("u")).alias("theta_ok"), within("med").alias("median_ok"), within("kll").alias("kll_ok"), (F.col("k")[0]["count"] == F.col("c")).alias("top_ok"), (F.octet_length("cms") > 0).alias("sketch_ok"))
 
 
 @q("agg_bool", "SELECT bool_and(quality = 1) AS every_one, bool_or(toxic = 1) AS any_one FROM labels")
@@ -362,10 +398,12 @@ def win_rank(spark, sf):
     return t(spark, sf, "documents").select("doc_id", big(F.row_number().over(w), "rn"), big(F.rank().over(v), "rk"), big(F.dense_rank().over(v), "dr"), F.round(F.percent_rank().over(v), 6).alias("pr"), F.round(F.cume_dist().over(v), 6).alias("cd"), big(F.ntile(4).over(w), "nt"))
 
 
-@q("win_offset", "SELECT event_id, lag(value) OVER w AS before, lead(value, 2) OVER w AS after, first_value(value) OVER w AS first, nth_value(value, 2) OVER w AS second FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")
+@q("win_offset", "SELECT event_id, lag(value) OVER w AS before, lead(value, 2) OVER w AS after, first_value(value) OVER w AS first, nth_value(value, 2) OVER w AS second, last_value(value) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS last, last_value(CASE WHEN event_type = 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id ROWS UNBOUNDED PRECEDING) AS last_view FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")
 def win_offset(spark, sf):
     w = W.partitionBy("user_id").orderBy("event_id")
-    return t(spark, sf, "events").select("event_id", F.lag("value").over(w).alias("before"), F.lead("value", 2).over(w).alias("after"), F.first("value").over(w).alias("first"), F.nth_value("value", 2).over(w).alias("second"))
+    so_far, whole = w.rowsBetween(W.unboundedPreceding, 0), w.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+    view = F.when(F.col("event_type") == "view", F.col("event_id"))
+    return t(spark, sf, "events").select("event_id", F.lag("value").over(w).alias("before"), F.lead("value", 2).over(w).alias("after"), F.first("value").over(w).alias("first"), F.nth_value("value", 2).over(w).alias("second"), F.last("value").over(whole).alias("last"), F.last(view, ignorenulls=True).over(so_far).alias("last_view"))
 
 
 @q("win_rows_frame", "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 4) AS trailing FROM events")
@@ -456,9 +494,11 @@ def str_hash(spark, sf):
     return t(spark, sf, "documents").select("doc_id", F.md5(F.col("text").cast("binary")).alias("m"), F.sha1(F.col("text").cast("binary")).alias("s"), F.sha2("text", 256).alias("h"))
 
 
-@q("str_distance", "SELECT p_partkey, levenshtein(p_name, p_type) AS d FROM part")
+@q("str_distance", "SELECT p_partkey, levenshtein(p_name, p_type) AS d, CASE WHEN levenshtein(p_name, p_type) <= 12 THEN levenshtein(p_name, p_type) ELSE -1 END AS near, ascii(upper(p_name)) = ascii(upper(p_type)) AS same_first FROM part")
 def str_distance(spark, sf):
-    return t(spark, sf, "part").select("p_partkey", F.levenshtein("p_name", "p_type").cast("bigint").alias("d"))
+    """Edit distance, the same cut off at a threshold, and whether the phonetic codes begin alike."""
+    first = lambda c: F.substring(F.soundex(c), 1, 1)
+    return t(spark, sf, "part").select("p_partkey", F.levenshtein("p_name", "p_type").cast("bigint").alias("d"), F.levenshtein("p_name", "p_type", 12).cast("bigint").alias("near"), (first("p_name") == first("p_type")).alias("same_first"))
 
 
 @q("str_shingles", "SELECT p_partkey, array_to_string(list_transform(range(1, greatest(length(p_name) - 1, 1)), lambda i: substr(p_name, i, 3)), '|') AS grams FROM part")
@@ -483,14 +523,17 @@ def dt_arith(spark, sf):
     return t(spark, sf, "orders").select("o_orderkey", F.datediff(d, F.lit("1995-01-01").cast("date")).cast("bigint").alias("days"), F.add_months(d, 3).alias("later"), F.last_day(d).alias("last"))
 
 
-@q("math_basic", "SELECT l_orderkey, l_linenumber, l_partkey, round(log10(l_extendedprice), 6) AS lg, round(ln(l_quantity), 6) AS n, round(sqrt(l_quantity), 6) AS sq, floor(l_extendedprice) AS fl, greatest(l_tax, l_discount) AS g, round(1 / (1 + exp(-l_tax)), 6) AS sg FROM lineitem")
+@q("math_basic", "SELECT l_orderkey, l_linenumber, l_partkey, round(log10(l_extendedprice), 6) AS lg, round(ln(l_quantity), 6) AS n, round(sqrt(l_quantity), 6) AS sq, floor(l_extendedprice) AS fl, greatest(l_tax, l_discount) AS g, round(1 / (1 + exp(-l_tax)), 6) AS sg, round(pow(1 + l_tax, 3), 6) AS p3, ((l_partkey - 1000) % 7 + 7) % 7 AS pm, CAST(CASE WHEN l_quantity < 0 THEN 0 WHEN l_quantity >= 50 THEN 11 ELSE floor(l_quantity / 5) + 1 END AS BIGINT) AS wb FROM lineitem")
 def math_basic(spark, sf):
-    return t(spark, sf, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", F.round(F.log10("l_extendedprice"), 6).alias("lg"), F.round(F.ln("l_quantity"), 6).alias("n"), F.round(F.sqrt("l_quantity"), 6).alias("sq"), F.floor("l_extendedprice").cast("double").alias("fl"), F.greatest("l_tax", "l_discount").alias("g"), F.round(1 / (1 + F.exp(-F.col("l_tax"))), 6).alias("sg"))
+    c = F.col
+    return t(spark, sf, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", F.round(F.log10("l_extendedprice"), 6).alias("lg"), F.round(F.ln("l_quantity"), 6).alias("n"), F.round(F.sqrt("l_quantity"), 6).alias("sq"), F.floor("l_extendedprice").cast("double").alias("fl"), F.greatest("l_tax", "l_discount").alias("g"), F.round(1 / (1 + F.exp(-c("l_tax"))), 6).alias("sg"), F.round(F.pow(1 + c("l_tax"), F.lit(3)), 6).alias("p3"), F.pmod(c("l_partkey") - 1000, F.lit(7)).alias("pm"), F.width_bucket("l_quantity", F.lit(0.0), F.lit(50.0), F.lit(10)).cast("bigint").alias("wb"))
 
 
-@q("dec_arith", "SELECT l_returnflag, CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 2))) AS VARCHAR) AS total FROM lineitem GROUP BY 1")
+@q("dec_arith", "SELECT l_returnflag, CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 2))) AS VARCHAR) AS total, round(CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 2))) AS DOUBLE) / count(*), 4) AS mean FROM lineitem GROUP BY 1")
 def dec_arith(spark, sf):
-    return t(spark, sf, "lineitem").groupBy("l_returnflag").agg(F.sum(F.col("l_extendedprice").cast("decimal(18,2)")).cast("string").alias("total"))
+    """Exact sums, and a division whose scale is that of DECIMAL(28,2) / DECIMAL(20,0)."""
+    total = F.sum(F.col("l_extendedprice").cast("decimal(18,2)"))
+    return t(spark, sf, "lineitem").groupBy("l_returnflag").agg(total.cast("string").alias("total"), F.round((total / F.count("*").cast("decimal(20,0)")).cast("double"), 4).alias("mean"))
 
 
 @q("arr_hof", "SELECT vec_id, round(list_sum(list_transform(CAST(embedding AS DOUBLE[]), lambda x: x * x)), 6) AS n, len(list_filter(embedding, lambda x: x > 0)) AS pos FROM embeddings")
@@ -498,21 +541,30 @@ def arr_hof(spark, sf):
     return t(spark, sf, "embeddings").select("vec_id", F.round(V.dot(F.col("embedding"), F.col("embedding")), 6).alias("n"), F.size(F.filter("embedding", lambda x: x > 0)).cast("bigint").alias("pos"))
 
 
-@q("arr_ops", "SELECT p_partkey, array_to_string(list_sort(list_distinct(string_split(p_name || ' ' || p_type, ' '))), '|') AS w, len(list_intersect(string_split(p_name, ' '), string_split(p_type, ' '))) AS i FROM part")
+@q("arr_ops", "SELECT p_partkey, array_to_string(list_sort(list_distinct(a || b)), '|') AS w, len(list_intersect(a, b)) AS i, len(list_filter(list_distinct(a), lambda x: NOT list_contains(b, x))) AS e, list_has_any(a, b) AS o, array_to_string(list_sort(a)[1:2], '|') AS s, len(a || b) AS f, CAST(coalesce(list_position(a, split_part(p_name, ' ', 2)), 0) AS BIGINT) AS p, 1 + 2 + len(a) AS q FROM (SELECT *, string_split(p_name, ' ') AS a, string_split(p_type, ' ') AS b FROM part)")
 def arr_ops(spark, sf):
     a, b = F.split("p_name", " "), F.split("p_type", " ")
-    return t(spark, sf, "part").select("p_partkey", F.array_join(F.array_sort(F.array_union(a, b)), "|").alias("w"), F.size(F.array_intersect(a, b)).cast("bigint").alias("i"))
+    big = lambda c, n: c.cast("bigint").alias(n)
+    steps = F.aggregate(F.array_distinct(F.concat(F.sequence(F.lit(1), F.lit(2)), F.array(F.size(a) + 10))), F.lit(-10), lambda x, y: x + y)
+    return t(spark, sf, "part").select("p_partkey", F.array_join(F.array_sort(F.array_union(a, b)), "|").alias("w"), big(F.size(F.array_intersect(a, b)), "i"), big(F.size(F.array_except(a, b)), "e"), F.arrays_overlap(a, b).alias("o"), F.array_join(F.slice(F.array_sort(a), 1, 2), "|").alias("s"), big(F.size(F.flatten(F.array(a, b))), "f"), F.array_position(a, F.split_part("p_name", F.lit(" "), F.lit(2))).alias("p"), big(steps, "q"))
 
 
-@q("explode_ops", "SELECT p_partkey, w, i - 1 AS i FROM (SELECT p_partkey, unnest(string_split(p_name, ' ')) AS w, generate_subscripts(string_split(p_name, ' '), 1) AS i FROM part)")
+@q("explode_ops", "SELECT 'posexplode' AS kind, p_partkey, w, i - 1 AS i FROM (SELECT p_partkey, unnest(string_split(p_name, ' ')) AS w, generate_subscripts(string_split(p_name, ' '), 1) AS i FROM part) UNION ALL SELECT 'explode', p_partkey, unnest(string_split(p_type, ' ')), NULL FROM part UNION ALL SELECT 'explode_outer', p_partkey, CASE WHEN p_size > 25 THEN p_brand END, NULL FROM part UNION ALL SELECT 'inline', p_partkey, p_brand, p_size FROM part")
 def explode_ops(spark, sf):
-    return t(spark, sf, "part").select("p_partkey", F.posexplode(F.split("p_name", " ")).alias("i", "w")).withColumn("i", F.col("i").cast("bigint"))
+    p = t(spark, sf, "part")
+    none = F.lit(None).cast("bigint").alias("i")
+    out = p.select("p_partkey", F.posexplode(F.split("p_name", " ")).alias("i", "w")).select(F.lit("posexplode").alias("kind"), "p_partkey", "w", F.col("i").cast("bigint").alias("i"))
+    out = out.unionByName(p.select(F.lit("explode").alias("kind"), "p_partkey", F.explode(F.split("p_type", " ")).alias("w"), none))
+    out = out.unionByName(p.select(F.lit("explode_outer").alias("kind"), "p_partkey", F.explode_outer(F.when(F.col("p_size") > 25, F.array("p_brand"))).alias("w"), none))
+    return out.unionByName(p.select(F.lit("inline").alias("kind"), "p_partkey", F.inline(F.array(F.struct(F.col("p_brand").alias("w"), F.col("p_size").cast("bigint").alias("i"))))))
 
 
-@q("map_ops", "SELECT doc_id, lang || '=' || source AS kv, 2 AS n FROM documents")
+@q("map_ops", "SELECT doc_id, lang || '=' || source AS kv, 2 AS n, 'lang,source' AS ks, upper(lang) || ',' || upper(source) AS vs, CASE WHEN lang = 'en' THEN 2 ELSE 1 END AS kept FROM documents")
 def map_ops(spark, sf):
-    m = F.map_concat(F.create_map(F.lit("lang"), "lang"), F.create_map(F.lit("source"), "source"))
-    return t(spark, sf, "documents").select("doc_id", F.concat_ws("=", F.element_at(m, "lang"), F.element_at(m, "source")).alias("kv"), F.size(m).alias("n"))
+    m = F.map_concat(F.create_map(F.lit("lang"), "lang"), F.map_from_entries(F.array(F.struct(F.lit("source").alias("k"), F.col("source").alias("v")))))
+    upper = F.transform_values(m, lambda k, v: F.upper(v))
+    kept = F.map_filter(m, lambda k, v: (k == "source") | (v == "en"))
+    return t(spark, sf, "documents").select("doc_id", F.concat_ws("=", F.element_at(m, "lang"), F.element_at(m, "source")).alias("kv"), F.size(m).alias("n"), F.array_join(F.array_sort(F.map_keys(m)), ",").alias("ks"), F.array_join(F.map_values(upper), ",").alias("vs"), F.size(kept).alias("kept"))
 
 
 @q("struct_ops", "SELECT doc_id, lang AS a, n_chars + 1 AS b FROM documents")
@@ -521,28 +573,29 @@ def struct_ops(spark, sf):
     return t(spark, sf, "documents").select("doc_id", s.alias("s")).select("doc_id", F.col("s.lang").alias("a"), F.col("s.n_chars").alias("b"))
 
 
-@q("json_ops", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k FROM events")
+@q("json_ops", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, json_extract_string(props, '$.k') AS g, '{\"id\":' || event_id || '}' AS j, 'STRUCT<k: BIGINT>' AS s, CAST(json_extract_string(props, '$.k') AS BIGINT) AS v FROM events")
 def json_ops(spark, sf):
-    return t(spark, sf, "events").select("event_id", F.from_json("props", "k bigint")["k"].alias("k"))
+    return t(spark, sf, "events").select("event_id", F.from_json("props", "k bigint")["k"].alias("k"), F.get_json_object("props", "$.k").alias("g"), F.to_json(F.struct(F.col("event_id").alias("id"))).alias("j"), F.schema_of_json(F.lit('{"k": 1}')).alias("s"), F.variant_get(F.parse_json("props"), "$.k", "bigint").alias("v"))
 
 
-@q("vec_ops", "SELECT label, round(sqrt(list_sum(list_transform(v, lambda x: x * x))), 6) AS norm FROM (SELECT label, list(a ORDER BY i) AS v FROM (SELECT label, i, avg(x) AS a FROM (SELECT label, unnest(CAST(embedding AS DOUBLE[])) AS x, unnest(range(len(embedding))) AS i FROM embeddings) GROUP BY 1, 2) GROUP BY 1)")
+@q("vec_ops", "WITH e AS (SELECT label, vec_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings), c AS (SELECT label, list(a ORDER BY i) AS v FROM (SELECT label, i, avg(x) AS a FROM (SELECT label, unnest(v) AS x, unnest(range(len(v))) AS i FROM e) GROUP BY 1, 2) GROUP BY 1) SELECT e.vec_id, e.label, round(list_dot_product(e.v, c.v), 6) AS dot, round(list_cosine_similarity(e.v, c.v), 6) AS cos, round(sqrt(list_dot_product(c.v, c.v)), 6) AS norm, round(e.v[1] / sqrt(list_dot_product(e.v, e.v)), 6) AS unit FROM e JOIN c USING (label)")
 def vec_ops(spark, sf):
-    """The norm of each label's centroid; means by position, so nothing is gathered but a vector a label."""
-    p = t(spark, sf, "embeddings").select("label", F.posexplode("embedding").alias("i", "x")).groupBy("label", "i").agg(F.avg(F.col("x").cast("double")).alias("a"))
-    return p.groupBy("label").agg(F.round(F.sqrt(F.sum(F.col("a") * F.col("a"))), 6).alias("norm"))
+    """Each vector against its label's centroid; means by position, so nothing is gathered but a vector a label."""
+    e = t(spark, sf, "embeddings")
+    means = e.select("label", F.posexplode("embedding").alias("i", "x")).groupBy("label", "i").agg(F.avg(F.col("x").cast("double")).alias("a"))
+    centers = means.groupBy("label").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "a"))), lambda p: p["a"]).alias("c"))
+    v, c = F.col("embedding"), F.col("c")
+    return e.join(centers, "label").select("vec_id", "label", F.round(V.dot(v, c), 6).alias("dot"), F.round(V.cosine(v, c), 6).alias("cos"), F.round(V.norm(c), 6).alias("norm"), F.round(V.unit(v)[0], 6).alias("unit"))
 
 
 # User functions and SQL surface.
-@q("udf_map_in_pandas", "SELECT vec_id, round(list_sum(CAST(embedding AS DOUBLE[])), 5) AS s FROM embeddings")
+@q("udf_map_in_pandas", "SELECT a.vec_id AS id, b.vec_id AS other, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS sim FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id AND b.vec_id % 10 = 0 WHERE list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) >= 0.35")
 def udf_map_in_pandas(spark, sf):
-    def run(frames):
-        import numpy as np
-
-        for f in frames:
-            yield pd.DataFrame({"vec_id": f["vec_id"], "s": [round(float(np.asarray(v, dtype=np.float64).sum()), 5) for v in f["embedding"]]})
+    """Blocked cosine in numpy: pairs of vectors and every tenth one, block by block."""
+    from provspark.operators.similarity import blocked_pairs
 
-    return t(spark, sf, "embeddings").select("vec_id", "embedding").mapInPandas(run, "vec_id long, s double")
+    e = t(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), "embedding")
+    return blocked_pairs(e, e.filter("id % 10 = 0"), 0.35).withColumn("sim", F.round("sim", 6))
 
 
 @q("udf_group_apply", "SELECT source, count(*) AS n, round(regr_slope(quality, n_chars) * 1e6, 3) AS slope FROM documents JOIN labels USING (doc_id) GROUP BY 1")
@@ -560,7 +613,7 @@ def udf_group_apply(spark, sf):
     return sums.groupBy("source").applyInPandas(fit, "source string, n long, slope double")
 
 
-@q("udtf_windows")
+@q("udtf_windows", "SELECT item_id, CAST(i AS INT) AS at, array_to_string(w[i + 1:i + 10], ' ') AS chunk FROM (SELECT item_id, w, unnest(range(0, greatest(1, len(w) - 9), 5)) AS i FROM (SELECT item_id, list_filter(string_split_regex(text, '[ \\t\\r\\n]+'), lambda x: x <> '') AS w FROM benchmark))")
 def udtf_windows(spark, sf):
     from provspark.sources.windows import TextWindows
 
@@ -569,27 +622,34 @@ def udtf_windows(spark, sf):
     return spark.sql("SELECT item_id, w.at, w.chunk FROM pv_benchmark, LATERAL text_windows(text, 10, 5) w")
 
 
-@q("udtf_occurrences", "SELECT sha1(text) AS key, source FROM documents")
+@q("udtf_occurrences", "SELECT sha1(text) AS key, source, min(doc_id) AS doc_id FROM documents GROUP BY 1, 2")
 def udtf_occurrences(spark, sf):
-    """The occurrence lists unfolded again, by inline."""
-    k = t(spark, sf, "documents").select(F.sha1(F.col("text").cast("binary")).alias("key"), "source", "doc_id")
-    lists = k.groupBy("key").agg(F.collect_list(F.struct("source", "doc_id")).alias("o"))
-    return lists.select("key", F.inline("o")).select("key", "source")
+    """The occurrence lists of the index unfolded again, by inline: one entry a set and key."""
+    from provspark.operators.lineage import build_index, hex_key
 
+    return build_index(C.document_items(spark, sf)).select(hex_key().alias("key"), F.inline("occurrences")).select("key", F.col("dataset_id").alias("source"), F.col("seq").alias("doc_id"))
 
-@q("sql_functions", "SELECT item_id, sha1(text) AS key FROM benchmark")
+
+@q("sql_functions", "SELECT doc_id, sha1(text) AS key, toxic || '' || quality AS code, round(0.684 - 0.363 * log10(8), 6) AS w1 FROM documents JOIN labels USING (doc_id)")
 def sql_functions(spark, sf):
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION content_key(t STRING) RETURNS STRING RETURN sha1(CAST(t AS BINARY))")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION outcome_code(a INT, b INT) RETURNS STRING RETURN concat(CAST(a AS STRING), CAST(b AS STRING))")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION scale_law(a DOUBLE, b DOUBLE, m DOUBLE) RETURNS DOUBLE RETURN a + b * log10(m / 1e9)")
-    t(spark, sf, "benchmark").createOrReplaceTempView("pv_benchmark")
-    return spark.sql("SELECT item_id, content_key(text) AS key FROM pv_benchmark")
+    for name in ("documents", "labels"):
+        t(spark, sf, name).createOrReplaceTempView(f"pv_{name}")
+    return spark.sql("SELECT doc_id, content_key(text) AS key, outcome_code(toxic, quality) AS code, round(scale_law(0.684, -0.363, 8e9), 6) AS w1 FROM pv_documents JOIN pv_labels USING (doc_id)")
 
 
-@q("sql_views", "SELECT source, count(*) AS n FROM documents GROUP BY 1 HAVING count(*) > 10")
+@q("sql_views", with_items(f", e AS ({FIRST_EDGES}), m AS (SELECT child, parent FROM (SELECT *, row_number() OVER (PARTITION BY child ORDER BY n DESC, parent) AS r FROM e) WHERE r = 1), up AS (SELECT child, parent AS ancestor, 1 AS depth FROM m UNION ALL SELECT u.child, m.parent, u.depth + 1 FROM up u JOIN m ON m.child = u.ancestor) SELECT child, count(*) AS n_ancestors, CAST(max(depth) AS BIGINT) AS depth FROM up GROUP BY 1").replace("WITH items", "WITH RECURSIVE items", 1))
 def sql_views(spark, sf):
-    t(spark, sf, "documents").createOrReplaceTempView("pv_documents")
-    return spark.sql("SELECT source, count(*) AS n FROM pv_documents GROUP BY source HAVING count(*) > 10")
+    """A method's output as a view, and a recursive query on it: the line of main parents above each set, one path a set."""
+    from provspark.plans.lineage_queries import contribution_edges
+
+    cut(contribution_edges(spark, sf), "edges").createOrReplaceTempView("pv_edges")
+    spark.sql("SELECT child, parent FROM (SELECT *, row_number() OVER (PARTITION BY child ORDER BY n DESC, parent) AS r FROM pv_edges) WHERE r = 1").createOrReplaceTempView("pv_main_parents")
+    return spark.sql("""WITH RECURSIVE up(child, ancestor, depth) AS (
+        SELECT child, parent, 1 FROM pv_main_parents UNION ALL SELECT u.child, m.parent, u.depth + 1 FROM up u JOIN pv_main_parents m ON m.child = u.ancestor
+    ) SELECT child, count(*) AS n_ancestors, CAST(max(depth) AS BIGINT) AS depth FROM up GROUP BY child""")
 
 
 @q("str_words", "SELECT doc_id, len(list_filter(string_split_regex(lower(text), '[ \\t\\r\\n]+'), lambda x: x <> '')) AS n FROM documents")

@@ -13,6 +13,7 @@ from provspark.operators import evaluation as E
 from provspark.operators import lineage as L
 from provspark.operators import provenance as P
 from provspark.operators import scoring as S
+from provspark.operators.shared import cut
 from provspark.plans.leak_queries import leak_sql, sure_pairs
 from provspark.plans.registry import query, with_items
 from provspark.sources import carriers as C
@@ -100,19 +101,14 @@ def pass_at_k_unbiased(spark, sf):
     return E.pass_at_k_unbiased(C.rollouts(spark, sf), 4)
 
 
-def gains(spark, sf, measure="mean"):
-    r = C.rollouts(spark, sf)
-    m = (E.mean_at_k(r, 4).withColumnRenamed("mean_at_k", "v") if measure == "mean" else E.pass_at_k(r, 4).withColumnRenamed("pass_at_k", "v")).select("model", "v")
-    base = m.filter(F.col("model") == C.BASE_MODEL).select(F.col("v").alias("b"))
-    return m.filter(F.col("model") != C.BASE_MODEL).crossJoin(F.broadcast(base)).select("model", F.round(F.col("v") - F.col("b"), 6).alias("gain"))
-
-
-GAIN = f"(SELECT model, round(round(m, 6) - round(b, 6), 6) AS d_mean, round(round(p, 6) - round(q, 6), 6) AS d_pass FROM (SELECT model, avg(mean) AS m, avg(any_ok) AS p FROM ({MEAN4}) GROUP BY 1) CROSS JOIN (SELECT avg(mean) AS b, avg(any_ok) AS q FROM ({MEAN4}) WHERE model = 'view') WHERE model <> 'view')"
+SOURCE_MEAN4 = "SELECT model, item, avg(reward) AS mean, max(reward) AS any_ok FROM (SELECT *, row_number() OVER (PARTITION BY model, item ORDER BY event_id) AS rn FROM (SELECT CASE WHEN event_type = 'view' THEN 'base' ELSE 'src' || (event_id % 5) END AS model, user_id % 50 AS item, event_id, CAST(value > 250 AS INT) AS reward FROM events)) WHERE rn <= 4 GROUP BY 1, 2"
+GAIN = f"(SELECT s.model AS source, round(s.m - b.m, 6) AS d_mean, round(s.p - b.p, 6) AS d_pass FROM (SELECT model, round(avg(mean), 6) AS m, round(avg(any_ok), 6) AS p FROM ({SOURCE_MEAN4}) GROUP BY 1) s JOIN (SELECT model, round(avg(mean), 6) AS m, round(avg(any_ok), 6) AS p FROM ({SOURCE_MEAN4}) GROUP BY 1) b ON b.model = 'base' AND s.model <> 'base')"
 
 
 @query("source_gain", f"SELECT * FROM {GAIN}")
 def source_gain(spark, sf):
-    return gains(spark, sf).withColumnRenamed("gain", "d_mean").join(gains(spark, sf, "pass").withColumnRenamed("gain", "d_pass"), "model")
+    """Mean@4 and Pass@4 gains of each atomic source's checkpoint over the base model."""
+    return A.source_gains(C.source_rollouts(spark, sf), "base")
 
 
 @query("base_untrained", f"SELECT round(avg(mean), 6) AS mean_at_4, round(avg(any_ok), 6) AS pass_at_4 FROM ({MEAN4}) WHERE model = 'view'")
@@ -125,13 +121,13 @@ def base_untrained(spark, sf):
 DECOMP = "SELECT dataset_id, coalesce(atomic_source, 'unknown') AS origin, round(count(*) / sum(count(*)) OVER (PARTITION BY dataset_id), 6) AS share FROM attributed GROUP BY 1, 2"
 
 
-def source_gains(spark, sf, by="learnability"):
-    return A.class_shares(C.outcomes(spark, sf), ["source"]).select("source", F.round(A.learnability(CFG, F.lit(1e9)), 6).alias("gain"))
+SET_GAIN = f"SELECT dataset_id, round(sum(share * coalesce(d_mean, 0)), 6) AS d_mean, round(sum(share * coalesce(d_pass, 0)), 6) AS d_pass FROM ({DECOMP}) LEFT JOIN (SELECT source AS origin, d_mean, d_pass FROM {GAIN}) USING (origin) GROUP BY 1"
 
 
-@query("set_gain_mixture", with_items(f"SELECT dataset_id, round(sum(share * coalesce(gain, 0)), 6) AS gain FROM ({DECOMP}) LEFT JOIN (SELECT source AS origin, round({LEARN}, 6) AS gain FROM ({share_sql('source')})) USING (origin) GROUP BY 1"))
+@query("set_gain_mixture", with_items(SET_GAIN))
 def set_gain_mixture(spark, sf):
-    return A.mixture_gain(P.decompose(L.attribute_exact(C.document_items(spark, sf))), source_gains(spark, sf))
+    """A set's Mean@4 and Pass@4 gains, mixed from those of its sources by their shares."""
+    return A.mixture_gain(P.decompose(L.attribute_exact(C.document_items(spark, sf))), source_gain(spark, sf), "d_mean", "d_pass")
 
 
 @query("intervention_vs_item", f"SELECT round(w + b, 6) AS total, round(w, 6) AS within, round(b, 6) AS between, round(b / (w + b), 6) AS share_between FROM (SELECT sum(n * v) / sum(n) AS w, sum(n * m * m) / sum(n) - (sum(n * m) / sum(n)) * (sum(n * m) / sum(n)) AS b FROM (SELECT source, count(*) AS n, avg(tuned_ok - base_ok) AS m, var_pop(tuned_ok - base_ok) AS v FROM {PAIRS} GROUP BY 1))")
@@ -298,19 +294,19 @@ def score_grid_search(spark, sf):
 RCON = "SELECT dataset_id, round(avg(CASE WHEN ok THEN 1.0 ELSE 0.0 END), 6) AS r_con FROM (SELECT DISTINCT key, dataset_id FROM items) JOIN (SELECT key, coalesce(min(lower(trim(answer))) = max(lower(trim(answer))), true) AS ok FROM items GROUP BY 1) USING (key) GROUP BY 1"
 
 
-@query("answer_consistency", with_items(RCON))
-def answer_consistency(spark, sf):
-    return S.answer_consistency(L.keyed(C.document_items(spark, sf)))
+FIRST_LINE = "SELECT source AS dataset_id, split_part(text, chr(10), 1) AS key, lower(trim(regexp_replace(substr(text, length(split_part(text, chr(10), 1)) + 2), '[ \\t\\r\\n]+', ' ', 'g'))) AS answer FROM documents"
+CONSISTENT = RCON.replace("FROM items", f"FROM ({FIRST_LINE})")
 
 
 def first_line_items(spark, sf):
+    """A document's first line as a prompt, what follows as its answer."""
     first = F.split_part("text", F.lit("\n"), F.lit(1))
-    d = C.table(spark, sf, "documents")
+    d = C.texts(spark, sf, "documents", "source", "text")
     return L.keyed(d.select(F.col("source").alias("dataset_id"), first.alias("prompt"), F.substr("text", F.length(first) + 2).alias("answer")))
 
 
-@query("answer_consistency_first_line", "WITH items AS (SELECT source AS dataset_id, split_part(text, chr(10), 1) AS key, lower(trim(regexp_replace(substr(text, length(split_part(text, chr(10), 1)) + 2), '[ \\t\\r\\n]+', ' ', 'g'))) AS answer FROM documents) " + RCON)
-def answer_consistency_first_line(spark, sf):
+@query("answer_consistency", CONSISTENT)
+def answer_consistency(spark, sf):
     return S.answer_consistency(first_line_items(spark, sf))
 
 
@@ -361,88 +357,122 @@ def contamination_free(spark, sf):
     return S.contamination_free(C.document_items(spark, sf), sure_pairs(spark, sf))
 
 
+#: The live card moves the weight of learnable items with size, as all coefficients may.
+LIVE_CFG = TILTED
+
+
+def narrow_items(spark, sf):
+    """One row a document without its texts, written once: keys, an answer's key, whether it is multiple choice."""
+    text, first = F.col("text"), F.split_part("text", F.lit("\n"), F.lit(1))
+    answer = F.lower(F.trim(F.regexp_replace(F.substr("text", F.length(first) + 2), r"[ \t\r\n]+", " ")))
+    no = C.number_of(F.col("source"))
+    rows = C.texts(spark, sf, "documents", "doc_id", "text", "source")
+    return cut(rows.select(F.col("source").alias("dataset_id"), no.alias("dataset_no"), C.release_of(no).alias("released_at"), F.col("doc_id").cast("string").alias("item_id"), F.col("doc_id").alias("seq"), L.join_key(text).alias("key"), L.join_key(first).alias("first_key"), L.content_key(answer).alias("answer"), S.is_multi_option(text).alias("options")), "narrow")
+
+
 def live_parts(spark, sf):
-    """One row a set: every part of the score on the documents; gains are those of the sets' sources."""
-    items = L.keyed(C.document_items(spark, sf))
-    states = L.set_states(items)
-    shares = A.class_shares(C.outcomes(spark, sf), ["source"]).withColumnRenamed("source", "dataset_id").select("dataset_id", F.round(A.learnability(CFG, F.lit(1e9)), 6).alias("l"))
-    decomposition = P.decompose(L.attribute_exact(C.document_items(spark, sf)))
-    parts = S.answer_consistency(items)
-    for other in (S.option_share(items), S.reuse_discount(states), shares, S.normalized_entropy(decomposition), S.contamination_free(items, sure_pairs(spark, sf)), A.mixture_gain(decomposition, source_gains(spark, sf))):
+    """One row a set and scale: every part of the score on the documents.
+
+    The texts are read twice, for the keys and for the leaks; all else works on what these wrote.
+    """
+    rows, pairs = narrow_items(spark, sf), cut(sure_pairs(spark, sf), "pairs")
+    decomposition = P.decompose(L.attribute_keyed(rows))
+    scales = S.scales_table(spark, LIVE_CFG)
+    share = rows.groupBy("dataset_id").agg(F.round(F.avg(F.col("options").cast("double")), 6).alias("r_mcq"))
+    learn = A.class_shares(C.outcomes(spark, sf), ["source"]).withColumnRenamed("source", "dataset_id").crossJoin(F.broadcast(scales)).select("dataset_id", "scale", "model_size", F.round(A.learnability(LIVE_CFG, F.col("model_size")), 6).alias("l"))
+    parts = S.answer_consistency(rows.select("dataset_id", F.col("first_key").alias("key"), "answer"))
+    for other in (share, S.reuse_discount(L.set_states(rows)), S.normalized_entropy(decomposition), S.contamination_free(rows, pairs), A.mixture_gain(decomposition, source_gain(spark, sf), "d_mean", "d_pass"), learn):
         parts = parts.join(other, "dataset_id")
-    return parts.withColumn("s1a", F.round(S.verifiability(CFG), 6)).withColumn("s1b", F.round(S.learnability_score(F.col("l"), F.col("entropy"), CFG), 6))
+    return parts.withColumn("s1a", F.round(S.verifiability(LIVE_CFG), 6)).withColumn("s1b", F.round(S.learnability_score(F.col("l"), F.col("entropy"), LIVE_CFG), 6))
 
 
 LIVE = leak_sql() + f""", live AS (SELECT *, round(0.4 * r_con + 0.3 * (1 - 0.5 * r_mcq) + 0.3 * p_reuse, 6) AS s1a, round(1 / (1 + exp(-l)) + 0.1 * entropy, 6) AS s1b
-FROM ({RCON}) JOIN (SELECT dataset_id, round(avg(CASE WHEN {OPTION.format('prompt')} THEN 1.0 ELSE 0.0 END), 6) AS r_mcq FROM items GROUP BY 1) USING (dataset_id)
+FROM ({CONSISTENT}) JOIN (SELECT dataset_id, round(avg(CASE WHEN {OPTION.format('prompt')} THEN 1.0 ELSE 0.0 END), 6) AS r_mcq FROM items GROUP BY 1) USING (dataset_id)
 JOIN (SELECT dataset_id, round(avg(least(1.0, 2 / n_sets)), 6) AS p_reuse FROM ks JOIN (SELECT key, count(*) AS n_sets FROM ks GROUP BY 1) USING (key) GROUP BY 1) USING (dataset_id)
-JOIN (SELECT source AS dataset_id, round({LEARN}, 6) AS l FROM ({share_sql('source')})) USING (dataset_id) JOIN ({ENTROPY}) USING (dataset_id) JOIN ({S1C}) USING (dataset_id)
-JOIN (SELECT dataset_id, round(sum(share * coalesce(gain, 0)), 6) AS gain FROM ({DECOMP}) LEFT JOIN (SELECT source AS origin, round({LEARN}, 6) AS gain FROM ({share_sql('source')})) USING (origin) GROUP BY 1) USING (dataset_id))
+JOIN (SELECT source AS dataset_id, scale, log10(m / 1e9) AS x, round((0.9 + 0.1 * log10(m / 1e9)) * p01 + 0.3 * p11 + 0.2 * p10 - 0.5 * p00, 6) AS l FROM ({share_sql('source')}) CROSS JOIN (VALUES ('small', 1.7e9), ('large', 8e9)) AS t(scale, m)) USING (dataset_id)
+JOIN ({ENTROPY}) USING (dataset_id) JOIN ({S1C}) USING (dataset_id) JOIN ({SET_GAIN}) USING (dataset_id)
+), parts AS (SELECT *, round(0.35 * s1a + 0.3 * s1b + 0.35 * s1c, 6) AS s1, round((0.4 + 0.3 * x) * gm + (0.6 - 0.3 * x) * l, 6) AS s2, round((0.4 + 0.3 * x) * gp + (0.6 - 0.3 * x) * l, 6) AS s3
+FROM (SELECT *, CASE WHEN max(d_mean) OVER w > min(d_mean) OVER w THEN (d_mean - min(d_mean) OVER w) / (max(d_mean) OVER w - min(d_mean) OVER w) ELSE 0.5 END AS gm, CASE WHEN max(d_pass) OVER w > min(d_pass) OVER w THEN (d_pass - min(d_pass) OVER w) / (max(d_pass) OVER w - min(d_pass) OVER w) ELSE 0.5 END AS gp FROM live WINDOW w AS (PARTITION BY scale)))
 """
 
 
-@query("verifiability", with_items(LIVE + "SELECT dataset_id, s1a FROM live"))
+@query("verifiability", with_items(LIVE + "SELECT DISTINCT dataset_id, s1a FROM live"))
 def verifiability(spark, sf):
-    return live_parts(spark, sf).select("dataset_id", "s1a")
+    return live_parts(spark, sf).select("dataset_id", "s1a").distinct()
 
 
-@query("learnability_score", with_items(LIVE + "SELECT dataset_id, s1b FROM live"))
+@query("learnability_score", with_items(LIVE + "SELECT scale, dataset_id, s1b FROM live"))
 def learnability_score(spark, sf):
-    return live_parts(spark, sf).select("dataset_id", "s1b")
-
-
-@query("static_quality", with_items(LIVE + "SELECT dataset_id, round(0.35 * s1a + 0.3 * s1b + 0.35 * s1c, 6) AS s1 FROM live"))
-def static_quality(spark, sf):
-    return live_parts(spark, sf).select("dataset_id", F.round(S.static_quality(CFG, F.lit(1e9)), 6).alias("s1"))
+    return live_parts(spark, sf).select("scale", "dataset_id", "s1b")
 
 
-MINMAX = "CASE WHEN max(gain) OVER () > min(gain) OVER () THEN (gain - min(gain) OVER ()) / (max(gain) OVER () - min(gain) OVER ()) ELSE 0.5 END"
+def live_scores(spark, sf):
+    """S1, S2 from the Mean@4 gains and S3 from the Pass@4 gains, each set's gain on the scale of all sets."""
+    parts = live_parts(spark, sf)
+    return S.dynamic_parts(parts, LIVE_CFG).withColumn("s1", F.round(S.static_quality(LIVE_CFG, F.col("model_size")), 6))
 
 
-@query("normalized_gain", f"SELECT model, round({MINMAX}, 6) AS minmax, round(gain / (1 - b), 6) AS headroom, round(gain / b, 6) AS relative, round(gain / max(gain) OVER (), 6) AS of_max FROM (SELECT model, d_mean AS gain, b FROM {GAIN} CROSS JOIN (SELECT round(avg(mean), 6) AS b FROM ({MEAN4}) WHERE model = 'view'))")
-def normalized_gain(spark, sf):
-    base = E.mean_at_k(C.rollouts(spark, sf).filter(F.col("model") == C.BASE_MODEL), 4).select(F.col("mean_at_k").alias("b"))
-    g = gains(spark, sf).crossJoin(F.broadcast(base))
-    return g.select("model", *[F.round(S.normalize_gain(g, "gain", how, "b"), 6).alias(name) for how, name in (("minmax", "minmax"), ("headroom", "headroom"), ("relative", "relative"), ("max", "of_max"))])
+@query("static_quality", with_items(LIVE + "SELECT scale, dataset_id, s1 FROM parts"))
+def static_quality(spark, sf):
+    return live_scores(spark, sf).select("scale", "dataset_id", "s1")
 
 
-SCALED = "(SELECT *, log10(m / 1e9) AS x FROM {0} CROSS JOIN (VALUES ('small', 1.7e9), ('large', 8e9)) AS t(scale, m))"
-FULL = f"SELECT scale, dataset_id, round(0.35 * s1a + 0.3 * s1b + 0.35 * s1c, 6) AS s1, round((0.4 + 0.3 * x) * g + (0.6 - 0.3 * x) * l, 6) AS s2 FROM {SCALED.format('(SELECT *, ' + MINMAX + ' AS g FROM live)')}"
+MINMAX = "CASE WHEN max({0}) OVER () > min({0}) OVER () THEN ({0} - min({0}) OVER ()) / (max({0}) OVER () - min({0}) OVER ()) ELSE 0.5 END"
 
 
-def live_scores(spark, sf):
-    parts = live_parts(spark, sf)
-    parts = parts.withColumn("g", S.normalize_gain(parts, "gain")).crossJoin(F.broadcast(S.scales_table(spark, CFG)))
-    share = S.scale_law(CFG.gain_share, F.col("model_size"))
-    return parts.withColumn("s1", F.round(S.static_quality(CFG, F.col("model_size")), 6)).withColumn("s2", F.round(S.blend(F.col("g"), F.col("l"), share), 6)).withColumn("s3", F.col("s2"))
+@query("normalized_gain", with_items(f"SELECT dataset_id, round({MINMAX.format('d_mean')}, 6) AS minmax, round({MINMAX.format('d_pass')}, 6) AS minmax_pass, round(d_mean / (1 - b), 6) AS headroom, round(d_mean / b, 6) AS relative, round(d_mean / max(d_mean) OVER (), 6) AS of_max FROM ({SET_GAIN}) CROSS JOIN (SELECT round(avg(mean), 6) AS b FROM ({SOURCE_MEAN4}) WHERE model = 'base')"))
+def normalized_gain(spark, sf):
+    """A set's gains on a common scale, in every form."""
+    base = E.mean_at_k(C.source_rollouts(spark, sf).filter("model = 'base'"), 4).select(F.col("mean_at_k").alias("b"))
+    g = set_gain_mixture(spark, sf).crossJoin(F.broadcast(base))
+    forms = [F.round(S.normalize_gain(g, "d_mean", how, "b"), 6).alias(name) for how, name in (("minmax", "minmax"), ("headroom", "headroom"), ("relative", "relative"), ("max", "of_max"))]
+    return g.select("dataset_id", *forms, F.round(S.normalize_gain(g, "d_pass"), 6).alias("minmax_pass"))
 
 
-@query("efficiency_gain", with_items(LIVE + f"SELECT scale, dataset_id, s2 FROM ({FULL})"))
+@query("efficiency_gain", with_items(LIVE + "SELECT scale, dataset_id, s2 FROM parts"))
 def efficiency_gain(spark, sf):
     return live_scores(spark, sf).select("scale", "dataset_id", "s2")
 
 
-@query("capability_gain", with_items(LIVE + f"SELECT scale, dataset_id, s2 AS s3 FROM ({FULL})"))
+@query("capability_gain", with_items(LIVE + "SELECT scale, dataset_id, s3 FROM parts"))
 def capability_gain(spark, sf):
-    """The same blend for the share of items solved at all; on documents both gains come from the sets' sources."""
     return live_scores(spark, sf).select("scale", "dataset_id", "s3")
 
 
-@query("score_card", with_items(LIVE + f"SELECT scale, dataset_id, q, rank() OVER (PARTITION BY scale ORDER BY q DESC) AS rank FROM (SELECT scale, dataset_id, round((0.684 - 0.363 * y) * s1 + (0.22 + 0.131 * y) * s2 + (0.096 + 0.232 * y) * s2, 6) AS q FROM (SELECT *, log10(CASE WHEN scale = 'small' THEN 1.7 ELSE 8.0 END) AS y FROM ({FULL})))"))
+@query("score_card", with_items(LIVE + "SELECT scale, dataset_id, s1, s2, s3, q, rank() OVER (PARTITION BY scale ORDER BY q DESC) AS rank FROM (SELECT *, round((0.684 - 0.363 * x) * s1 + (0.22 + 0.131 * x) * s2 + (0.096 + 0.232 * x) * s3, 6) AS q FROM parts)"))
 def score_card(spark, sf):
-    return S.ranked_card(live_scores(spark, sf), CFG).select("scale", "dataset_id", "q", "rank")
+    return S.ranked_card(live_scores(spark, sf), LIVE_CFG).select("scale", "dataset_id", "s1", "s2", "s3", "q", "rank")
+
+
+ARMS = "SELECT dataset_id, arm, count(*) AS n_items, round(avg(CASE WHEN o THEN 1.0 ELSE 0.0 END), 6) AS r_mcq, round(1 - avg(CASE WHEN leaked THEN 1.0 ELSE 0.0 END), 6) AS s1c, round(1.0 * avg(CASE WHEN code IS NOT NULL THEN CASE WHEN code = '01' THEN 1.0 ELSE 0.0 END END), 6) AS p01 FROM a GROUP BY 1, 2"
+
+
+@query("ablation_live", with_items(leak_sql() + f", w AS (SELECT i.dataset_id, i.item_id, {OPTION.format('prompt')} AS o, i.item_id IN (SELECT item_id FROM pairs) AS leaked, p.code FROM items i LEFT JOIN {PAIRS} p ON p.item_id = i.seq), a AS (SELECT 'original' AS arm, * FROM w UNION ALL SELECT 'cleaned', * FROM w WHERE NOT leaked UNION ALL SELECT 'without_options', * FROM w WHERE NOT o) {ARMS}"))
+def ablation_live(spark, sf):
+    """Both ablations on the documents: each set as it is, without leaked items, and without multiple choice."""
+    rows = narrow_items(spark, sf)
+    leaked = sure_pairs(spark, sf).select("item_id").distinct().withColumn("leaked", F.lit(1.0))
+    verdicts = C.outcomes(spark, sf).select(F.col("item_id").alias("seq"), (A.outcome_code(F.col("base_ok"), F.col("tuned_ok")) == "01").cast("double").alias("learn"))
+    every = cut(rows.join(leaked, "item_id", "left").join(verdicts, "seq", "left").select("dataset_id", F.col("options").cast("double").alias("o"), F.coalesce("leaked", F.lit(0.0)).alias("leaked"), "learn"), "arms")
+    arms = every.withColumn("arm", F.lit("original")).unionByName(every.filter("leaked = 0").withColumn("arm", F.lit("cleaned"))).unionByName(every.filter("o = 0").withColumn("arm", F.lit("without_options")))
+    return arms.groupBy("dataset_id", "arm").agg(F.count("*").alias("n_items"), F.round(F.avg("o"), 6).alias("r_mcq"), F.round(1 - F.avg("leaked"), 6).alias("s1c"), F.round(F.avg("learn"), 6).alias("p01"))
 
 
 # Curation.
+LEAST_INHERITED = "(SELECT atomic_source FROM attributed WHERE atomic_source IS NOT NULL AND stage = 'exact' GROUP BY 1 ORDER BY count(*), atomic_source LIMIT 1)"
+
+
 def curation_inputs(spark, sf):
-    items = L.keyed(C.document_items(spark, sf))
-    mine, source = items.filter("dataset_id = 'src19'"), items.filter("dataset_id = 'src1'")
-    leaked = sure_pairs(spark, sf).select("item_id").distinct()
+    """The set to clean, the atomic source that later sets inherited least, leaked and learnable items; pairs are found once."""
+    rows = narrow_items(spark, sf)
+    least = P.underused(L.attribute_keyed(rows).filter("stage = 'exact'"), 1 << 30).orderBy("n_items", "atomic_source").limit(1).select(F.col("atomic_source").alias("dataset_id"))
+    mine, source = rows.filter("dataset_id = 'src19'"), rows.join(F.broadcast(least), "dataset_id", "left_semi")
+    leaked = cut(sure_pairs(spark, sf).select("item_id").distinct(), "leaked")
     learn = A.learnable(C.outcomes(spark, sf)).select(F.col("item_id").cast("string").alias("item_id"))
     return mine, source, leaked, learn
 
 
-POOL = f", mine AS (SELECT * FROM items WHERE dataset_id = 'src19'), leaked AS (SELECT DISTINCT item_id FROM pairs), pool AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY key ORDER BY seq) AS pr FROM items WHERE dataset_id = 'src1' AND NOT {OPTION.format('prompt')} AND item_id IN (SELECT CAST(item_id AS VARCHAR) FROM {PAIRS} WHERE code = '01') AND item_id NOT IN (SELECT item_id FROM leaked) AND key NOT IN (SELECT key FROM mine)) WHERE pr = 1)"
+POOL = f", mine AS (SELECT * FROM items WHERE dataset_id = 'src19'), leaked AS (SELECT DISTINCT item_id FROM pairs), pool AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY key ORDER BY seq) AS pr FROM items WHERE dataset_id = {LEAST_INHERITED} AND NOT {OPTION.format('prompt')} AND item_id IN (SELECT CAST(item_id AS VARCHAR) FROM {PAIRS} WHERE code = '01') AND item_id NOT IN (SELECT item_id FROM leaked) AND key NOT IN (SELECT key FROM mine)) WHERE pr = 1)"
 
 
 @query("refill_pool", with_items(leak_sql() + POOL + " SELECT item_id FROM pool"))
@@ -461,7 +491,7 @@ def curate_replace(spark, sf):
     return out.select("item_id", "origin")
 
 
-@query("base_random_refill", with_items(leak_sql() + CURATED.replace("FROM pool) WHERE r", "FROM items WHERE dataset_id = 'src1') WHERE r") + " SELECT item_id, 'kept' AS origin FROM kept UNION ALL SELECT item_id, 'added' FROM added"))
+@query("base_random_refill", with_items(leak_sql() + CURATED.replace("FROM pool) WHERE r", "FROM items WHERE dataset_id = " + LEAST_INHERITED + ") WHERE r") + " SELECT item_id, 'kept' AS origin FROM kept UNION ALL SELECT item_id, 'added' FROM added"))
 def base_random_refill(spark, sf):
     """Baseline: refill from the source with no conditions."""
     mine, source, leaked, _ = curation_inputs(spark, sf)
@@ -483,15 +513,15 @@ def curate_without_options(spark, sf):
 
 def option_items(spark, sf):
     """Multiple choice made from benchmark items and part names."""
-    b = C.table(spark, sf, "part").filter("p_partkey <= 200")
+    b = C.table(spark, sf, "part")
     return b.select(F.col("p_partkey").cast("string").alias("item_id"), F.concat(F.lit("Which is it?\nA) "), "p_name", F.lit("\nB) "), "p_brand", F.lit("\nC) "), "p_type").alias("prompt"), F.element_at(F.array(F.lit("A"), F.lit("B"), F.lit("C")), (F.col("p_partkey") % 3 + 1).cast("int")).alias("answer"), F.col("p_name").alias("question"), F.array("p_name", "p_brand", "p_type").alias("options"))
 
 
-@query("options_to_open", "SELECT CAST(p_partkey AS VARCHAR) AS item_id, 'Which is it?' AS open_prompt, CASE p_partkey % 3 WHEN 0 THEN p_name WHEN 1 THEN p_brand ELSE p_type END AS open_answer FROM part WHERE p_partkey <= 200")
+@query("options_to_open", "SELECT CAST(p_partkey AS VARCHAR) AS item_id, 'Which is it?' AS open_prompt, CASE p_partkey % 3 WHEN 0 THEN p_name WHEN 1 THEN p_brand ELSE p_type END AS open_answer FROM part")
 def options_to_open(spark, sf):
     return U.open_ended(option_items(spark, sf)).select("item_id", "open_prompt", "open_answer")
 
 
-@query("option_shuffle", "WITH o AS (SELECT p_partkey, unnest([p_name, p_brand, p_type]) AS o, unnest([0, 1, 2]) AS i FROM part WHERE p_partkey <= 200), r AS (SELECT *, row_number() OVER (PARTITION BY p_partkey ORDER BY sha1('provspark:' || p_partkey || ':' || i || ':' || o)) AS r FROM o) SELECT CAST(p_partkey AS VARCHAR) AS item_id, chr(CAST(64 + max(r) FILTER (i = p_partkey % 3) AS INT)) AS answer, string_agg(o, '|' ORDER BY r) AS options FROM r GROUP BY p_partkey")
+@query("option_shuffle", "WITH o AS (SELECT p_partkey, unnest([p_name, p_brand, p_type]) AS o, unnest([0, 1, 2]) AS i FROM part), r AS (SELECT *, row_number() OVER (PARTITION BY p_partkey ORDER BY sha1('provspark:' || p_partkey || ':' || i || ':' || o)) AS r FROM o) SELECT CAST(p_partkey AS VARCHAR) AS item_id, chr(CAST(64 + max(r) FILTER (i = p_partkey % 3) AS INT)) AS answer, string_agg(o, '|' ORDER BY r) AS options FROM r GROUP BY p_partkey")
 def option_shuffle(spark, sf):
     return U.shuffle_options(option_items(spark, sf), SEED).select("item_id", "answer", F.array_join("options", "|").alias("options"))

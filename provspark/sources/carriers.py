@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from provspark.operators.shared import spread
+
 ITEM_COLUMNS = ["dataset_id", "dataset_no", "item_id", "released_at", "seq", "prompt", "answer", "meta"]
 ATOMIC, AGGREGATE, TRAINING = "atomic_source", "aggregate_source", "training"
 
@@ -13,6 +15,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def texts(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
+    """Columns of a table whose rows cost much work: a small one in few pieces is dealt to all cores."""
+    return spread(table(spark, sf_dir, name).select(*columns))
+
+
 def number_of(dataset: Column) -> Column:
     """The digits at a set's end, by which sets of one release date are ordered."""
     return F.regexp_extract(dataset, r"(\d+)$", 1).try_cast("int")
@@ -36,7 +43,7 @@ def canonicalize(df: DataFrame, adapter: dict[str, Column]) -> DataFrame:
 def document_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     no = number_of(F.col("source"))
     return canonicalize(
-        table(spark, sf_dir, "documents"),
+        texts(spark, sf_dir, "documents", "doc_id", "text", "lang", "source"),
         {"dataset_id": F.col("source"), "dataset_no": no, "item_id": F.col("doc_id"), "released_at": release_of(no), "seq": F.col("doc_id"), "prompt": F.col("text"), "answer": F.col("lang"), "meta": F.create_map(F.lit("lang"), F.col("lang"))},
     )
 
@@ -93,4 +100,12 @@ def rollouts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select(F.col("event_type").alias("model"), F.col("user_id").alias("item"), F.col("event_id").alias("sample"), (F.col("value") > 10).cast("int").alias("reward"))
 
 
+def source_rollouts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(model, item, sample, reward) on validation items: views are the base model's answers, all other events those of the
+    checkpoint tuned on one of the five upstream sources, in turn."""
+    e = table(spark, sf_dir, "events")
+    model = F.when(F.col("event_type") == BASE_MODEL, "base").otherwise(F.concat(F.lit("src"), (F.col("event_id") % 5).cast("string")))
+    return e.select(model.alias("model"), (F.col("user_id") % 50).alias("item"), F.col("event_id").alias("sample"), (F.col("value") > 250).cast("int").alias("reward"))
+
+
 BASE_MODEL = "view"
