@@ -36,11 +36,15 @@ def hashed_shingles(text: Column, n: int) -> Column:
     return let(F.transform(words(text), lambda x: F.xxhash64(x)), of)
 
 
-def hashed_runs(text: Column, n: int) -> Column:
-    """Hashes of the runs of n words by position, none distinct; the whole sequence if it is shorter."""
+def placed_runs(text: Column, n: int) -> Column:
+    """(at, g, size) of each run of n words: its place, a hash of it, and the text's number of words; the whole sequence if it is shorter.
+
+    The number is part of each entry: as a column beside a generator it would be computed anew for every row that comes out.
+    """
     def of(w: Column) -> Column:
-        full = F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: F.xxhash64(F.slice(w, i, n)))
-        return F.when(F.size(w) >= n, full).when(F.size(w) > 0, F.array(F.xxhash64(w))).otherwise(F.array().cast("array<bigint>"))
+        entry = lambda at, run: F.struct(at.alias("at"), F.xxhash64(run).alias("g"), F.size(w).alias("size"))
+        full = F.transform(F.sequence(F.lit(0), F.size(w) - n), lambda i: entry(i, F.slice(w, i + 1, n)))
+        return F.when(F.size(w) >= n, full).when(F.size(w) > 0, F.array(entry(F.lit(0), w)))
 
     return let(F.transform(words(text), lambda x: F.xxhash64(x)), of)
 

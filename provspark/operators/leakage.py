@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from provspark.functions.keys import join_key, normalized
-from provspark.functions.text import count_cosine, hashed_runs, hashed_shingles, is_multi_option, let, words
+from provspark.functions.text import count_cosine, hashed_shingles, is_multi_option, let, placed_runs, words
 from provspark.operators.shared import cut
 
 #: Bytes of benchmark text that may be sent to all workers; beyond, joins are left to Spark.
@@ -46,9 +46,8 @@ def similar_windows(items: DataFrame, bench: DataFrame, least: float = 0.8, anch
     ``anchor`` words of the item (one, if it has no more) over the same runs of the text, an equi-join on hashes; texts that share
     none with the item are not compared.  Equal best passages: the first.
     """
-    runs = lambda text: hashed_runs(text, anchor)
-    b = bench.select(F.col("item_id").alias("bench_item"), F.posexplode(runs(F.col("text"))).alias("b_at", "g"), F.size(words(F.col("text"))).alias("m"))
-    mine = items.select("dataset_id", "item_id", F.size(words(F.col("prompt"))).alias("n"), F.posexplode(runs(F.col("prompt"))).alias("p_at", "g"))
+    b = bench.select(F.col("item_id").alias("bench_item"), F.inline(placed_runs(F.col("text"), anchor)).alias("b_at", "g", "m"))
+    mine = items.select("dataset_id", "item_id", F.inline(placed_runs(F.col("prompt"), anchor)).alias("p_at", "g", "n"))
     at = F.least(F.greatest(F.col("p_at") - F.col("b_at"), F.lit(0)), F.greatest(F.col("n") - F.col("m"), F.lit(0)))
     cands = cut(mine.join(sized(b, bench.select("text")), "g").select("dataset_id", "item_id", "bench_item", at.alias("at"), "m", "b_at").groupBy("dataset_id", "item_id", "bench_item", "at", "m").agg(F.count_distinct("b_at").alias("laid")).filter(F.col("laid") >= F.least(F.lit(2), F.greatest(F.lit(1), F.col("m") - (anchor - 1)))).drop("laid"), "passages")
     wanted = cands.groupBy("dataset_id", "item_id").agg(F.collect_list(F.struct("bench_item", "at", "m")).alias("c"))
