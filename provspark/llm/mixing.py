@@ -6,8 +6,9 @@ each repetition costs more, so words are repeated as evenly as the quotas allow.
 becomes whole uses of every document plus one more use of a seeded part of them.
 
 The seeded part is found without sorting a pattern in one task: documents fall in bins of a
-seeded hash, bins are summed and ordered, and only the one bin in which the flow ends is read row
-by row.  Its documents are taken greedily in hash order while they fit.
+seeded hash, bins are summed and ordered, and only the one bin in which the flow ends is read entry
+by entry.  Its documents are taken greedily in hash order while they fit.  Documents of one id, size and pattern are one entry
+with a number, so a third of all rows without an id fill no task.
 
 Defined cases: a null text has size 0; documents of size 0 are never taken; a null source is a
 source of its own, last in order; an empty membership belongs to no source and is not taken; repeated rows are documents of
@@ -23,17 +24,17 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from provspark.llm.common import Scratch, read_table
+from provspark.llm.common import Scratch, if_small, read_table
 
 WEIGHTS = (5, 2, 1)
 MOST_USES = 3
 #: Cost of a word's first, second and third use; convex.
 USE_COSTS = (0, 1, 3)
 SEED = 17
-#: Patterns that the driver's network may hold.
-MOST_PATTERNS = 50_000
-#: About so many documents fall in a bin.
-BIN_ROWS = 4_000
+#: About so many entries fall in a bin.
+BIN_ROWS = 500
+#: Equal documents that one row of the fill stands for when it is unfolded.
+UNFOLD = 1000
 
 
 def word_count(text: F.Column) -> F.Column:
@@ -110,7 +111,38 @@ class FlowNetwork:
 
 
 def route(pattern_sizes: dict[tuple, int], quotas: dict, costs: tuple[int, ...] = USE_COSTS) -> dict[tuple, dict]:
-    """Words that each pattern gives to each of its sources, of least total repetition cost."""
+    """Words that each pattern gives to each of its sources, of least total repetition cost.
+
+    Sources that no pattern joins are apart from each other, so each group of joined ones is a network of its own; a source with one
+    pattern needs none.
+    """
+    root = {s: s for s in quotas}
+
+    def find(x):
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    inside = {p: [s for s in p if s in quotas] for p in pattern_sizes}
+    for mine in inside.values():
+        for s in mine[1:]:
+            root[find(s)] = find(mine[0])
+    groups: dict = {}
+    for p, mine in inside.items():
+        if mine:
+            groups.setdefault(find(mine[0]), []).append(p)
+    out: dict[tuple, dict] = {p: {} for p in pattern_sizes}
+    for patterns in groups.values():
+        if len(patterns) == 1 and len(inside[patterns[0]]) == 1:
+            s = inside[patterns[0]][0]
+            out[patterns[0]] = {s: min(quotas[s], pattern_sizes[patterns[0]] * len(costs))}
+        else:
+            out |= route_group({p: pattern_sizes[p] for p in patterns}, {s: quotas[s] for p in patterns for s in inside[p]}, costs)
+    return out
+
+
+def route_group(pattern_sizes: dict[tuple, int], quotas: dict, costs: tuple[int, ...]) -> dict[tuple, dict]:
     patterns, sources = list(pattern_sizes), list(quotas)
     place = {s: 2 + len(patterns) + i for i, s in enumerate(sources)}
     net = FlowNetwork(2 + len(patterns) + len(sources))
@@ -131,58 +163,69 @@ def route(pattern_sizes: dict[tuple, int], quotas: dict, costs: tuple[int, ...]
     return out
 
 
-NONE = "\0null"
+#: How sources are written in patterns: a name after a mark, or that there is none.
+NAMED, NONE = "=", "-"
 
 
 def mix(docs: DataFrame, id_col: str, size_col: str, members_col: str, seed: int = SEED, weights: dict | None = None, total: int | None = None, most_uses: int = MOST_USES, costs: tuple[int, ...] = USE_COSTS) -> tuple[DataFrame, dict]:
     """(rows (id, size, members, taken), facts by source) for documents with an array of sources.
 
-    Facts: size, weight, target and quota of each source.  What the driver collects is a row a pattern.
+    ``members`` holds sources as NAMED + name, or NONE.  Facts: size, weight, target and quota of each source.  What the driver collects
+    is a row a pattern, which the flow needs as a whole; documents never pass it.
     """
-    members = F.array_sort(F.array_distinct(F.transform(F.coalesce(F.col(members_col), F.array().cast("array<string>")), lambda x: F.coalesce(x, F.lit(NONE)))))
+    members = F.array_sort(F.array_distinct(F.transform(F.coalesce(F.col(members_col), F.array().cast("array<string>")), lambda x: F.coalesce(F.concat(F.lit(NAMED), x), F.lit(NONE)))))
     rows = docs.select(F.col(id_col).alias("id"), F.col(size_col).cast("bigint").alias("size"), members.alias("members"))
     tmp = Scratch()
-    rows = tmp.write(rows, "sizes")  # the texts are read once
-    sums = rows.groupBy("members").agg(F.sum("size").alias("words"), F.count("*").alias("n")).limit(MOST_PATTERNS + 1).collect()
-    if len(sums) > MOST_PATTERNS:
-        raise ValueError(f"more than {MOST_PATTERNS} membership patterns")
+    # The texts are read once; equal documents become one entry with their number.
+    rows = tmp.write(rows.groupBy("id", "size", "members").agg(F.count("*").alias("n")), "sizes")
+    sums = rows.groupBy("members").agg(F.sum(F.col("size") * F.col("n")).alias("words"), F.count("*").alias("n")).collect()
     pattern_sizes = {tuple(r["members"]): r["words"] or 0 for r in sums}
     sizes: dict[str, int] = {}
     for p, words in pattern_sizes.items():
         for s in p:
             sizes[s] = sizes.get(s, 0) + words
-    named = {s: None if s == NONE else s for s in sizes}
+    named = {s: None if s == NONE else s[len(NAMED) :] for s in sizes}
     weigh = weights or weights_of(list(named.values()))
     by = {s: weigh.get(named[s], 0) for s in sizes}
     targets = targets_of(sizes, by, sum(pattern_sizes.values()) if total is None else total, most_uses)
     quotas = {s: int(t + Fraction(1, 2)) for s, t in targets.items()}
     flow = {p: sum(x.values()) for p, x in route(pattern_sizes, quotas, costs[:most_uses]).items()}
-    # Bins: enough that none is large, by the documents of the largest pattern.
+    # Bins: enough that none is large, by the entries of the largest pattern.
     bins = max(1, -(-max([r["n"] for r in sums], default=0) // BIN_ROWS))
     spark = docs.sparkSession
     plan = [(list(p), f // pattern_sizes[p] if pattern_sizes[p] else 0, f % pattern_sizes[p] if pattern_sizes[p] else 0) for p, f in flow.items()]
-    # As many rows as patterns, which MOST_PATTERNS bounds.
-    plan_table = F.broadcast(spark.createDataFrame(plan, "members array<string>, whole bigint, rest bigint"))
+    plan_table = if_small(spark.createDataFrame(plan, "members array<string>, whole bigint, rest bigint"), len(plan))
     hashed = rows.join(plan_table, "members").withColumn("u", F.xxhash64(F.lit(seed), "id", "size")).withColumn("bin", F.pmod(F.shiftrightunsigned("u", 1), F.lit(bins)).cast("int"))
     before = Window.partitionBy("members").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
-    starts = tmp.write(hashed.groupBy("members", "bin").agg(F.sum("size").alias("words")).withColumn("before", F.coalesce(F.sum("words").over(before), F.lit(0))), "bins")
+    starts = tmp.write(hashed.groupBy("members", "bin").agg(F.sum(F.col("size") * F.col("n")).alias("words")).withColumn("before", F.coalesce(F.sum("words").over(before), F.lit(0))), "bins")
     placed = hashed.join(starts, ["members", "bin"])
     inside = F.col("before") + F.col("words") <= F.col("rest")
     ends_here = (F.col("before") < F.col("rest")) & ~inside
     id_type = docs.schema[id_col].dataType.simpleString()
+    cols = ["id", "size", "members", "n", "taken"]
 
     def fill(group: pd.DataFrame) -> pd.DataFrame:
+        """Entries split into the documents used once more and the others."""
         group = group.sort_values(["u", "id"], kind="stable")
         left, more = int(group["rest"].iloc[0] - group["before"].iloc[0]), []
-        for size in group["size"]:
-            more.append(1 if 0 < size <= left else 0)
+        for size, n in zip(group["size"], group["n"]):
+            more.append(min(n, left // size) if size > 0 else 0)
             left -= size * more[-1]
-        return group.assign(taken=group["size"] * (group["whole"] + more))[["id", "size", "members", "taken"]]
+        group = group.assign(more=more)
+        used = group.assign(taken=group["size"] * (group["whole"] + 1), n=group["more"])
+        rest = group.assign(taken=group["size"] * group["whole"], n=group["n"] - group["more"])
+        return pd.concat([used[used["n"] > 0], rest[rest["n"] > 0]])[cols]
 
-    edge = placed.filter(ends_here).groupBy("members", "bin").applyInPandas(fill, f"id {id_type}, size long, members array<string>, taken long")
-    rest = placed.filter(~ends_here).select("id", "size", "members", (F.col("size") * (F.col("whole") + F.when(inside, 1).otherwise(0))).alias("taken"))
+    edge = placed.filter(ends_here).groupBy("members", "bin").applyInPandas(fill, f"id {id_type}, size long, members array<string>, n long, taken long")
+    rest = placed.filter(~ends_here).select("id", "size", "members", "n", (F.col("size") * (F.col("whole") + F.when(inside, 1).otherwise(0))).alias("taken"))
     facts = {named[s]: {"size": sizes[s], "weight": by[s], "target": targets[s], "quota": quotas[s]} for s in sizes}
-    return tmp.result(rest.unionByName(edge), "mix"), facts
+    return tmp.result(unfolded(rest.unionByName(edge), "n"), "mix"), facts
+
+
+def unfolded(df: DataFrame, n: str) -> DataFrame:
+    """Each row as often as its number says, in steps, so that no array of a row is long."""
+    parts = df.withColumn("_part", F.explode(F.sequence(F.lit(0).cast("bigint"), F.floor((F.col(n) - 1) / UNFOLD))))
+    return parts.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("bigint"), F.least(F.lit(UNFOLD).cast("bigint"), F.col(n) - F.col("_part") * UNFOLD)))).drop("_part", "_copy", n)
 
 
 def mix_by_source(docs: DataFrame, seed: int = SEED) -> DataFrame:
@@ -190,9 +233,8 @@ def mix_by_source(docs: DataFrame, seed: int = SEED) -> DataFrame:
     sized = docs.select("doc_id", word_count(F.col("text")).alias("size"), F.array("source").alias("members"))
     taken, facts = mix(sized, "doc_id", "size", "members", seed)
     spark = docs.sparkSession
-    table = [(NONE if s is None else s, f["size"], float(f["target"])) for s, f in facts.items()]
-    # As many rows as sources, within MOST_PATTERNS.
-    about = F.broadcast(spark.createDataFrame(table, "source string, source_size bigint, target double"))
+    table = [(NONE if s is None else NAMED + s, f["size"], float(f["target"])) for s, f in facts.items()]
+    about = if_small(spark.createDataFrame(table, "source string, source_size bigint, target double"), len(table))
     return taken.withColumn("source", F.col("members")[0]).join(about, "source").select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken")
 
 

@@ -5,15 +5,18 @@
 2. In each bucket of a band, members are paired with one leader, which differs from band to band.
    Pairs whose collision-corrected estimate reaches FAMILY join one family.  Texts similar enough to be linked
    share about ten buckets, and fall apart only if the leaders of all of them are far from both.
-3. The texts of a family meet in a task, each once.  Counting through posting lists gives the exact
-   intersection of every pair in it; what is emitted is a spanning forest of the links, so rows
-   never exceed members.  Families of many shingles are cut into blocks, and pairs of blocks meet.
+3. The texts of a small family meet in a task, each once.  Counting through posting lists gives exact intersections; texts that
+   are linked with the first one need no further look, as what is linked with them finds them.  What is emitted is a spanning
+   forest of the links, so rows never exceed members.
+4. A large family is never in one task.  Each of its texts is compared with the family's hub (the member met most often) where
+   it lies; those that are not linked with it, few in a group of copies, are then compared with all, block by block.
 
 No candidate is capped.  Only tables of checked size are broadcast; larger ones are shuffled.
 
 Defined cases: null and empty texts have empty sets and link with nothing; rows with a null id
 keep a null component and are not kept; a repeated id links through each of its texts and gives
-as many rows; an empty table gives an empty result; other columns are not read.
+as many rows; an empty table gives an empty result; other columns are not read; of equal texts and of ties
+the least id stands for all.
 """
 
 from __future__ import annotations
@@ -36,8 +39,10 @@ BANDS = 32
 ROWS = S.BUCKETS // BANDS
 #: Least estimated similarity of a member and a leader of one family.
 FAMILY = 0.35
-#: Shingles of a family that meet in one task; families with more are cut into blocks.
-BLOCK_SHINGLES = 1_500_000
+#: Shingles and texts of a family that meet in one task; families with more of either are large, and have blocks of that size.
+BLOCK_SHINGLES, BLOCK_TEXTS = 200_000, 400
+#: Bytes of hubs' texts that may be sent to all workers; beyond, every text of a large family is compared with all.
+HUB_BYTES = 32 << 20
 
 
 def band_keys(registers: np.ndarray, kind: int) -> np.ndarray:
@@ -104,10 +109,11 @@ def estimated(pairs: DataFrame, sets: DataFrame, least: float) -> DataFrame:
     return rows.mapInArrow(run, f"a {kind}, b {kind}").distinct()
 
 
-def forest(sets: list[np.ndarray], ids: list, own: np.ndarray, across: bool, percent: int) -> list[tuple]:
+def forest(sets: list[np.ndarray], ids: list, percent: int, probe: np.ndarray | None = None) -> list[tuple]:
     """Links (greater id, lesser id) that span the components of a group's exact similarity graph.
 
-    With ``across`` only pairs from different blocks are looked at; the others meet elsewhere.
+    With ``probe`` only links of the marked sets are looked for.  Without, sets that are by then in the first one's component are
+    passed over: a set that is linked with one of them and is not in it finds that link itself.
     """
     m = len(sets)
     sizes = np.array([len(x) for x in sets], np.int64)
@@ -116,39 +122,40 @@ def forest(sets: list[np.ndarray], ids: list, own: np.ndarray, across: bool, per
     order = np.argsort(inverse, kind="stable")
     posting, bounds = owner[order], np.concatenate([[0], np.cumsum(np.bincount(inverse, minlength=len(values)))])
     at = np.concatenate([[0], np.cumsum(sizes)])
-    root = np.arange(m)
+    root = list(range(m))
     out = []
-    for i in range(m):
+
+    def find(x: int) -> int:
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    for i in range(m) if probe is None else np.flatnonzero(probe).tolist():
+        if probe is None and i and find(i) == find(0):
+            continue
         mine = inverse[at[i] : at[i + 1]]
         both = np.bincount(ragged_take(posting, bounds[mine], bounds[mine + 1] - bounds[mine]), minlength=m)
-        linked = 100 * both >= percent * (sizes + sizes[i] - both)
-        linked[: i + 1] = False
-        if across:
-            linked &= own != own[i]
-        for j in np.flatnonzero(linked):
-            a, b = root[i], root[j]
+        for j in np.flatnonzero(100 * both >= percent * (sizes + sizes[i] - both)).tolist():
+            a, b = find(i), find(j)
             if a != b:
-                root[root == b] = a
+                root[max(a, b)] = min(a, b)
                 if ids[i] != ids[j]:
                     out.append((max(ids[i], ids[j]), min(ids[i], ids[j])))
     return out
 
 
-def links_in_families(rows: DataFrame, percent: int, width: int) -> DataFrame:
-    """rows: (family, blocks, id, text).  Pairs (a, b) that span the linked texts of each family."""
+def links_in_groups(rows: DataFrame, percent: int, width: int) -> DataFrame:
+    """rows: (family, block, probe, id, text).  Pairs (a, b) that span the linked texts of each group; where a group has probes,
+    only their links."""
     kind = rows.schema["id"].dataType.simpleString()
-    dealt = (
-        rows.withColumn("own", F.pmod(F.xxhash64("id", "text"), F.col("blocks")).cast("int"))
-        .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        .select("family", F.least("own", "other").alias("first"), F.greatest("own", "other").alias("second"), "own", "id", "text")
-    )
-    dealt = dealt.repartition("family", "first", "second").sortWithinPartitions("family", "first", "second")
-
-    def links_of(mark: tuple, group: list[pa.RecordBatch]) -> pa.RecordBatch:
+    dealt = rows.repartition("family", "block").sortWithinPartitions("family", "block").select("family", "block", "probe", "id", "text")
+
+    def links_of(group: list[pa.RecordBatch]) -> pa.RecordBatch:
         ids = [x for g in group for x in g.column("id").to_pylist()]
         sets = [h for g in group for part in slices(g, "text") for h in S.shingle_sets(filled(part.column("text")), width)]
-        own = np.concatenate([g.column("own").to_numpy() for g in group])
-        pairs = forest(sets, ids, own, mark[1] != mark[2], percent) if len(ids) > 1 else []
+        probe = np.concatenate([g.column("probe").to_numpy(zero_copy_only=False) for g in group]).astype(bool)
+        pairs = forest(sets, ids, percent, probe if probe.any() else None) if len(ids) > 1 else []
         kept = group[0].schema.field("id").type
         return pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs], kept), pa.array([p[1] for p in pairs], kept)], names=["a", "b"])
 
@@ -156,24 +163,65 @@ def links_in_families(rows: DataFrame, percent: int, width: int) -> DataFrame:
         held: list[pa.RecordBatch] = []
         mark = None
         for batch in batches:
-            cols = [batch.column(k).to_numpy() for k in ("family", "first", "second")]
+            cols = [batch.column(k).to_numpy() for k in ("family", "block")]
             cuts = np.flatnonzero(np.any([c[1:] != c[:-1] for c in cols], axis=0)) + 1
             for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), batch.num_rows]):
                 if a == b:
                     continue
                 now = tuple(c[a] for c in cols)
                 if held and now != mark:
-                    yield links_of(mark, held)
+                    yield links_of(held)
                     held = []
                 held.append(batch.slice(a, b - a))
                 mark = now
         if held:
-            yield links_of(mark, held)
+            yield links_of(held)
 
     return dealt.mapInArrow(run, f"a {kind}, b {kind}").distinct()
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = THRESHOLD_PERCENT, width: int = S.WIDTH, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
+def compared_with_hubs(rows: DataFrame, hubs: list, percent: int, width: int) -> DataFrame:
+    """rows: (family, id, part, text).  Rows (family, id, part, hub, linked): whether each text is linked with its family's hub."""
+    kind = rows.schema["id"].dataType.simpleString()
+    shared = rows.sparkSession.sparkContext.broadcast({h["family"]: (h["hub"], h["text"]) for h in hubs})
+
+    def per_slice(batch):
+        held: dict = {}
+        names, linked = [], []
+        for family, h in zip(batch.column("family").to_pylist(), S.shingle_sets(filled(batch.column("text")), width)):
+            hub, text = shared.value[family]
+            if family not in held:
+                held[family] = S.shingle_sets(pa.array([text], pa.string()), width)[0]
+            both = len(np.intersect1d(h, held[family], assume_unique=True))
+            names.append(hub)
+            linked.append(bool(100 * both >= percent * (len(h) + len(held[family]) - both)))
+        return pa.RecordBatch.from_arrays([batch.column("family"), batch.column("id"), batch.column("part"), pa.array(names, batch.schema.field("id").type), pa.array(linked)], names=["family", "id", "part", "hub", "linked"])
+
+    return map_arrow(rows.select("family", "id", "part", "text"), f"family {kind}, id {kind}, part long, hub {kind}, linked boolean", "text", per_slice)
+
+
+def links_in_families(rows: DataFrame, hubs: DataFrame, percent: int, width: int, tmp: Scratch) -> DataFrame:
+    """rows: (family, blocks, id, text); hubs: (family, hub) of families with more than one block.  Pairs that span the linked texts."""
+    small = rows.filter("blocks = 1").select("family", F.lit(0).alias("block"), F.lit(False).alias("probe"), "id", "text")
+    links = links_in_groups(small, percent, width)
+    if not hubs.limit(1).count():
+        return links
+    large = tmp.write(rows.filter("blocks > 1").withColumn("part", F.xxhash64("id", "text")), "large", compression="zstd")
+    texts = tmp.write(large.join(hubs, "family").filter(F.col("id") == F.col("hub")).groupBy("family", "hub").agg(F.min("text").alias("text")), "hubs")
+    place = F.pmod("part", F.col("blocks")).cast("int").alias("block")
+    if texts.agg(F.sum(F.octet_length("text"))).first()[0] <= HUB_BYTES:
+        looked = tmp.write(compared_with_hubs(large, texts.collect(), percent, width), "looked")
+        links = links.unionByName(looked.filter("linked AND id <> hub").select(F.greatest("id", "hub").alias("a"), F.least("id", "hub").alias("b")).distinct())
+        left = looked.filter("NOT linked").select("family", "id", "part").distinct()
+    else:
+        left = large.select("family", "id", "part").distinct()
+    rest = large.join(left, ["family", "id", "part"], "left_semi")
+    members = large.join(left.select("family").distinct(), "family", "left_semi").select("family", place, F.lit(False).alias("probe"), "id", "text")
+    probes = rest.select("family", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(True).alias("probe"), "id", "text")
+    return links.unionByName(links_in_groups(members.unionByName(probes), percent, width)).distinct()
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = THRESHOLD_PERCENT, width: int = S.WIDTH, block_shingles: int = BLOCK_SHINGLES, block_texts: int = BLOCK_TEXTS) -> DataFrame:
     """Rows (id, n_shingles, component_id, kept), one for each row of docs.  Ids are integers."""
     tmp = Scratch()
     base = tmp.write(described(docs, id_col, text_col, width), "sets")
@@ -189,14 +237,17 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     star = tmp.write(star.select(F.greatest("id", "leader").alias("a"), F.least("id", "leader").alias("b")).distinct(), "star")
     met = tmp.write(star.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "met")
     known = tmp.write(sets.join(if_small(met, met.count()), "id", "left_semi").select("id", "n", "few", "many"), "registers")
-    family = connected_components(estimated(star, known, FAMILY), tmp)
+    close = tmp.write(estimated(star, known, FAMILY), "close")
+    family = connected_components(close, tmp)
     family = family.unionByName(family.select(F.col("component").alias("id"), "component").distinct()).withColumnRenamed("component", "family")
     sizes = family.join(known.groupBy("id").agg(F.max("n").alias("n")), "id")
-    blocks = sizes.groupBy("family").agg(F.ceil(F.sum("n") / block_shingles).cast("int").alias("blocks"))
+    blocks = sizes.groupBy("family").agg(F.greatest(F.ceil(F.sum("n") / block_shingles), F.ceil(F.count("*") / block_texts)).cast("int").alias("blocks"))
     family = tmp.write(family.join(blocks, "family"), "families")
+    met_by = close.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("met"))
+    hubs = tmp.write(family.filter("blocks > 1").join(met_by, "id").groupBy("family").agg(F.max(F.struct("met", (-F.col("id")).alias("i"), "id")).alias("x")).select("family", F.col("x.id").alias("hub")), "hub_ids")
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).filter("id IS NOT NULL")
     rows = texts.join(if_small(family, family.count()), "id").select("family", "blocks", "id", "text")
-    final = connected_components(links_in_families(rows, percent, width), tmp)
+    final = connected_components(links_in_families(rows, hubs, percent, width, tmp), tmp)
     of_class = classes.join(final, F.col("rep") == F.col("id"), "left").select("digest", F.coalesce("component", "rep").alias("component_id"))
     out = base.select("id", "n", "digest").join(of_class, "digest", "left").withColumn("component_id", F.coalesce("component_id", "id"))
     return tmp.result(out.select("id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("id") == F.col("component_id"), F.lit(False)).alias("kept")), "groups")

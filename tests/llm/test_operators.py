@@ -79,10 +79,11 @@ def family(n, length, edits, seed):
     return out
 
 
-def test_near_duplicates_against_brute_force(spark):
+def test_near_duplicates_against_brute_force(spark, monkeypatch):
     texts = ODD + family(40, 120, 6, 11) + family(25, 700, 20, 12) + family(20, 8, 1, 13) + [words(150, 100 + i) for i in range(20)]
     want, sizes = brute_components(texts)
-    for block in (neardup.BLOCK_SHINGLES, 900):  # the second cuts families into blocks
+    for block, hubs in ((neardup.BLOCK_SHINGLES, neardup.HUB_BYTES), (900, neardup.HUB_BYTES), (900, 0)):  # large families with and without hubs
+        monkeypatch.setattr(neardup, "HUB_BYTES", hubs)
         got = {r["id"]: r for r in neardup.near_duplicates(docs(spark, texts, extra=True), block_shingles=block).collect()}
         assert [got[i]["component_id"] for i in range(len(texts))] == want
         assert [got[i]["n_shingles"] for i in range(len(texts))] == sizes
@@ -208,6 +209,24 @@ def test_mixing_reaches_targets(spark):
     assert mixing.mix_by_source(df.limit(0)).count() == 0
 
 
+def test_rows_without_ids_and_a_source_named_like_none(spark):
+    rows = [(None, "a b c", None, None, None)] * 400 + [(None, "a b c", None, "-", None)] * 90 + [(None, "x y", None, "\0null", None)] * 100
+    got = mixing.mix_by_source(spark.createDataFrame(rows, DOCS)).collect()
+    assert len(got) == 590 and len({r["target"] for r in got}) == 3
+    for size, n in ((1200, 400), (270, 90), (200, 100)):
+        mine = [r for r in got if r["source_size"] == size]
+        assert len(mine) == n and abs(sum(r["taken"] for r in mine) - mine[0]["target"]) <= 3
+
+
+def test_flow_cost_against_all_flows():
+    sizes, quotas = {("a",): 2, ("b",): 1, ("a", "b"): 2}, {"a": 5, "b": 4}
+    cost = lambda used, n: sum(min(n, max(0, used - k * n)) * c for k, c in enumerate(mixing.USE_COSTS))
+    best = min(cost(x, 2) + cost(y, 1) + cost(9 - x - y, 2) for x in range(6) for y in range(4) if 0 <= 5 - x <= 9 - x - y <= 6 and 9 - x - y == (5 - x) + (4 - y) and y <= 4)
+    out = mixing.route(sizes, quotas)
+    assert sum(cost(sum(out[p].values()), n) for p, n in sizes.items()) == best
+    assert mixing.route({("a",): 3, ("b",): 4}, {"a": 5, "b": 20}) == {("a",): {"a": 5}, ("b",): {"b": 12}}
+
+
 def test_flow_spreads_repetition_over_overlapping_sources():
     out = mixing.route({("a",): 10, ("b",): 5, ("a", "b"): 20}, {"a": 30, "b": 25})
     assert sum(out[p].get("a", 0) for p in out) == 30 and sum(out[p].get("b", 0) for p in out) == 25
