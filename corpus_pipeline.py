@@ -8,16 +8,19 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from provspark.llm.common import drop_table, read_table, write_read
+from provspark.llm.common import drop_table, if_small, read_table, write_read
 from provspark.llm.decontaminate import without_matches
 from provspark.llm.langid import fit_on_documents, with_language
-from provspark.llm.mixing import mix_by_source
+from provspark.llm.mixing import mix_by_source, unfolded
 from provspark.llm.neardup import near_duplicates
 from provspark.llm.tokens import tokens_of
 
 
 def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in a language that was learned; those without a letter or too unsure go."""
+    """Documents in a language that was learned; those without a letter or that nothing learned tells apart go.
+
+    Null and empty texts go; repeated rows stay or go together; with nothing learned, documents with a letter stay.
+    """
     return with_language(docs, fit_on_documents(docs))
 
 
@@ -35,20 +38,30 @@ def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -
 
 
 def drop_benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in which no benchmark item is found within its edit budget."""
+    """Documents in which no benchmark item is found within its edit budget; null and empty texts hold none and stay."""
     return without_matches(docs, read_table(spark, sf_dir, "benchmark"))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix uses it; what it does not use goes."""
-    uses = mix_by_source(docs).filter("taken > 0").groupBy("doc_id").agg(F.max((F.col("taken") / F.col("size")).cast("int")).alias("uses"))
-    uses = uses.withColumnRenamed("doc_id", "used_id")
-    rows = docs.join(uses, F.col("doc_id").eqNullSafe(F.col("used_id")))
-    return rows.withColumn("use", F.explode(F.sequence(F.lit(1), F.col("uses")))).select(docs.columns)
+    """Each document as often as the mix uses it; what it does not use goes.
+
+    Rows are told apart by all their columns, so rows without an id or with a repeated one get their own uses; rows equal in every column
+    get theirs together.  Null and empty texts have no words and go; an empty table stays empty.
+    """
+    name = F.concat(*[F.hex(F.xxhash64(F.lit(seed), *docs.columns)) for seed in (1, 2)])
+    mixed = mix_by_source(docs.withColumn("doc_id", name)).filter("size > 0")
+    uses = mixed.groupBy(F.col("doc_id").alias("row_name")).agg(F.count("*").alias("rows"), (F.sum("taken") / F.first("size")).cast("bigint").alias("uses")).filter("uses > 0")
+    uses = write_read(uses, "uses")
+    named = docs.select(name.alias("row_name"), F.struct("*").alias("doc"))
+    out = named.join(uses.filter("rows = 1"), "row_name")
+    equal = uses.filter("rows > 1")
+    if n := equal.count():
+        out = out.unionByName(named.join(if_small(equal, n), "row_name").dropDuplicates(["row_name"]))
+    return unfolded(out, "uses").select("doc.*")
 
 
 def token_output(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids in Parquet files, described from the files read back."""
+    """Token ids in Parquet files, described from the files read back: one row a document, repeated rows included, null texts as empty."""
     return tokens_of(docs)
 
 
