@@ -1,4 +1,6 @@
 import corpus_pipeline
+from pyspark.sql import functions as F
+
 from provspark.llm.decontaminate import Matcher
 
 
@@ -29,3 +31,20 @@ def test_stages_keep_clean_documents_and_drop_the_rest(spark):
 
 def test_run(spark):
     assert corpus_pipeline.run(spark, "/root/testdata/sf0.001").count() > 100
+
+
+def test_stages_on_odd_and_empty_tables(spark):
+    sf = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{sf}/documents.parquet").withColumn("row_name", F.lit("clash")).withColumn("uses", F.lit(7))
+    odd = [(None, None, None, None, None), (7001, "", "en", "src1", 0), (7002, "word " * 30_000, "en", "src1", 5), (7002, "word " * 30_000, "en", "src1", 5), (None, "one two three", None, None, None), (None, "four five six", None, None, None)]
+    odd = spark.createDataFrame([(*r, "clash", 7) for r in odd], docs.schema)
+    for rows in (docs.unionByName(odd), docs.limit(0)):
+        for name, stage in corpus_pipeline.STAGES:
+            out = stage(spark, rows, sf)
+            assert name == "token_output" or out.columns == rows.columns
+            n = out.count()
+            assert n <= 3 * rows.count() and (rows.limit(1).count() or n == 0)
+    # Rows without an id get uses of their own: the total is near the documents' own.
+    mixed = dict(corpus_pipeline.STAGES)["mixing"](spark, odd, sf)
+    words = sum(len((r["text"] or "").split()) for r in odd.collect())
+    assert abs(sum(len(r["text"].split()) for r in mixed.collect()) - words) <= 30_000
