@@ -37,3 +37,40 @@ def test_short_and_empty_texts(spark):
     bench = spark.createDataFrame([(1, "one two"), (2, "")], "item_id bigint, text string")
     assert [(r["item_id"], r["bench_item"]) for r in K.containment(items, bench).collect()] == [("1", 1)]
     assert K.windows_of(items, 3, 2).select(F.count("*")).first()[0] == 1
+
+
+def test_light_rewrites_are_found_by_similarity_where_rules_fail(spark, sf):
+    got = {(r["rate"], r["method"]): r["recall"] for r in Q.leak_recall(spark, sf).collect()}
+    assert got[0.05, "similar_possible"] == got[0.1, "similar_possible"] == 1
+    for rate in Q.RATES:
+        assert got[rate, "similar_possible"] >= got[rate, "similar_sure"] and got[rate, "rule_8"] >= got[rate, "rule_13"]
+    assert got[0.1, "similar_sure"] > got[0.1, "contained"] and got[0.1, "key"] == 0
+    for method in ("similar_sure", "similar_possible", "rule_8", "rule_13", "contained"):
+        series = [got[rate, method] for rate in Q.RATES]
+        assert series == sorted(series, reverse=True)
+
+
+def test_blocks_meet_all_pairs_and_ties_are_whole(spark):
+    from provspark.operators import similarity as S
+
+    rows = [(i, [float(i % 5 == j) + 0.1 * j for j in range(4)]) for i in range(40)]
+    v = spark.createDataFrame(rows, "id bigint, embedding array<float>")
+    one = {tuple(r) for r in S.blocked_pairs(v, v, 0.5).collect()}
+    many = {tuple(r) for r in S.blocked_pairs(v, v, 0.5, block_bytes=400).collect()}
+    assert one == many and one
+    top = {}
+    for r in S.exact_blocked(v, v, -1.0, 3, block_bytes=400).collect():
+        top.setdefault(r["id"], []).append((r["rank"], r["other"]))
+    best = {}
+    for a, b, s in S.blocked_pairs(v, v, -1.0).collect():
+        best.setdefault(a, []).append((-s, b))
+    assert {k: [o for _, o in sorted(x)] for k, x in top.items()} == {k: [o for _, o in sorted(x)[:3]] for k, x in best.items()}
+
+
+def test_prefixes_lose_no_pair(spark):
+    from provspark.operators import similarity as S
+
+    texts = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
+    t = S.term_counts(texts, "doc_id", "text")
+    full = t.join(t.select(F.col("id").alias("other"), "token", F.col("weight").alias("w")), "token").filter("id <> other").groupBy("id", "other").agg(F.round(F.sum(F.col("weight") * F.col("w")), 6).alias("sim")).filter("sim >= 0.6")
+    assert {tuple(r) for r in full.collect()} == {tuple(r) for r in S.prefix_pairs(t, t, 0.6).collect()}

@@ -1,4 +1,5 @@
 import datetime as dt
+import random
 
 from pyspark.sql import functions as F
 
@@ -70,3 +71,29 @@ def test_index_is_one_exchange_wide_and_scans_are_pruned(spark, sf):
     plan = L.long_index(document_items(spark, sf))._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning") == 1
     assert "ReadSchema: struct<doc_id:bigint,text:string,source:string>" in plan
+
+
+def test_trace_finds_rewritten_prompts_and_rounds_drop_useless_sets(spark):
+    from provspark.operators import trace as T
+
+    r = random.Random(3)
+    vocab = [f"w{i}" for i in range(300)]
+    prompt = lambda: " ".join(r.choice(vocab) for _ in range(40))
+    up, missing, noise = [prompt() for _ in range(6)], [prompt() for _ in range(6)], [prompt() for _ in range(4)]
+    rewritten = lambda t: " ".join(["please", *t.split()[:-1]])
+    rows = [(0, i, t) for i, t in enumerate(up)] + [(2, 50 + i, t) for i, t in enumerate(missing)] + [(3, 70 + i, t) for i, t in enumerate(noise)]
+    rows += [(9, 100 + i, rewritten(t) if i % 2 else t) for i, t in enumerate(up)] + [(9, 200 + i, rewritten(t)) for i, t in enumerate(missing)] + [(9, 300, prompt())]
+    df = items(spark, rows)
+    got = {x["item_id"]: (x["atomic_source"], x["stage"]) for x in T.trace(df).collect()}
+    assert all(got[str(100 + i)] == ("src0", "semantic" if i % 2 else "exact") for i in range(6))
+    assert all(got[str(200 + i)] == ("src2", "semantic") for i in range(6)) and got["300"] == (None, "unknown")
+    found, log = T.recover_sources(df.filter("dataset_no = 9"), df, ["src0"], ["src2", "src3"], per_round=1, tau=0.0)
+    assert len(log) == 3 and log[0]["unmatched"] == 7 and log[-1]["unmatched"] == 1
+    assert {x["tried"]: x["kept"] for x in log[1:]} == {"src2": "src2", "src3": ""}
+    assert {(x["origin"], x["stage"]) for x in found.collect()} == {("src0", "exact"), ("src0", "semantic"), ("src2", "semantic"), ("unknown", "unknown")}
+
+
+def test_ancestry_lists_no_paths(spark):
+    edges = spark.createDataFrame([(f"s{i}", f"s{j}") for i in range(22) for j in range(i + 1, 22)] + [(f"t{i}", f"t{i + 1}") for i in range(30)], "parent string, child string")
+    got = {(x["child"], x["ancestor"]): x["depth"] for x in P.ancestry(edges).collect()}
+    assert got["s21", "s0"] == 1 and got["t30", "t0"] == 30 and len(got) == 22 * 21 // 2 + 31 * 30 // 2

@@ -1,4 +1,5 @@
 import pytest
+from pyspark.sql import functions as F
 
 from provspark.config import ScoringConfig
 from provspark.operators import evaluation as E
@@ -71,3 +72,24 @@ def test_curated_set_keeps_its_size(spark, sf):
     report = table(curate_report(spark, sf), "version")
     assert len(rows) == len({r["item_id"] for r in rows}) == report["after"]["n_items"]
     assert report["after"]["leak_rate"] == 0
+
+
+def test_capability_follows_pass_alone_and_efficiency_mean_alone(spark):
+    cfg = ScoringConfig()
+    rows = [("small", 1.7e9, "a", 0.1, 0.0, 0.4), ("small", 1.7e9, "b", 0.2, 0.3, 0.4), ("small", 1.7e9, "c", 0.3, 0.1, 0.4)]
+    df = spark.createDataFrame(rows, "scale string, model_size double, dataset_id string, d_mean double, d_pass double, l double")
+    got = table(S.dynamic_parts(df, cfg), "dataset_id")
+    more = spark.createDataFrame([(*r[:4], r[4] + 0.5 * (r[2] == "c"), r[5]) for r in rows], df.schema)
+    then = table(S.dynamic_parts(more, cfg), "dataset_id")
+    assert all(got[k]["s2"] == then[k]["s2"] for k in "abc") and then["c"]["s3"] > got["c"]["s3"] and then["b"]["s3"] < got["b"]["s3"]
+    assert [got[k]["s2"] for k in "abc"] == sorted(got[k]["s2"] for k in "abc") and got["b"]["s3"] == max(got[k]["s3"] for k in "abc")
+
+
+def test_refill_by_bins_is_the_seeded_order(spark):
+    from provspark.functions.keys import seeded
+    from provspark.operators.curation import first_by_seed
+
+    pool = spark.range(500).select(F.col("id").cast("string").alias("item_id"))
+    want = [r["item_id"] for r in pool.orderBy(seeded("x", F.col("item_id"))).limit(120).collect()]
+    assert sorted(want) == sorted(r["item_id"] for r in first_by_seed(pool, 120, "x").collect())
+    assert first_by_seed(pool, 0, "x").count() == 0 and first_by_seed(pool, 900, "x").count() == 500
