@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from provspark.config import AuditPolicy
 from provspark.functions.keys import band as band_of
+from provspark.functions.text import hashed_shingles
 from provspark.operators import audit as A
 from provspark.operators import leakage as K
 from provspark.operators import lineage as L
@@ -221,8 +222,8 @@ def rule_filter_sql(n):
 
 
 def rule_filter(spark, sf, n):
-    b = bench(spark, sf).select(F.explode(K.shingles(F.col("text"), n)).alias("g")).distinct()
-    mine = items(spark, sf).select("item_id", F.explode(K.shingles(F.col("prompt"), n)).alias("g"))
+    b = bench(spark, sf).select(F.explode(hashed_shingles(F.col("text"), n)).alias("g")).distinct()
+    mine = items(spark, sf).select("item_id", F.explode(hashed_shingles(F.col("prompt"), n)).alias("g"))
     return mine.join(b, "g", "left_semi").select("item_id").distinct()
 
 

@@ -202,12 +202,12 @@ def join_asof(spark, sf):
     return R.asof_join(left, right, ["user_id"], ["ts", "tie"], "value", "last_click").select("event_id", "last_click")
 
 
-DL = "SELECT d.doc_id AS d_id, l.doc_id AS l_id, quality FROM (SELECT doc_id FROM documents WHERE doc_id % 3 <> 0) d {0} JOIN (SELECT * FROM labels WHERE doc_id % 2 = 0) l ON d.doc_id = l.doc_id"
+DL = "SELECT d.doc_id AS d_id, l.doc_id AS l_id, quality FROM (SELECT doc_id FROM documents WHERE lang <> 'en') d {0} JOIN (SELECT * FROM labels WHERE quality = 1) l ON d.doc_id = l.doc_id"
 
 
 def outer(spark, sf, how):
-    d = t(spark, sf, "documents").filter("doc_id % 3 <> 0").select(F.col("doc_id").alias("d_id"))
-    lab = t(spark, sf, "labels").filter("doc_id % 2 = 0").select(F.col("doc_id").alias("l_id"), "quality")
+    d = t(spark, sf, "documents").filter("lang <> 'en'").select(F.col("doc_id").alias("d_id"))
+    lab = t(spark, sf, "labels").filter("quality = 1").select(F.col("doc_id").alias("l_id"), "quality")
     return d.join(lab, F.col("d_id") == F.col("l_id"), how)
 
 
@@ -455,7 +455,7 @@ def topk_group(spark, sf):
     return t(spark, sf, "lineitem").withColumn("r", F.row_number().over(w).cast("bigint")).filter("r <= 3").select("l_suppkey", "l_orderkey", "l_extendedprice", "r")
 
 
-A_SQL, B_SQL = "(SELECT source, lang FROM documents WHERE doc_id % 2 = 0)", "(SELECT source, lang FROM documents WHERE doc_id % 3 = 0)"
+A_SQL, B_SQL = "(SELECT source, lang FROM documents WHERE n_chars < 1500)", "(SELECT source, lang FROM documents WHERE n_chars > 800)"
 SETS = {
     "set_union_all": ("UNION ALL", lambda a, b: a.union(b)),
     "set_union_distinct": ("UNION", lambda a, b: a.union(b).distinct()),
@@ -465,7 +465,7 @@ SETS = {
     "set_except_all": ("EXCEPT ALL", lambda a, b: a.exceptAll(b)),
 }
 for _name, (_op, _f) in SETS.items():
-    query(_name, f"SELECT * FROM {A_SQL} {_op} SELECT * FROM {B_SQL}")(lambda spark, sf, f=_f: f(*[t(spark, sf, "documents").filter(f"doc_id % {k} = 0").select("source", "lang") for k in (2, 3)]))
+    query(_name, f"SELECT * FROM {A_SQL} {_op} SELECT * FROM {B_SQL}")(lambda spark, sf, f=_f: f(*[t(spark, sf, "documents").filter(c).select("source", "lang") for c in ("n_chars < 1500", "n_chars > 800")]))
 
 
 @q("set_union_by_name", "SELECT doc_id, lang, NULL AS quality FROM documents UNION ALL SELECT doc_id, NULL, quality FROM labels")
