@@ -9,7 +9,7 @@
    are linked with the first one need no further look, as what is linked with them finds them.  What is emitted is a spanning
    forest of the links, so rows never exceed members.
 4. A large family is never in one task.  Each of its texts is compared with the family's hub (the member met most often) where
-   it lies; those that are not linked with it, few in a group of copies, are then compared with all, block by block.
+   it lies; those that are not linked with it, few in a group of copies, are then compared with all, a block of either at a time.
 
 No candidate is capped.  Only tables of checked size are broadcast; larger ones are shuffled.
 
@@ -112,15 +112,16 @@ def estimated(pairs: DataFrame, sets: DataFrame, least: float) -> DataFrame:
 def forest(sets: list[np.ndarray], ids: list, percent: int, probe: np.ndarray | None = None) -> list[tuple]:
     """Links (greater id, lesser id) that span the components of a group's exact similarity graph.
 
-    With ``probe`` only links of the marked sets are looked for.  Without, sets that are by then in the first one's component are
+    With ``probe`` only links between the marked sets and the others are looked for.  Without, sets that are by then in the first one's component are
     passed over: a set that is linked with one of them and is not in it finds that link itself.
     """
     m = len(sets)
     sizes = np.array([len(x) for x in sets], np.int64)
     owner = np.repeat(np.arange(m), sizes)
     values, inverse = np.unique(np.concatenate(sets), return_inverse=True)
-    order = np.argsort(inverse, kind="stable")
-    posting, bounds = owner[order], np.concatenate([[0], np.cumsum(np.bincount(inverse, minlength=len(values)))])
+    listed = np.ones(len(owner), bool) if probe is None else ~probe[owner]
+    order = np.argsort(inverse[listed], kind="stable")
+    posting, bounds = owner[listed][order], np.concatenate([[0], np.cumsum(np.bincount(inverse[listed], minlength=len(values)))])
     at = np.concatenate([[0], np.cumsum(sizes)])
     root = list(range(m))
     out = []
@@ -136,7 +137,7 @@ def forest(sets: list[np.ndarray], ids: list, percent: int, probe: np.ndarray |
             continue
         mine = inverse[at[i] : at[i + 1]]
         both = np.bincount(ragged_take(posting, bounds[mine], bounds[mine + 1] - bounds[mine]), minlength=m)
-        for j in np.flatnonzero(100 * both >= percent * (sizes + sizes[i] - both)).tolist():
+        for j in np.flatnonzero((both > 0) & (100 * both >= percent * (sizes + sizes[i] - both))).tolist():
             a, b = find(i), find(j)
             if a != b:
                 root[max(a, b)] = min(a, b)
@@ -145,9 +146,9 @@ def forest(sets: list[np.ndarray], ids: list, percent: int, probe: np.ndarray |
     return out
 
 
-def links_in_groups(rows: DataFrame, percent: int, width: int) -> DataFrame:
-    """rows: (family, block, probe, id, text).  Pairs (a, b) that span the linked texts of each group; where a group has probes,
-    only their links."""
+def links_in_groups(rows: DataFrame, percent: int, width: int, probing: bool = False) -> DataFrame:
+    """rows: (family, block, probe, id, text).  Pairs (a, b) that span the linked texts of each group; with ``probing`` only links
+    between a group's probes and its other texts."""
     kind = rows.schema["id"].dataType.simpleString()
     dealt = rows.repartition("family", "block").sortWithinPartitions("family", "block").select("family", "block", "probe", "id", "text")
 
@@ -155,7 +156,8 @@ def links_in_groups(rows: DataFrame, percent: int, width: int) -> DataFrame:
         ids = [x for g in group for x in g.column("id").to_pylist()]
         sets = [h for g in group for part in slices(g, "text") for h in S.shingle_sets(filled(part.column("text")), width)]
         probe = np.concatenate([g.column("probe").to_numpy(zero_copy_only=False) for g in group]).astype(bool)
-        pairs = forest(sets, ids, percent, probe if probe.any() else None) if len(ids) > 1 else []
+        some = len(ids) > 1 and (probe.any() and not probe.all() or not probing)
+        pairs = forest(sets, ids, percent, probe if probing else None) if some else []
         kept = group[0].schema.field("id").type
         return pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs], kept), pa.array([p[1] for p in pairs], kept)], names=["a", "b"])
 
@@ -194,7 +196,7 @@ def compared_with_hubs(rows: DataFrame, hubs: list, percent: int, width: int) ->
                 held[family] = S.shingle_sets(pa.array([text], pa.string()), width)[0]
             both = len(np.intersect1d(h, held[family], assume_unique=True))
             names.append(hub)
-            linked.append(bool(100 * both >= percent * (len(h) + len(held[family]) - both)))
+            linked.append(bool(both and 100 * both >= percent * (len(h) + len(held[family]) - both)))
         return pa.RecordBatch.from_arrays([batch.column("family"), batch.column("id"), batch.column("part"), pa.array(names, batch.schema.field("id").type), pa.array(linked)], names=["family", "id", "part", "hub", "linked"])
 
     return map_arrow(rows.select("family", "id", "part", "text"), f"family {kind}, id {kind}, part long, hub {kind}, linked boolean", "text", per_slice)
@@ -215,10 +217,16 @@ def links_in_families(rows: DataFrame, hubs: DataFrame, percent: int, width: int
         left = looked.filter("NOT linked").select("family", "id", "part").distinct()
     else:
         left = large.select("family", "id", "part").distinct()
-    rest = large.join(left, ["family", "id", "part"], "left_semi")
-    members = large.join(left.select("family").distinct(), "family", "left_semi").select("family", place, F.lit(False).alias("probe"), "id", "text")
-    probes = rest.select("family", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(True).alias("probe"), "id", "text")
-    return links.unionByName(links_in_groups(members.unionByName(probes), percent, width)).distinct()
+    left = tmp.write(left, "left")
+    # A group is one block of a family's texts and one part of those left, which are no more than a block has.
+    whole = large.groupBy("family").agg(F.max("blocks").alias("blocks"), F.count("*").alias("rows"))
+    parts = whole.join(left.groupBy("family").agg(F.count("*").alias("left")), "family").select("family", F.greatest(F.ceil(F.col("blocks") * F.col("left") / F.col("rows")), F.lit(1)).cast("int").alias("parts"))
+    parts = tmp.write(parts, "parts")
+    dealt = large.join(parts, "family")
+    members = dealt.withColumn("p", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select("family", (place * F.col("parts") + F.col("p")).alias("block"), F.lit(False).alias("probe"), "id", "text")
+    mine = F.pmod(F.xxhash64("part"), F.col("parts")).cast("int")
+    probes = dealt.join(left, ["family", "id", "part"], "left_semi").withColumn("b", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("family", (F.col("b") * F.col("parts") + mine).alias("block"), F.lit(True).alias("probe"), "id", "text")
+    return links.unionByName(links_in_groups(members.unionByName(probes), percent, width, probing=True)).distinct()
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = THRESHOLD_PERCENT, width: int = S.WIDTH, block_shingles: int = BLOCK_SHINGLES, block_texts: int = BLOCK_TEXTS) -> DataFrame:
