@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -10,11 +11,12 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from provspark.functions.text import hashed_shingles, let, words
-from provspark.functions.vectors import cosine
-from provspark.operators.shared import cut
+from provspark.operators.shared import cut, spread
 
 #: Bytes of vectors in one broadcast block of the exact strategy.
 BLOCK_BYTES = 64 << 20
+#: Cells of the matrix of a slice of the left side and a block that are held at once.
+SLICE_CELLS = 8 << 20
 
 
 def term_counts(df: DataFrame, id_col: str, text: str) -> DataFrame:
@@ -50,53 +52,113 @@ def best_per_item(pairs: DataFrame, k: int) -> DataFrame:
     return pairs.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
 
 
-def numbers(embeddings: pd.Series) -> np.ndarray:
+def raw_rows(embeddings: pd.Series) -> np.ndarray:
+    return np.array(embeddings.tolist(), dtype=np.float64).reshape(len(embeddings), -1)
+
+
+def unit_rows(m: np.ndarray) -> np.ndarray:
     """Unit rows in double; zero vectors stay zero."""
-    m = np.array(embeddings.tolist(), dtype=np.float64).reshape(len(embeddings), -1)
     return m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
 
 
-def block_matches(a: pd.DataFrame, ids: np.ndarray, m: np.ndarray, threshold: float, k: int | None) -> pd.DataFrame:
-    """(id, other, sim) of a block: all at the threshold, or of each id its k best and what ties with the last of them."""
-    if not len(a) or not len(ids):
-        return pd.DataFrame({"id": [], "other": [], "sim": []}).astype({"id": "int64", "other": "int64", "sim": "float64"})
-    own = a["id"].to_numpy()
-    sims = np.round(np.clip(numbers(a["embedding"]) @ m.T, -1, 1), 12)
-    sims[own[:, None] == ids[None, :]] = -2
-    least = np.full(len(own), threshold)
-    if k is not None and k < len(ids):
-        least = np.maximum(least, -np.partition(-sims, k - 1, axis=1)[:, k - 1])
-    r, c = np.nonzero(sims >= least[:, None])
-    return pd.DataFrame({"id": own[r], "other": ids[c], "sim": sims[r, c]})
+def numbers(embeddings: pd.Series) -> np.ndarray:
+    return unit_rows(raw_rows(embeddings))
 
 
-def blocked_pairs(left: DataFrame, right: DataFrame, threshold: float, k: int | None = None, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """(id, other, sim) of all pairs at the threshold by matrix products, or of those that may be among an id's k best.
+def cosines(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    return np.round(np.clip(x @ y.T, -1, 1), 12)
+
+
+#: (r, c, sim) of pairs of a slice's and a block's rows.
+Hits = tuple[np.ndarray, np.ndarray, np.ndarray]
+
+
+@dataclass(frozen=True)
+class Strategy:
+    """How slices of the left side meet a block of the right one inside a task.
+
+    ``prepare(rows, unit)`` makes what is kept of a block, ``row_bytes`` for each of its rows; ``find(rows, same, kept)`` gives a
+    slice's hits, ``same`` being true where a row would meet itself.
+    """
+
+    prepare: Callable[[np.ndarray, np.ndarray], object]
+    find: Callable[[np.ndarray, np.ndarray, object], Hits]
+    row_bytes: int = 0
+
+
+def every_pair(threshold: float, k: int | None = None) -> Strategy:
+    """All pairs at the threshold, or of each left row its k best and what ties with the last of them."""
+
+    def find(rows: np.ndarray, same: np.ndarray, unit: np.ndarray) -> Hits:
+        sims = cosines(unit_rows(rows), unit)
+        sims[same] = -2
+        least = np.full(len(rows), threshold)
+        if k is not None and k < len(unit):
+            least = np.maximum(least, -np.partition(-sims, k - 1, axis=1)[:, k - 1])
+        r, c = np.nonzero(sims >= least[:, None])
+        return r, c, sims[r, c]
+
+    return Strategy(lambda rows, unit: unit, find)
+
+
+def pair_rows(own: np.ndarray, ids: np.ndarray, hits: list[Hits]) -> pd.DataFrame:
+    r, c, sim = hits[0]
+    return pd.DataFrame({"id": own[r], "other": ids[c], "sim": sim})
+
+
+def blocked(left: DataFrame, right: DataFrame, strategies: list[Strategy], schema: str = "id long, other long, sim double", rows_of: Callable[[np.ndarray, np.ndarray, list[Hits]], pd.DataFrame] = pair_rows, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """``rows_of(own, ids, hits)`` of every slice of the left side and block of the right one, with the hits of each strategy.
 
     A right side within ``block_bytes`` is sent to every worker once.  A larger one and the left side are dealt into blocks of that
-    size, and each pair of blocks meets in a task; nothing of either goes through the driver.
+    size, and each pair of blocks meets in a task; nothing of either goes through the driver.  Pairs are never shuffled.
     """
     spark, n = left.sparkSession, right.count()
     dims = len(right.select("embedding").first()[0] or []) if n else 0
-    blocks = max(1, -(-n * dims * 8 // block_bytes))
-    schema = "id long, other long, sim double"
-    left, right = left.select("id", "embedding").filter("embedding IS NOT NULL"), right.select("id", "embedding").filter("embedding IS NOT NULL")
+    row_bytes = dims * 8 + sum(s.row_bytes for s in strategies)
+    blocks = max(1, -(-n * row_bytes // block_bytes))
+    # Columns named anew: sides made of one table would lose theirs in a cogroup.
+    left, right = (x.filter("embedding IS NOT NULL").select(F.col("id").alias("id"), F.col("embedding").alias("embedding")) for x in (left, right))
+
+    def prepared(part: pd.DataFrame) -> tuple[np.ndarray, list]:
+        rows = raw_rows(part["embedding"])
+        return part["id"].to_numpy(dtype=np.int64), [s.prepare(rows, unit_rows(rows)) if len(rows) else None for s in strategies]
+
+    def met(frame: pd.DataFrame, ids: np.ndarray, kept: list) -> Iterator[pd.DataFrame]:
+        """Slices of the left side, each with a bounded number of cells."""
+        none = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        step = max(1, SLICE_CELLS // max(1, len(ids)))
+        for at in range(0, max(1, len(frame)), step):
+            part = frame.iloc[at : at + step]
+            own = part["id"].to_numpy(dtype=np.int64)
+            if not len(own) or not len(ids):
+                yield rows_of(own, ids, [none] * len(kept))
+                continue
+            rows, same = raw_rows(part["embedding"]), own[:, None] == ids[None, :]
+            yield rows_of(own, ids, [s.find(rows, same, k) for s, k in zip(strategies, kept)])
+
     if blocks == 1:
-        part = right.toPandas()
-        held = spark.sparkContext.broadcast((part["id"].to_numpy(dtype=np.int64), numbers(part["embedding"])))
+        held = spark.sparkContext.broadcast(right.toPandas())
 
         def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            block = None
             for f in frames:
-                yield block_matches(f, *held.value, threshold, k)
+                block = block or prepared(held.value)
+                yield from met(f, *block)
 
-        return left.mapInPandas(run, schema)
-    rows = max(1, -(-left.count() * dims * 8 // block_bytes))
+        return spread(left).mapInPandas(run, schema)
+    # Enough pairs of blocks for all cores.
+    rows = max(1, -(-left.count() * dims * 8 // block_bytes), -(-2 * spark.sparkContext.defaultParallelism // blocks))
     deal = lambda df, own, size, other, count: df.withColumn(own, F.pmod(F.xxhash64("id"), F.lit(size))).withColumn(other, F.explode(F.sequence(F.lit(0), F.lit(count - 1))))
     a, b = deal(left, "i", rows, "j", blocks), deal(right, "j", blocks, "i", rows)
-    meet = lambda x, y: block_matches(x, y["id"].to_numpy(dtype=np.int64), numbers(y["embedding"]), threshold, k)
+    meet = lambda x, y: pd.concat(list(met(x, *prepared(y))), ignore_index=True)
     return a.withColumn("j", F.col("j").cast("bigint")).groupBy("i", "j").cogroup(b.withColumn("i", F.col("i").cast("bigint")).groupBy("i", "j")).applyInPandas(meet, schema)
 
 
+def blocked_pairs(left: DataFrame, right: DataFrame, threshold: float, k: int | None = None, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """(id, other, sim) of all pairs at the threshold by matrix products, or of those that may be among an id's k best."""
+    return blocked(left, right, [every_pair(threshold, k)], block_bytes=block_bytes)
+
+
 def exact_pairs(left: DataFrame, right: DataFrame, threshold: float) -> DataFrame:
     return blocked_pairs(left, right, threshold)
 
@@ -125,26 +187,11 @@ def prefix_pairs(left: DataFrame, right: DataFrame, threshold: float) -> DataFra
     return cands.join(left, "id").join(r, ["other", "token"]).groupBy("id", "other").agg(F.round(F.sum(F.col("weight") * F.col("w")), 6).alias("sim")).filter(F.col("sim") >= threshold)
 
 
-def hyperplane_keys(vectors: DataFrame, dims: int, bands: int, bits: int, seed: int = 7) -> DataFrame:
-    """(id, band, key): signs of random projections, a key a band; planes are literals."""
-    planes = np.random.default_rng(seed).standard_normal((bands * bits, dims))
-
-    def project(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        weights = 1 << np.arange(bits)
-        for f in frames:
-            if not len(f):
-                continue
-            x = np.array(f["embedding"].tolist(), dtype=np.float64)
-            keys = ((x @ planes.T > 0).reshape(len(x), bands, bits) * weights).sum(axis=2)
-            yield pd.DataFrame({"id": np.repeat(f["id"].to_numpy(), bands), "band": np.tile(np.arange(bands), len(x)), "key": keys.ravel()})
-
-    return vectors.select("id", "embedding").mapInPandas(project, "id long, band int, key long")
-
-
-def verify(pairs: DataFrame, left: DataFrame, right: DataFrame, threshold: float) -> DataFrame:
-    a = left.select("id", F.col("embedding").alias("x"))
-    b = right.select(F.col("id").alias("other"), F.col("embedding").alias("y"))
-    return pairs.join(a, "id").join(b, "other").select("id", "other", cosine(F.col("x"), F.col("y")).alias("sim")).filter(F.col("sim") >= threshold)
+def hyperplane_keys(rows: np.ndarray, bands: int, bits: int, seed: int = 7) -> np.ndarray:
+    """A key a band and row: the signs of random projections."""
+    planes = np.random.default_rng(seed).standard_normal((bands * bits, rows.shape[1])).reshape(bands, bits, -1)
+    weights = np.left_shift(1, np.arange(bits), dtype=np.int32 if bits < 31 else np.int64)
+    return np.stack([(rows @ p.T > 0) @ weights for p in planes])
 
 
 def band_shape(rows: int, threshold: float, recall: float = 0.97, bucket: int = 16) -> tuple[int, int]:
@@ -154,12 +201,39 @@ def band_shape(rows: int, threshold: float, recall: float = 0.97, bucket: int =
     return max(1, int(np.ceil(np.log(1 - recall) / np.log1p(-same)))), bits
 
 
-def hyperplane_pairs(left: DataFrame, right: DataFrame, threshold: float, dims: int, bands: int | None = None, bits: int | None = None) -> DataFrame:
-    """Pairs that share a band's key, verified; hot keys are left to adaptive execution, which splits them."""
+def hyperplanes(threshold: float, bands: int, bits: int) -> Strategy:
+    """Rows that share a band's key, verified.  A block keeps its keys in order; a pair counts once whatever the bands that it shares."""
+
+    def prepare(rows: np.ndarray, unit: np.ndarray) -> tuple:
+        keys = hyperplane_keys(rows, bands, bits)
+        order = np.argsort(keys, axis=1, kind="stable")
+        return unit, np.take_along_axis(keys, order, axis=1), order.astype(np.int32)
+
+    def find(rows: np.ndarray, same: np.ndarray, kept: tuple) -> Hits:
+        unit, keys, order = kept
+        shared = np.zeros(same.shape, bool)
+        for own, theirs, at in zip(hyperplane_keys(rows, bands, bits), keys, order):
+            low = np.searchsorted(theirs, own)
+            n = np.searchsorted(theirs, own, "right") - low
+            shared[np.repeat(np.arange(len(own)), n), at[np.arange(n.sum()) + np.repeat(low - np.cumsum(n) + n, n)]] = True
+        shared &= ~same
+        cols = np.nonzero(shared.any(axis=0))[0]
+        sims = cosines(unit_rows(rows), unit[cols])
+        r, c = np.nonzero((sims >= threshold) & shared[:, cols])
+        return r, cols[c], sims[r, c]
+
+    return Strategy(prepare, find, (8 if bits < 31 else 12) * bands)
+
+
+def hyperplane_strategy(right: DataFrame, threshold: float, bands: int | None = None, bits: int | None = None) -> Strategy:
     if bands is None or bits is None:
         bands, bits = band_shape(right.count(), threshold)
-    a, b = hyperplane_keys(left, dims, bands, bits), hyperplane_keys(right, dims, bands, bits).withColumnRenamed("id", "other")
-    return verify(a.join(b, ["band", "key"]).filter("id <> other").select("id", "other").distinct(), left, right, threshold)
+    return hyperplanes(threshold, bands, bits)
+
+
+def hyperplane_pairs(left: DataFrame, right: DataFrame, threshold: float, dims: int | None = None, bands: int | None = None, bits: int | None = None) -> DataFrame:
+    """Pairs that share a band's key, verified where they meet; ``dims`` is read from the vectors."""
+    return blocked(left, right, [hyperplane_strategy(right, threshold, bands, bits)])
 
 
 def some_rows(df: DataFrame, rows: int, seed: int) -> DataFrame:
@@ -180,6 +254,7 @@ def cell_model(left: DataFrame, right: DataFrame, threshold: float, cells: int |
     from pyspark.ml.clustering import KMeans
     from pyspark.ml.functions import array_to_vector
 
+    left, right = left.filter("embedding IS NOT NULL"), right.filter("embedding IS NOT NULL")
     cells = cells or max(2, round(right.count() ** 0.5))
     sample = some_rows(right, fit_rows, seed).select("id", "embedding")
     fitted = KMeans(k=cells, seed=seed, featuresCol="v", maxIter=10).fit(sample.select(array_to_vector(F.col("embedding").cast("array<double>")).alias("v")))
@@ -196,24 +271,54 @@ def cell_model(left: DataFrame, right: DataFrame, threshold: float, cells: int |
     return centers, next((p + 1 for p, v in enumerate(reached) if v >= recall), len(centers)), reached
 
 
-def cell_pairs(left: DataFrame, right: DataFrame, threshold: float, cells: int | None = None, probes: int | None = None) -> DataFrame:
-    """Pairs whose right side lies in one of the left side's nearest cells, verified."""
+def cells_probed(threshold: float, centers: np.ndarray, probes: int) -> Strategy:
+    """Rows of which the right one lies in one of the left one's nearest cells, verified: a product for each cell."""
+
+    def prepare(rows: np.ndarray, unit: np.ndarray) -> tuple:
+        cell = nearest_cells(centers, rows)[:, 0]
+        return unit, [np.nonzero(cell == c)[0] for c in range(len(centers))]
+
+    def find(rows: np.ndarray, same: np.ndarray, kept: tuple) -> Hits:
+        unit, members = kept
+        x, near = unit_rows(rows), np.zeros((len(rows), len(centers)), bool)
+        np.put_along_axis(near, nearest_cells(centers, rows)[:, :probes], True, axis=1)
+        hits = []
+        for c, cols in enumerate(members):
+            own = np.nonzero(near[:, c])[0]
+            if len(own) and len(cols):
+                sims = cosines(x[own], unit[cols])
+                i, j = np.nonzero((sims >= threshold) & ~same[np.ix_(own, cols)])
+                hits.append((own[i], cols[j], sims[i, j]))
+        return tuple(np.concatenate(x) for x in zip(*hits)) if hits else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+
+    return Strategy(prepare, find, 8)
+
+
+def cell_strategy(left: DataFrame, right: DataFrame, threshold: float, cells: int | None = None, probes: int | None = None) -> Strategy:
     centers, enough, _ = cell_model(left, right, threshold, cells)
-    probes = probes or enough
+    return cells_probed(threshold, centers, probes or enough)
 
-    def nearest(p: int):
-        def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for f in frames:
-                if not len(f):
-                    continue
-                d = nearest_cells(centers, np.array(f["embedding"].tolist(), dtype=np.float64))[:, :p]
-                yield pd.DataFrame({"id": np.repeat(f["id"].to_numpy(), d.shape[1]), "cell": d.ravel()})
 
-        return run
+def cell_pairs(left: DataFrame, right: DataFrame, threshold: float, cells: int | None = None, probes: int | None = None) -> DataFrame:
+    """Pairs whose right side lies in one of the left side's nearest cells, verified where they meet."""
+    return blocked(left, right, [cell_strategy(left, right, threshold, cells, probes)])
+
+
+def strategies_quality(left: DataFrame, right: DataFrame, threshold: float, strategies: dict[str, Strategy], block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """(n_exact, n_found, recall, precision, strategy) of each strategy against all pairs at the threshold.
+
+    Both are counted where a slice meets a block, so a pair is never shuffled to be compared; ids are those of one row a side.
+    """
+    names = list(strategies)
+
+    def counts(own: np.ndarray, ids: np.ndarray, hits: list[Hits]) -> pd.DataFrame:
+        codes = [r.astype(np.int64) * max(1, len(ids)) + c for r, c, _ in hits]
+        return pd.DataFrame({"strategy": names, "n_exact": len(codes[0]), "n_found": [len(c) for c in codes[1:]], "hits": [int(np.isin(c, codes[0]).sum()) for c in codes[1:]]})
 
-    a = left.select("id", "embedding").mapInPandas(nearest(probes), "id long, cell long")
-    b = right.select("id", "embedding").mapInPandas(nearest(1), "id long, cell long").withColumnRenamed("id", "other")
-    return verify(a.join(b, "cell").filter("id <> other").select("id", "other").distinct(), left, right, threshold)
+    each = blocked(left, right, [every_pair(threshold), *strategies.values()], "strategy string, n_exact long, n_found long, hits long", counts, block_bytes)
+    total = each.groupBy("strategy").agg(*[F.sum(c).alias(c) for c in ("n_exact", "n_found", "hits")])
+    share = lambda n: F.round(F.try_divide("hits", n), 6)
+    return total.select("n_exact", "n_found", share("n_exact").alias("recall"), share("n_found").alias("precision"), "strategy")
 
 
 def minhash_signature(sh: Column, hashes: int) -> Column:
@@ -249,4 +354,4 @@ def recall_at(found: DataFrame, exact: DataFrame) -> DataFrame:
     return e.agg(F.count("*").alias("n_exact")).crossJoin(f.agg(F.count("*").alias("n_found"))).crossJoin(hit).select("n_exact", "n_found", F.round(F.col("hits") / F.col("n_exact"), 6).alias("recall"), F.round(F.col("hits") / F.col("n_found"), 6).alias("precision"))
 
 
-__all__ = ["band_shape", "blocked_pairs", "callable_encoder", "cell_model", "cell_pairs", "exact_blocked", "exact_pairs", "hashed_ngrams", "hyperplane_pairs", "minhash_pairs", "prefix_pairs", "recall_at", "term_counts", "verify"]
+__all__ = ["band_shape", "blocked_pairs", "callable_encoder", "cell_model", "cell_pairs", "cell_strategy", "exact_blocked", "exact_pairs", "hashed_ngrams", "hyperplane_pairs", "hyperplane_strategy", "minhash_pairs", "prefix_pairs", "recall_at", "strategies_quality", "term_counts"]

@@ -337,9 +337,7 @@ def cell_probes(spark, sf):
 @query("candidate_quality")
 def candidate_quality(spark, sf):
     left, right = vector_sides(spark, sf)
-    exact = S.exact_pairs(left, right, CUT)
-    lsh = S.recall_at(S.hyperplane_pairs(left, right, CUT, 64), exact).withColumn("strategy", F.lit("hyperplane"))
-    return lsh.unionByName(S.recall_at(S.cell_pairs(left, right, CUT), exact).withColumn("strategy", F.lit("cells")))
+    return S.strategies_quality(left, right, CUT, {"hyperplane": S.hyperplane_strategy(right, CUT), "cells": S.cell_strategy(left, right, CUT)})
 
 
 @query("minhash_pairs", f"WITH r AS (SELECT min(id) AS id, any_value(sh) AS sh FROM (SELECT doc_id AS id, {shingle_sql('w', 5)} AS sh FROM (SELECT doc_id, {split_sql('text')} AS w FROM documents)) WHERE len(sh) > 0 GROUP BY array_to_string(list_sort(sh), chr(10))), e AS (SELECT id, unnest(sh) AS g FROM r), c AS (SELECT id, len(sh) AS n FROM r), p AS (SELECT x.id AS a, y.id AS b, count(*) AS i FROM e x JOIN e y ON x.g = y.g AND x.id < y.id GROUP BY 1, 2) SELECT a, b, round(i / (ca.n + cb.n - i), 6) AS jaccard FROM p JOIN c ca ON ca.id = a JOIN c cb ON cb.id = b WHERE round(i / (ca.n + cb.n - i), 6) >= 0.75")

@@ -74,3 +74,28 @@ def test_prefixes_lose_no_pair(spark):
     t = S.term_counts(texts, "doc_id", "text")
     full = t.join(t.select(F.col("id").alias("other"), "token", F.col("weight").alias("w")), "token").filter("id <> other").groupBy("id", "other").agg(F.round(F.sum(F.col("weight") * F.col("w")), 6).alias("sim")).filter("sim >= 0.6")
     assert {tuple(r) for r in full.collect()} == {tuple(r) for r in S.prefix_pairs(t, t, 0.6).collect()}
+
+
+def test_strategies_meet_in_tasks_without_a_shuffle_of_pairs(spark):
+    import numpy as np
+
+    from provspark.operators import similarity as S
+
+    rng = np.random.default_rng(5)
+    rows = [(i, [float(x) for x in rng.standard_normal(8)]) for i in range(300)] + [(300, None), (301, [0.0] * 8)]
+    v = spark.createDataFrame(rows, "id bigint, embedding array<float>").selectExpr("id + 0 AS id", "embedding")
+    left, right = v.filter("id % 3 <> 0"), v.filter("id % 3 = 0")
+    exact = {(r["id"], r["other"]) for r in S.exact_pairs(left, right, 0.5).collect()}
+    found = S.hyperplane_pairs(left, right, 0.5)
+    cells = S.cell_pairs(left, right, 0.5, cells=6, probes=3)
+    for pairs in (found, cells):
+        got = [(r["id"], r["other"]) for r in pairs.collect()]
+        assert len(got) == len(set(got)) and set(got) <= exact
+        plan = pairs._jdf.queryExecution().executedPlan().toString()
+        assert "Join" not in plan and "hashpartitioning" not in plan
+    # Many small blocks give what one gives, also for sides of one table.
+    strategies = {"hyperplane": S.hyperplane_strategy(right, 0.5), "cells": S.cell_strategy(left, right, 0.5, 6, 3)}
+    one, many = (sorted(map(tuple, S.strategies_quality(left, right, 0.5, strategies, size).collect())) for size in (1 << 26, 20_000))
+    assert one == many and one[0][0] == len(exact)
+    slow = S.recall_at(found, S.exact_pairs(left, right, 0.5)).first()
+    assert [x[:4] for x in one if x[4] == "hyperplane"] == [tuple(slow)]
