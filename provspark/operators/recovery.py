@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from provspark.config import STOP_SHARE
@@ -10,12 +10,18 @@ from provspark.functions.text import is_multi_option
 from provspark.operators.shared import cut
 
 
-def format_profile(items: DataFrame, by: list[str]) -> DataFrame:
-    """How texts look: length quartiles, share with options, with digits, with question marks."""
+def measures() -> list[Column]:
+    """What a profile is made of, for each text."""
     p = F.col("prompt")
-    q = F.percentile(F.length(p), F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75)))
-    share = lambda c: F.round(F.avg(F.when(c, 1.0).otherwise(0.0)), 6)
-    out = items.groupBy(*by).agg(F.count("*").alias("n"), q.alias("q"), share(is_multi_option(p)).alias("options"), share(p.rlike("[0-9]")).alias("digits"), share(p.contains("?")).alias("questions"))
+    return [F.length(p).alias("length"), is_multi_option(p).alias("options"), p.rlike("[0-9]").alias("digits"), p.contains("?").alias("questions")]
+
+
+def format_profile(items: DataFrame, by: list[str]) -> DataFrame:
+    """How texts look: length quartiles, share with options, with digits, with question marks; items may have their measures already."""
+    items = items.select(*by, *measures()) if "prompt" in items.columns else items
+    q = F.percentile("length", F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75)))
+    share = lambda c: F.round(F.avg(F.when(F.col(c), 1.0).otherwise(0.0)), 6).alias(c)
+    out = items.groupBy(*by).agg(F.count("*").alias("n"), q.alias("q"), *[share(c) for c in ("options", "digits", "questions")])
     return out.select(*by, "n", *[F.round(F.col("q")[i], 6).alias(f"length_q{i + 1}") for i in range(3)], "options", "digits", "questions")
 
 

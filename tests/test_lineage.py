@@ -97,3 +97,34 @@ def test_ancestry_lists_no_paths(spark):
     edges = spark.createDataFrame([(f"s{i}", f"s{j}") for i in range(22) for j in range(i + 1, 22)] + [(f"t{i}", f"t{i + 1}") for i in range(30)], "parent string, child string")
     got = {(x["child"], x["ancestor"]): x["depth"] for x in P.ancestry(edges).collect()}
     assert got["s21", "s0"] == 1 and got["t30", "t0"] == 30 and len(got) == 22 * 21 // 2 + 31 * 30 // 2
+
+
+def test_word_count_matches_are_those_of_all_pairs(spark, monkeypatch):
+    from provspark.operators import similarity as S
+    from provspark.operators import wordcounts as W
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").selectExpr("doc_id AS id", "text AS prompt").withColumn("key", F.sha1(F.col("prompt").cast("binary")).cast("binary"))
+    odd = spark.createDataFrame([(-1, "", b"a"), (-2, None, b"b"), (-3, " \n ", b"c"), (-4, "x", b"d"), (-4, "x", b"d")], "id bigint, prompt string, key binary")
+    docs = docs.unionByName(odd)
+    left, right = docs.filter("id % 2 = 0"), docs.filter("id % 3 <> 0")
+    t = lambda df: S.term_counts(df.distinct(), "id", "prompt")
+    exact = {(r["id"], r["other"]): r["sim"] for r in S.prefix_pairs(t(left), t(right), 0.6).collect()}
+    best = {}
+    for (a, b), sim in exact.items():
+        best[a] = min(best.get(a, (0, 0)), (-sim, b))
+    monkeypatch.setattr(W, "SLICE_CELLS", 400)
+    for size in (W.BLOCK_BYTES, 40_000):
+        every, first = (W.matches(W.counted(left), W.counted(right), 0.6, k, size).collect() for k in (None, 1))
+        assert {(r["id"], r["other"]): r["sim"] for r in every} == exact and len(every) == len(exact) > 0
+        top = {}  # a block gives its own best
+        for r in first:
+            top[r["id"]] = min(top.get(r["id"], (0, 0)), (-r["sim"], r["other"]))
+        assert top == best and all(r["key"] and r["other_key"] for r in every)
+
+
+def test_trace_writes_no_texts_and_pairs_no_words(spark):
+    from provspark.operators import trace as T
+
+    rows = [(s, 10 * s + i, f"common words of every text here {s * i % 7} " * 3 + f"own{s}{i}") for s in (0, 3, 8, 9) for i in range(10)]
+    plan = T.trace(items(spark, rows))._jdf.queryExecution().executedPlan().toString()
+    assert "prompt" not in plan and "token" not in plan
