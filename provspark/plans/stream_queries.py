@@ -76,10 +76,16 @@ def stream_modes(spark, sf):
 @query("stream_leak_alert", "SELECT CAST(doc_id AS VARCHAR) AS item_id, item_id AS bench_item FROM documents d JOIN benchmark b ON regexp_replace(lower(d.text), '[^a-z0-9]+', '', 'g') = regexp_replace(lower(b.text), '[^a-z0-9]+', '', 'g') OR contains(d.text, b.text)")
 def stream_leak_alert(spark, sf):
     b = C.table(spark, sf, "benchmark").select(F.col("item_id").alias("bench_item"), F.col("text").alias("t"))
-    small = F.broadcast(b) if b.count() <= 200_000 else b
+    keys = b.withColumn("key", join_key(F.col("t"), "letters"))
+    keys = F.broadcast(keys) if b.count() <= 200_000 else keys
     items = C.document_items(spark, sf).select("item_id", "seq", "prompt")
-    same = join_key(F.col("prompt"), "letters") == join_key(F.col("t"), "letters")
-    return S.leak_alerts(items, lambda s: s.join(small, same | F.col("prompt").contains(F.col("t"))).select("item_id", "bench_item"))
+
+    def match(s):
+        # Equal letters without the passage itself, and all that hold it: no pair is in both.
+        same = s.withColumn("key", join_key(F.col("prompt"), "letters")).join(keys, "key").filter(~F.col("prompt").contains(F.col("t")))
+        return same.select("item_id", "bench_item").unionByName(S.contained(s, b))
+
+    return S.leak_alerts(items, match)
 
 
 @query("sink_stream", "SELECT count(*) AS n FROM events")

@@ -107,3 +107,17 @@ def test_a_table_in_parts_has_its_own_name(spark, sf, tmp_path):
     spark.read.parquet(f"{sf}/documents.parquet").repartition(3).write.parquet(f"{tmp_path}/documents.parquet")
     for folder in (sf, tmp_path):
         assert [tuple(r) for r in scan_file_metadata(spark, str(folder)).select("file_name", "sized").distinct().collect()] == [("documents.parquet", True)]
+
+
+def test_passages_are_found_wherever_they_stand(spark):
+    from provspark.streaming import flows as S
+
+    texts = ["one two three four five six", "xone two threey", "one  two", "", None, "a b", "one two three four five sixty and one two three", "two"]
+    passages = ["one two three", "ne two thre", "two", "", " ", None, "e two three four five six", "one  two", "a b", "a b", "two three four five sixt"]
+    docs = spark.createDataFrame([(str(i), x) for i, x in enumerate(texts)], "item_id string, prompt string")
+    bench = spark.createDataFrame(list(enumerate(passages)), "bench_item bigint, t string")
+    want = sorted((str(i), j) for i, x in enumerate(texts) for j, y in enumerate(passages) if x is not None and y is not None and y in x)
+    for size in (1 << 20, 30):
+        found = S.contained(docs, bench, size)
+        assert sorted(map(tuple, found.collect())) == want
+        assert "NestedLoop" not in found._jdf.queryExecution().executedPlan().toString()
