@@ -93,3 +93,15 @@ def test_refill_by_bins_is_the_seeded_order(spark):
     want = [r["item_id"] for r in pool.orderBy(seeded("x", F.col("item_id"))).limit(120).collect()]
     assert sorted(want) == sorted(r["item_id"] for r in first_by_seed(pool, 120, "x").collect())
     assert first_by_seed(pool, 0, "x").count() == 0 and first_by_seed(pool, 900, "x").count() == 500
+
+
+LIVE = ["core_average"]
+
+
+def test_measures_read_a_given_table(spark, sf):
+    from provspark import plans
+
+    queries = plans.load()[0]
+    for name in LIVE:
+        got = queries[name](spark, sf)
+        assert "events.parquet" in str(got.inputFiles()) and got.count() > 0, name
