@@ -95,7 +95,7 @@ def test_refill_by_bins_is_the_seeded_order(spark):
     assert first_by_seed(pool, 0, "x").count() == 0 and first_by_seed(pool, 900, "x").count() == 500
 
 
-LIVE = ["core_average", "gain_vs_base", "base_sets_a_to_e"]
+LIVE = ["core_average", "gain_vs_base", "base_sets_a_to_e", "cross_set_spread"]
 
 
 def test_measures_read_a_given_table(spark, sf):
