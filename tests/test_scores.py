@@ -95,7 +95,7 @@ def test_refill_by_bins_is_the_seeded_order(spark):
     assert first_by_seed(pool, 0, "x").count() == 0 and first_by_seed(pool, 900, "x").count() == 500
 
 
-LIVE = ["core_average", "gain_vs_base", "base_sets_a_to_e", "cross_set_spread", "base_unweighted_rank", "correlations", "pearson", "base_single_part", "ablation_delta", "quality_score"]
+LIVE = ["core_average", "gain_vs_base", "base_sets_a_to_e", "cross_set_spread", "base_unweighted_rank", "correlations", "pearson", "base_single_part", "ablation_delta", "quality_score", "base_fixed_weights"]
 
 
 def test_measures_read_a_given_table(spark, sf):
