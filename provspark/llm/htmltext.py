@@ -14,8 +14,11 @@ runs of RUN_TOKENS tokens and the distinct pages that each stands on.  Blocks th
 * inside an article, runs on max(MIN_PAGES, ARTICLE_SHARE * pages) pages, such as share lines, unless they are more than MOST_DROPPED of
   the article: that is a copy, not boilerplate.
 
-Pages of a host are dealt by hash into groups of about GROUP_PAGES pages, so a host with a third of all pages is many groups.
-Each group is a random part of its host's pages and shares are those of its distinct streams: pages with equal streams count once.
+Shares are those of a host's distinct streams, whatever its size: pages with equal streams count once.  A host of up to GROUP_PAGES
+pages is one group.  A larger one is dealt by stream into groups, and their counts are put together exactly: a run on a share of a host's
+streams is on that share in one group at least, so each group's suffix array gives its runs of the lower share, all groups
+count all runs that any of them gave, and the sums decide for each page.  Streams with more than GROUP_PAGES copies leave one part of
+them in the group; the others are dealt over parts that count nothing.
 
 Defined cases: null or empty html gives the empty text; a null or malformed url is a host of its own; a null id stays null;
 repeated rows are repeated; an empty table gives an empty result; other columns are not read; of equal blocks all or none stay.
@@ -23,6 +26,7 @@ repeated rows are repeated; an empty table gives an empty result; other columns
 
 from __future__ import annotations
 
+import hashlib
 import html as html_lib
 import re
 from collections.abc import Iterator
@@ -160,19 +164,21 @@ def blocks_of(page: str) -> list[tuple[str, int]]:
     return [(t, inner if r == INNER else max(r, AWAY)) for t, r in out]
 
 
-def parsed(pages: DataFrame, id_col: str, url_col: str, html_col: str) -> DataFrame:
-    """Rows (page_id, url, host, texts, roles) of blocks that are not away."""
+def parsed(pages: DataFrame, id_col: str, url_col: str, html_col: str, texts: bool = True) -> DataFrame:
+    """Rows (page_id, url, stream, host) and, if wished, (texts, roles) of blocks that are not away; ``stream`` is the digest of all tokens."""
     kind = pages.schema[id_col].dataType.simpleString()
 
     def per_slice(batch):
-        texts, roles = [], []
-        for page in filled(batch.column("html")).to_pylist():
-            blocks = [b for b in blocks_of(page) if b[1] != AWAY]
-            texts.append([t for t, _ in blocks])
-            roles.append([r for _, r in blocks])
-        return pa.RecordBatch.from_arrays([batch.column("page_id"), batch.column("url"), pa.array(texts, pa.list_(pa.string())), pa.array(roles, pa.list_(pa.int8()))], names=["page_id", "url", "texts", "roles"])
-
-    rows = map_arrow(pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).alias("html")), f"page_id {kind}, url string, texts array<string>, roles array<tinyint>", "html", per_slice)
+        blocks = [[b for b in blocks_of(page) if b[1] != AWAY] for page in filled(batch.column("html")).to_pylist()]
+        stream = pa.array([hashlib.blake2b(" ".join(t for t, _ in page).encode(), digest_size=16).digest() for page in blocks], pa.binary())
+        out = {"page_id": batch.column("page_id"), "url": batch.column("url"), "stream": stream}
+        if texts:
+            out["texts"] = pa.array([[t for t, _ in page] for page in blocks], pa.list_(pa.string()))
+            out["roles"] = pa.array([[r for _, r in page] for page in blocks], pa.list_(pa.int8()))
+        return pa.RecordBatch.from_pydict(out)
+
+    schema = f"page_id {kind}, url string, stream binary" + (", texts array<string>, roles array<tinyint>" if texts else "")
+    rows = map_arrow(pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).alias("html")), schema, "html", per_slice)
     return rows.withColumn("host", host_of("url"))
 
 
@@ -181,21 +187,28 @@ def host_of(url: str) -> F.Column:
 
 
 def suffix_ranks(tokens: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
-    """(suffix array, rank) of a token stream sorted to ``depth`` tokens by doubling; equal ranks share a prefix of that length."""
-    _, rank = np.unique(tokens, return_inverse=True)
-    n, reach = len(tokens), 1
-    order = np.argsort(rank, kind="stable")
-    while reach < depth:
+    """(suffix array, rank) of a token stream sorted to ``depth`` tokens by doubling; equal ranks share a prefix of that length.
+
+    Tokens are not negative; the first step takes as many of them as 62 bits hold.
+    """
+    n = len(tokens)
+    bits = (int(tokens.max()) + 1).bit_length() if n else 1
+    reach = max(1, min(depth, 62 // bits))
+    key = np.zeros(n, np.int64)
+    for j in range(reach):
+        key <<= bits
+        key[: max(n - j, 0)] += tokens[j:].astype(np.int64) + 1
+    while True:
+        order = np.argsort(key)
+        ordered = key[order]
+        rank = np.empty(n, np.int64)
+        rank[order] = np.concatenate([[0], np.cumsum(ordered[1:] != ordered[:-1])]) if n else []
+        if reach >= depth:
+            return order, rank
         step = min(reach, depth - reach)
         later = np.full(n, -1, np.int64)
-        later[: n - step] = rank[step:]
-        pair = rank.astype(np.int64) * (n + 1) + later + 1
-        order = np.argsort(pair, kind="stable")
-        ordered = pair[order]
-        new = np.empty(n, np.int64)
-        new[order] = np.concatenate([[0], np.cumsum(ordered[1:] != ordered[:-1])]) if n else []
-        rank, reach = new, reach + step
-    return order, rank
+        later[: max(n - step, 0)] = rank[step:]
+        key, reach = rank * (n + 1) + later + 1, reach + step
 
 
 def run_pages(tokens: np.ndarray, page: np.ndarray, run: int) -> tuple[np.ndarray, np.ndarray]:
@@ -229,93 +242,265 @@ def repeated_cover(tokens: np.ndarray, page: np.ndarray, run: int, pages: int) -
     return covered_by(starts[counts >= pages], run, len(tokens))
 
 
-def extract_group(texts: pa.ListArray, roles: pa.ListArray, run: int, min_pages: int, min_share: float, covered: float) -> tuple[list[str], list[int], list[int]]:
-    """(text, repeated tokens, tokens) of each page of one group of a host."""
-    n = len(texts)
-    page_at = texts.offsets.to_numpy().astype(np.int64)
-    flat = texts.values.slice(page_at[0], page_at[-1] - page_at[0])
-    page_at = page_at - page_at[0]
+class Streams:
+    """The token streams of some pages: codes of their words, block by block."""
+
+    def __init__(self, texts: pa.ListArray) -> None:
+        page_at = texts.offsets.to_numpy().astype(np.int64)
+        #: The blocks' texts, and where each page's begin.
+        self.flat = texts.values.slice(page_at[0], page_at[-1] - page_at[0])
+        self.page_at = page_at - page_at[0]
+        split = pc.ascii_split_whitespace(self.flat)
+        block_at = split.offsets.to_numpy().astype(np.int64)
+        coded = split.values.slice(block_at[0], block_at[-1] - block_at[0]).dictionary_encode() if len(self.flat) else pa.array([], pa.string()).dictionary_encode()
+        self.words, self.codes = coded.dictionary, coded.indices.to_numpy().astype(np.int64)
+        #: Where the tokens of each block, and those of each page, begin; and the page of each token.
+        self.block_at = block_at - block_at[0] if len(self.flat) else np.zeros(1, np.int64)
+        self.bounds = self.block_at[self.page_at]
+        self.page = np.repeat(np.arange(len(texts)), np.diff(self.bounds))
+
+    def frequent(self, run: int, pages: float) -> list[str]:
+        """The runs, words joined by a space, that stand on at least ``pages`` of the pages."""
+        starts, counts = run_pages(self.codes, self.page, run)
+        starts = starts[counts >= pages]
+        found = np.unique(self.codes[starts[:, None] + np.arange(run)], axis=0)
+        words = self.words.to_pylist()
+        return [" ".join(words[c] for c in row) for row in found.tolist()]
+
+    def places(self, runs: list[str], run: int) -> tuple[np.ndarray, np.ndarray]:
+        """(starts, index of the run) of all places where one of the distinct runs stands within a page."""
+        n, kinds = len(self.codes), len(self.words)
+        none = np.zeros(0, np.int64)
+        if n < run or not runs:
+            return none, none
+        code = pc.fill_null(pc.index_in(pa.array([w for r in runs for w in r.split(" ")], pa.string()), value_set=self.words), -1).to_numpy().astype(np.int64).reshape(-1, run)
+        known = np.flatnonzero((code >= 0).all(axis=1))
+        code = code[known]
+        at = np.flatnonzero(self.page[: n - run + 1] == self.page[run - 1 :])
+        prefix, state = np.zeros(len(known), np.int64), np.zeros(len(at), np.int64)
+        for j in range(run):
+            if not len(known) or not len(at):
+                return none, none
+            keys, prefix = np.unique(prefix * kinds + code[:, j], return_inverse=True)
+            own = state * kinds + self.codes[at + j]
+            state = np.minimum(np.searchsorted(keys, own), len(keys) - 1)
+            same = keys[state] == own
+            at, state = at[same], state[same]
+        which = np.empty(len(known), np.int64)
+        which[prefix] = known
+        return at, which[state]
+
+
+def needed(streams: int, share: float, min_pages: int) -> int:
+    """The distinct streams that make a run boilerplate on a host of so many."""
+    return max(min_pages, int(np.ceil(share * streams)))
+
+
+def kept_blocks(s: Streams, roles: pa.ListArray, cover: np.ndarray, common: np.ndarray, covered: float) -> tuple[list[str], list[int], list[int]]:
+    """(text, repeated tokens, tokens) of each page, from the tokens that runs of the lower and of the article share cover."""
     role = roles.values.to_numpy()[roles.offsets[0].as_py() : roles.offsets[-1].as_py()]
-    split = pc.ascii_split_whitespace(flat)
-    block_at = split.offsets.to_numpy().astype(np.int64)
-    codes = split.values.slice(block_at[0], block_at[-1] - block_at[0]).dictionary_encode().indices.to_numpy().astype(np.int64) if len(flat) else np.zeros(0, np.int64)
-    block_at = block_at - block_at[0] if len(flat) else np.zeros(1, np.int64)
-    bounds = block_at[page_at]
-    page = np.repeat(np.arange(n), np.diff(bounds))
-    # Pages with equal streams count as one: all but the first are left out of the array, and share its cover.
-    first: dict[bytes, int] = {}
-    same = [first.setdefault(codes[a:b].tobytes(), i) for i, (a, b) in enumerate(zip(bounds, bounds[1:]))]
-    once = np.array([i == s for i, s in enumerate(same)], bool)
-    mask = once[page] if len(page) else np.zeros(0, bool)
-    starts, counts = run_pages(codes[mask], page[mask], run)
+    size, page_at = np.diff(s.block_at), s.page_at
 
-    def boilerplate(share: float) -> tuple[np.ndarray, np.ndarray]:
+    def boilerplate(over: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(covered tokens before each place, which blocks are covered)."""
-        cover = np.zeros(len(codes), bool)
-        cover[mask] = covered_by(starts[counts >= max(min_pages, int(np.ceil(share * once.sum())))], run, int(mask.sum()))
-        for i, s in enumerate(same):
-            if s != i:
-                cover[bounds[i] : bounds[i + 1]] = cover[bounds[s] : bounds[s + 1]]
-        total = np.concatenate([[0], np.cumsum(cover)])
-        in_block = total[block_at[1:]] - total[block_at[:-1]]
-        return total, in_block >= covered * np.maximum(np.diff(block_at), 1)
-
-    total, boiler = boilerplate(min_share)
-    _, common = boilerplate(ARTICLE_SHARE)
-    words, size = flat.to_pylist(), np.diff(block_at)
+        total = np.concatenate([[0], np.cumsum(over)])
+        return total, total[s.block_at[1:]] - total[s.block_at[:-1]] >= covered * np.maximum(size, 1)
+
+    total, boiler = boilerplate(cover)
+    _, often = boilerplate(common)
+    words = s.flat.to_pylist()
     out = []
-    for i in range(n):
+    for i in range(len(page_at) - 1):
         own = np.arange(page_at[i], page_at[i + 1])
         kept = own[role[own] == ARTICLE]
         if len(kept):
-            if size[kept[common[kept]]].sum() <= MOST_DROPPED * size[kept].sum():
-                kept = kept[~common[kept]]
+            if size[kept[often[kept]]].sum() <= MOST_DROPPED * size[kept].sum():
+                kept = kept[~often[kept]]
         else:
             main = own[role[own] == MAIN]
             pool = main if len(main) else own
             kept = pool[~boiler[pool]]
             kept = kept if len(kept) else main
         out.append("\n".join(words[b] for b in kept))
-    return out, (total[bounds[1:]] - total[bounds[:-1]]).tolist(), np.diff(bounds).tolist()
+    return out, (total[s.bounds[1:]] - total[s.bounds[:-1]]).tolist(), np.diff(s.bounds).tolist()
+
+
+def extract_host(texts: pa.ListArray, roles: pa.ListArray, run: int, min_pages: int, min_share: float, covered: float) -> tuple[list[str], list[int], list[int]]:
+    """(text, repeated tokens, tokens) of each page of a whole host."""
+    s = Streams(texts)
+    # Pages with equal streams count as one: all but the first are left out of the array, and share its cover.
+    first: dict[bytes, int] = {}
+    same = [first.setdefault(s.codes[a:b].tobytes(), i) for i, (a, b) in enumerate(zip(s.bounds, s.bounds[1:]))]
+    once = np.array([i == k for i, k in enumerate(same)], bool)
+    mask = once[s.page]
+    starts, counts = run_pages(s.codes[mask], s.page[mask], run)
+
+    def cover(share: float) -> np.ndarray:
+        over = np.zeros(len(s.codes), bool)
+        over[mask] = covered_by(starts[counts >= needed(int(once.sum()), share, min_pages)], run, int(mask.sum()))
+        for i, k in enumerate(same):
+            if k != i:
+                over[s.bounds[i] : s.bounds[i + 1]] = over[s.bounds[k] : s.bounds[k + 1]]
+        return over
+
+    return kept_blocks(s, roles, cover(min_share), cover(ARTICLE_SHARE), covered)
+
+
+def extract_pages(texts: pa.ListArray, roles: pa.ListArray, runs: list[dict], streams: int, run: int, min_pages: int, min_share: float, covered: float) -> tuple[list[str], list[int], list[int]]:
+    """(text, repeated tokens, tokens) of each of some pages of a host whose repeated runs are known with their counts."""
+    s = Streams(texts)
+    starts, which = s.places([r["run"] for r in runs], run)
+    counts = np.array([r["n"] for r in runs], np.int64)[which]
+
+    def cover(share: float) -> np.ndarray:
+        return covered_by(starts[counts >= needed(streams, share, min_pages)], run, len(s.codes))
+
+    return kept_blocks(s, roles, cover(min_share), cover(ARTICLE_SHARE), covered)
+
+
+def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[tuple[str, int], pa.RecordBatch]]:
+    """((host, part), rows) of sorted batches; a part's rows may come in some pieces."""
+    for batch in batches:
+        keys = list(zip(batch.column("host").to_pylist(), batch.column("part").to_pylist()))
+        a = 0
+        for b in range(1, len(keys) + 1):
+            if b == len(keys) or keys[b] != keys[a]:
+                yield keys[a], batch.slice(a, b - a)
+                a = b
+
+
+def column_of(held: list[pa.RecordBatch], name: str) -> pa.Array:
+    out = pa.Table.from_batches(held).column(name).combine_chunks()
+    return out.chunk(0) if isinstance(out, pa.ChunkedArray) else out
+
+
+def group_streams(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[str, int, list[dict], Streams | None, int]]:
+    """(host, part, runs of the mark, distinct streams, their number) of each part of an open host; no streams where a part counts nothing."""
+    mark, runs, held, seen = None, [], [], set()
+
+    def group():
+        return *mark, runs, Streams(column_of(held, "texts")) if held else None, len(seen)
+
+    for key, piece in pieces(batches):
+        if key != mark:
+            if mark is not None:
+                yield group()
+            mark, runs, held, seen = None, [], [], set()
+        if not piece.column("open")[0].as_py():
+            continue
+        mark = key
+        if piece.column("page")[0].as_py() == 0 and "runs" in piece.schema.names:
+            runs = piece.column("runs")[0].as_py() or []
+        if key[1] < 0:
+            continue
+        new = []
+        for is_page, stream in zip(piece.column("page").to_pylist(), piece.column("stream").to_pylist()):
+            new.append(is_page == 1 and stream not in seen)
+            if new[-1]:
+                seen.add(stream)
+        if any(new):
+            held.append(piece.filter(pa.array(new)))
+    if mark is not None:
+        yield group()
+
+
+COUNTS = "host string, part int, run string, n long"
+
+
+def counts_batch(host: str, part: int, streams: int, runs: list[str], counts: list[int]) -> pa.RecordBatch:
+    """A part's runs with their counts, and a row without a run for the number of its streams."""
+    m = len(runs) + 1
+    return pa.RecordBatch.from_arrays([pa.array([host] * m, pa.string()), pa.array([part] * m, pa.int32()), pa.array([None, *runs], pa.string()), pa.array([streams, *counts], pa.int64())], names=["host", "part", "run", "n"])
 
 
 def main_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", run: int = RUN_TOKENS, group_pages: int = GROUP_PAGES, min_pages: int = MIN_PAGES, min_share: float = MIN_SHARE, covered: float = COVERED) -> DataFrame:
-    """Rows (page_id, url, text, n_chars, n_tokens, repeated_tokens), one for each page."""
+    """Rows (page_id, url, text, n_chars, n_tokens, repeated_tokens), one for each page; ``group_pages`` changes none of them."""
     kind = pages.schema[id_col].dataType.simpleString()
-    rows = parsed(pages, id_col, url_col, html_col)
-    # Hosts of more than one group: few, and broadcast within a bound, so pages are shuffled once.
-    hosts = write_read(pages.select(host_of(url_col).alias("host")).groupBy("host").agg(F.count("*").alias("n"), F.ceil(F.count("*") / F.lit(group_pages)).cast("int").alias("groups")), "hosts")
-    groups = hosts.filter("groups > 1").select("host", "groups")
+    low = min(min_share, ARTICLE_SHARE)
+    key = F.xxhash64("page_id", "url")
+    # What each host has: pages, distinct streams, and the streams of more copies than a group has pages.
+    streams = parsed(pages, id_col, url_col, html_col, texts=False).groupBy("host", "stream").agg(F.count("*").alias("n"), F.min(key).alias("first"))
+    many = F.when(F.col("n") > group_pages, F.struct("stream", F.ceil(F.col("n") / group_pages).cast("long").alias("copies"), "first"))
+    hosts = write_read(streams.groupBy("host").agg(F.sum("n").alias("n"), F.count("*").alias("streams"), F.sum(F.least("n", F.lit(group_pages))).alias("held"), F.collect_list(many).alias("many")), "hosts")
+    # Hosts of more than one group: few, and broadcast within a bound, so pages are shuffled once.  Groups have a tenth of
+    # group_pages distinct streams or more, or hold them all.
+    groups = F.greatest(F.lit(1), F.least(F.ceil(F.col("held") / group_pages), F.ceil(F.col("streams") * 10 / group_pages))).cast("int")
+    opened = hosts.filter(F.col("n") > group_pages).select("host", groups.alias("groups"), F.lit(True).alias("open"), "many")
+    n_open, n_many, n_pages = hosts.agg(F.count(F.when(F.col("n") > group_pages, 1)), F.sum(F.size("many")), F.sum("n")).first()
     # Partitions by the number of pages, so that no task's share grows with the input.
-    partitions = max(int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-(hosts.agg(F.sum("n")).first()[0] or 0) // group_pages))
-    dealt = rows.join(if_small(groups, groups.count()), "host", "left").withColumn("groups", F.coalesce("groups", F.lit(1))).withColumn("part", F.pmod(F.xxhash64("page_id", "url"), F.col("groups")).cast("int"))
-    dealt = dealt.repartition(partitions, "host", "part").sortWithinPartitions("host", "part").select("host", "part", "page_id", "url", "texts", "roles")
-
-    def finish(group: list[pa.RecordBatch]) -> pa.RecordBatch:
-        table = pa.Table.from_batches(group).combine_chunks()
-        col = lambda k: table.column(k).combine_chunks()
-        as_list = lambda x: x.chunk(0) if isinstance(x, pa.ChunkedArray) else x
-        text, repeated, tokens = extract_group(as_list(col("texts")), as_list(col("roles")), run, min_pages, min_share, covered)
-        return pa.RecordBatch.from_arrays([as_list(col("page_id")), as_list(col("url")), pa.array(text, pa.string()), pa.array([len(t) for t in text], pa.int64()), pa.array(tokens, pa.int64()), pa.array(repeated, pa.int64())], names=["page_id", "url", "text", "n_chars", "n_tokens", "repeated_tokens"])
-
-    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    partitions = max(int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-(n_pages or 0) // group_pages))
+    copied = opened.select("host", F.explode("many").alias("m")).select("host", "m.stream", "m.copies", "m.first")
+    other_part = lambda nth: (-1 - F.pmod(F.xxhash64("stream", nth), F.lit(1 << 30))).cast("int")
+    rows = parsed(pages, id_col, url_col, html_col).join(if_small(opened.drop("many"), n_open), "host", "left").join(if_small(copied, n_many or 0), ["host", "stream"], "left")
+    # The copy with the least key stays in the group, whatever the others do.
+    rows = rows.withColumn("nth", F.coalesce(F.pmod(F.pmod(key, "copies") - F.pmod("first", "copies"), "copies"), F.lit(0).cast("long")))
+    rows = rows.withColumn("part", F.when(F.col("nth") > 0, other_part(F.col("nth"))).otherwise(F.pmod(F.xxhash64("stream"), F.coalesce("groups", F.lit(1))).cast("int")))
+    rows = rows.select("host", "part", F.lit(1).alias("page"), F.coalesce("open", F.lit(False)).alias("open"), "page_id", "url", "stream", "texts", "roles")
+    # Each part of an open host has a row in front that carries the host's runs to it.
+    in_groups = opened.select("host", F.explode(F.sequence(F.lit(0), F.col("groups") - 1)).alias("part"))
+    in_others = copied.select("host", "stream", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies") - 1)).alias("nth")).select("host", other_part(F.col("nth")).alias("part"))
+    marks = in_groups.union(in_others).distinct().select("host", "part", F.lit(0).alias("page"), F.lit(True).alias("open"))
+    dealt = rows.unionByName(marks, allowMissingColumns=True).repartition(partitions, "host", "part")
+    in_order = lambda df: df.sortWithinPartitions("host", "part", "page")
+
+    def carried(counted: DataFrame, share: float) -> DataFrame:
+        """The dealt rows, marks with the number of streams of their hosts and the runs of that share of them.
+
+        A left join, so that the one shuffle serves all; by merging, as a host's runs go to each of its parts and may be many.
+        """
+        by_run = counted.groupBy("host", "run").agg(F.sum("n").alias("n"), F.collect_list(F.when(F.col("run").isNull(), F.col("part"))).alias("parts"))
+        host = by_run.groupBy("host").agg(F.max(F.when(F.col("run").isNull(), F.col("n"))).alias("streams"), F.flatten(F.collect_list("parts")).alias("parts"), F.collect_list(F.when(F.col("run").isNotNull(), F.struct("run", "n"))).alias("runs"))
+        host = host.withColumn("runs", F.filter("runs", lambda r: r["n"] >= F.lit(share) * F.col("streams") - F.lit(1e-6)))
+        to_parts = host.select("host", F.explode("parts").alias("part"), "streams", "runs").hint("merge")
+        mark = F.col("page") == 0
+        return in_order(dealt.join(to_parts, ["host", "part"], "left").withColumn("streams", F.when(mark, F.col("streams"))).withColumn("runs", F.when(mark, F.col("runs"))))
+
+    def give(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for host, part, _, s, n in group_streams(batches):
+            found = s.frequent(run, low * n - 1e-6) if s else []
+            yield counts_batch(host, part, n, found, [0] * len(found))
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for host, part, runs, s, n in group_streams(batches):
+            names = [r["run"] for r in runs] if s else []
+            at, which = s.places(names, run) if s else (np.zeros(0, np.int64),) * 2
+            pairs = np.unique(which * max(n, 1) + s.page[at]) // max(n, 1) if s else which
+            each, counts = np.unique(pairs, return_counts=True)
+            yield counts_batch(host, part, n, [names[i] for i in each], counts.tolist())
+
+    def result(held: list[pa.RecordBatch], found: tuple[list[str], list[int], list[int]]) -> pa.RecordBatch:
+        text, repeated, tokens = found
+        return pa.RecordBatch.from_arrays([column_of(held, "page_id"), column_of(held, "url"), pa.array(text, pa.string()), pa.array([len(t) for t in text], pa.int64()), pa.array(tokens, pa.int64()), pa.array(repeated, pa.int64())], names=["page_id", "url", "text", "n_chars", "n_tokens", "repeated_tokens"])
+
+    def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
-        mark = None
-        for batch in batches:
-            host, part = batch.column("host").to_pylist(), batch.column("part").to_pylist()
-            a = 0
-            for b in range(1, batch.num_rows + 1):
-                if b < batch.num_rows and host[b] == host[a] and part[b] == part[a]:
-                    continue
-                if held and (host[a], part[a]) != mark:
-                    yield finish(held)
-                    held = []
-                held.append(batch.slice(a, b - a))
-                mark, a = (host[a], part[a]), b
-        if held:
-            yield finish(held)
-
-    return dealt.mapInArrow(each, f"page_id {kind}, url string, text string, n_chars long, n_tokens long, repeated_tokens long")
+        mark, runs, n = None, [], 0
+
+        def whole() -> Iterator[pa.RecordBatch]:
+            if held:
+                yield result(held, extract_host(column_of(held, "texts"), column_of(held, "roles"), run, min_pages, min_share, covered))
+
+        for key, piece in pieces(batches):
+            if key != mark:
+                yield from whole()
+                mark, held = key, []
+            if not piece.column("open")[0].as_py():
+                held.append(piece)
+                continue
+            if piece.column("page")[0].as_py() == 0:
+                n, runs = piece.column("streams")[0].as_py() or 0, piece.column("runs")[0].as_py() or []
+                runs = [r for r in runs if r["n"] >= needed(n, low, min_pages)]
+                piece = piece.slice(1)
+            if piece.num_rows:
+                yield result([piece], extract_pages(column_of([piece], "texts"), column_of([piece], "roles"), runs, n, run, min_pages, min_share, covered))
+        yield from whole()
+
+    if n_open:
+        given = in_order(dealt).mapInArrow(give, COUNTS)
+        ready = carried(carried(given, 0.0).mapInArrow(count, COUNTS), low)
+    else:
+        ready = in_order(dealt)
+    return ready.mapInArrow(finish, f"page_id {kind}, url string, text string, n_chars long, n_tokens long, repeated_tokens long")
 
 
 def op8_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -443,6 +443,35 @@ def test_boilerplate_inside_articles(spark):
     assert all(got[i] == words(40, 600 + i) for i in range(12)) and all(got[i] == words(40, 77) + "\n" + words(12, 78) for i in range(12, 20))
 
 
+def test_host_shares_do_not_depend_on_groups(spark):
+    common = [words(12, 7000 + k) for k in range(6)]
+    # Each common block is on 2 to 4 distinct pages of 60, far apart; page 0 has 40 copies, page 1 five, and all pages stand in an order by chance.
+    pages = [[words(15, 7100 + i), *[c for k, c in enumerate(common) if i % (15 + 6 * k) == k], words(9, 7300 + i)] for i in range(60)]
+    pages += [pages[0]] * 40 + [pages[1]] * 5
+    line = "share this story with all of your friends on every network now"
+    html = ["".join(f"<div>{b}</div>" for b in p) for p in pages]
+    rows = [(i, "http://h.example/", h) for i, h in enumerate(html)]
+    rows += [(1000 + i, "http://other.example/", f"<article><p>{words(40, 7500 + i)}</p>" + (f"<p>{line}</p>" if i % 2 else "") + "</article>") for i in range(30)]
+    rows += [(2000, None, "<p>alone"), (None, "http://h.example/", None)]
+    random.Random(5).shuffle(rows)
+    df = spark.createDataFrame(rows, "page_id bigint, url string, html string")
+    streams = {tuple(" ".join(p).split()) for p in pages}
+    on = {}
+    for k, s in enumerate(streams):
+        for j in range(len(s) - 7):
+            on.setdefault(s[j : j + 8], set()).add(k)
+    least = max(3, -(-2 * (len(streams) + 1) // 100))  # the null page is one more stream
+    want = {1000 + i: words(40, 7500 + i) for i in range(30)} | {2000: "alone", None: ""}
+    for i, p in enumerate(pages):
+        gone = {b for b in p if len(on[tuple(b.split()[:8])]) >= least}
+        want[i] = "\n".join(b for b in p if b not in gone)
+    assert 0 < sum(len(want[i].split("\n")) < len(pages[i]) for i in range(60)) < 60
+    whole = sorted(map(str, htmltext.main_text(df).collect()))
+    for n in (3, 10, 1000):
+        out = htmltext.main_text(df, group_pages=n).collect()
+        assert {x["page_id"]: x["text"] for x in out} == want and sorted(map(str, out)) == whole
+
+
 def test_suffix_cover_against_brute_force():
     r = random.Random(4)
     toks = np.array([r.randrange(6) for _ in range(300)])
